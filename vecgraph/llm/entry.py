@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import licenses, line_dedup
+from . import language_id, licenses, line_dedup
 
-QUERIES = {"op3_line_dedup": line_dedup.op3_line_dedup, "op5_license_scan": licenses.op5_license_scan}
+QUERIES = {"op3_line_dedup": line_dedup.op3_line_dedup, "op5_license_scan": licenses.op5_license_scan, "op7_language_id": language_id.op7_language_id}
 SQL = {"op3_line_dedup": line_dedup.SQL, "op5_license_scan": licenses.SQL}

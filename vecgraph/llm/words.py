@@ -17,6 +17,10 @@ _BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
 _WORD = np.zeros(256, bool)
 _WORD[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = True
+_TOKEN = np.ones(256, bool)
+_TOKEN[[32, *range(9, 14)]] = False
+_ASCII_LOWER = np.arange(256, dtype=np.uint8)
+_ASCII_LOWER[65:91] += 32
 _POWERS: dict[str, np.ndarray] = {}
 MULTIPLIERS = np.array([pow(0xD1342543DE82EF95, i + 1, 1 << 64) for i in range(8)], np.uint64)
 
@@ -49,30 +53,55 @@ def slices(texts: pa.Array, limit: int = CHUNK) -> Iterator[tuple[int, int]]:
         i = j
 
 
-def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all words of the texts in order, and the offsets of each text's words."""
-    texts = pc.utf8_lower(pc.fill_null(texts.cast(pa.large_string()), ""))
+def _bytes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """UTF-8 bytes of all texts (null: empty) and the offsets of each."""
+    texts = pc.fill_null(texts.cast(pa.large_string()), "")
     if not len(texts):
-        return np.zeros(0, np.uint64), np.zeros(1, np.int64)
-    texts = pa.concat_arrays([texts])
+        return np.zeros(0, np.uint8), np.zeros(1, np.int64)
     offsets = np.frombuffer(texts.buffers()[1], np.int64)[texts.offset : texts.offset + len(texts) + 1]
     first, last = int(offsets[0]), int(offsets[-1])
-    if first == last:
-        return np.zeros(0, np.uint64), np.zeros(len(texts) + 1, np.int64)
-    data, offsets = np.frombuffer(texts.buffers()[2], np.uint8)[first:last], offsets - first
-    inside = _WORD[data]
+    data = np.frombuffer(texts.buffers()[2], np.uint8)[first:last] if last > first else np.zeros(0, np.uint8)
+    return data, offsets - first
+
+
+def runs(data: np.ndarray, offsets: np.ndarray, inside_table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Starts and ends of the maximal runs of bytes of the table; a run never crosses the end of a text."""
+    inside = inside_table[data]
     fresh = np.ones(len(data) + 1, bool)
     fresh[1:-1] = ~inside[:-1]
     fresh[offsets] = True
-    starts = np.flatnonzero(inside & fresh[:-1])
     closing = np.ones(len(data), bool)
     closing[:-1] = ~inside[1:]
     closing[offsets[offsets > 0] - 1] = True
-    ends = np.flatnonzero(inside & closing) + 1
+    return np.flatnonzero(inside & fresh[:-1]), np.flatnonzero(inside & closing) + 1
+
+
+def run_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each run of bytes."""
     up, down = _powers(len(data) + 1)
     total = np.zeros(len(data) + 1, np.uint64)
     np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[:-1], out=total[1:])
-    return mix((total[ends] - total[starts]) * down[starts]), np.searchsorted(starts, offsets)
+    return mix((total[ends] - total[starts]) * down[starts])
+
+
+def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all words of the texts in order, and the offsets of each text's words."""
+    data, offsets = _bytes(pc.utf8_lower(texts))
+    starts, ends = runs(data, offsets, _WORD)
+    return run_hashes(data, starts, ends), np.searchsorted(starts, offsets)
+
+
+def tokens(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Tokens between ASCII white space, A-Z in lower case: hashes, the last three bytes of each as one number, offsets by text."""
+    data, offsets = _bytes(texts)
+    data = _ASCII_LOWER[data]
+    starts, ends = runs(data, offsets, _TOKEN)
+    size = ends - starts
+    padded = np.concatenate([np.zeros(3, np.uint32), data.astype(np.uint32)])
+    tail = padded[ends + 2]
+    tail = np.where(size > 1, tail | padded[ends + 1] << 8, tail)
+    tail = np.where(size > 2, tail | padded[ends] << 16, tail)
+    return run_hashes(data, starts, ends), tail, np.searchsorted(starts, offsets)
 
 
 def shingles(words: np.ndarray, offsets: np.ndarray, size: int = 5) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

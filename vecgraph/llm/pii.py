@@ -185,7 +185,8 @@ def detect(docs: DataFrame, text: str = "text", model: ShapeCRF | None = None) -
         return pa.StructArray.from_arrays([pa.array([named(x[i]) for x in out], kind) for i in (0, 1)], ["base", "spans"])
 
     out = docs.withColumn("_p", spans(F.col(text).cast("string")))
-    out = out.withColumns({"base": F.col("_p.base"), "spans": F.col("_p.spans")} | {f"n_{k}": F.size(F.filter("_p.base", lambda s, k=k: s["kind"] == k)).cast("long") for k in KINDS})
+    of_kind = lambda k: F.size(F.filter("_p.base", lambda s: s["kind"] == k)).cast("long")
+    out = out.withColumns({"base": F.col("_p.base"), "spans": F.col("_p.spans")} | {f"n_{k}": of_kind(k) for k in KINDS})
     return out.withColumn("n_added", (F.size("spans") - F.size("base")).cast("long")).drop("_p")
 
 

@@ -2,7 +2,14 @@
 
 from __future__ import annotations
 
-from . import class_lm, language_id, licenses, line_dedup, pii
+from . import class_lm, language_id, licenses, line_dedup, mtree, pii
 
-QUERIES = {"op1_pii": pii.op1_pii, "op4_class_lm": class_lm.op4_class_lm, "op3_line_dedup": line_dedup.op3_line_dedup, "op5_license_scan": licenses.op5_license_scan, "op7_language_id": language_id.op7_language_id}
-SQL = {"op3_line_dedup": line_dedup.SQL, "op5_license_scan": licenses.SQL}
+QUERIES = {
+    "op1_pii": pii.op1_pii,
+    "op3_line_dedup": line_dedup.op3_line_dedup,
+    "op4_class_lm": class_lm.op4_class_lm,
+    "op5_license_scan": licenses.op5_license_scan,
+    "op6_exact_topk": mtree.op6_exact_topk,
+    "op7_language_id": language_id.op7_language_id,
+}
+SQL = {"op3_line_dedup": line_dedup.SQL, "op5_license_scan": licenses.SQL, "op6_exact_topk": mtree.SQL}

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import class_lm, language_id, licenses, line_dedup, mtree, pii
+from . import class_lm, language_id, licenses, line_dedup, mtree, pii, warc
 
 QUERIES = {
     "op1_pii": pii.op1_pii,
@@ -11,5 +11,6 @@ QUERIES = {
     "op5_license_scan": licenses.op5_license_scan,
     "op6_exact_topk": mtree.op6_exact_topk,
     "op7_language_id": language_id.op7_language_id,
+    "op9_warc": warc.op9_warc,
 }
-SQL = {"op3_line_dedup": line_dedup.SQL, "op5_license_scan": licenses.SQL, "op6_exact_topk": mtree.SQL}
+SQL = {"op3_line_dedup": line_dedup.SQL, "op5_license_scan": licenses.SQL, "op6_exact_topk": mtree.SQL, "op9_warc": warc.SQL}

@@ -10,6 +10,8 @@ are not read. An empty table gives an empty result. The table of known licences
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -46,17 +48,42 @@ def canonical(text: Column) -> Column:
     return F.trim(out)
 
 
+def anchors(notices: list[tuple[str, str]] | None = None, size: int = 5) -> list[str]:
+    """Fragments of which every unit that can match must hold one. They are beginnings of words that no spelling rule makes
+    or changes within the fragment, so canonical forms keep them; the fewest that cover all notices, chosen greedily."""
+    made = [re.sub(r"\W", "", by)[:size] for _, by in SPELLINGS if re.sub(r"\W", "", by)]
+    taken = {m for m in made if m != "licen"} | {"copyr", "sub l", "versi"}
+    left = [{w[:size] for w in re.findall(r"[a-z]+", text.lower()) if len(w) >= size} - taken for _, text in notices or NOTICES]
+    out: list[str] = []
+    while left:
+        if not all(left):
+            return []
+        out.append(max(sorted(set().union(*left)), key=lambda f: sum(f in x for x in left)))
+        left = [x for x in left if out[-1] not in x]
+    return out
+
+
+def holds_anchor(text: Column, fragments: list[str]) -> Column:
+    """Whether a lower-case text holds a fragment; with none, everything is looked up."""
+    found = F.lit(not fragments)
+    for f in fragments:
+        found = found | F.contains(text, F.lit(f))
+    return found
+
+
 def known_licenses(spark: SparkSession, notices: list[tuple[str, str]] | None = None) -> DataFrame:
     """(digest, license): one row for each canonical form; of equal forms the first identifier in order counts."""
     known = spark.createDataFrame(notices or NOTICES, "license string, text string")
     return known.select("license", F.sha2(canonical(F.col("text")), 256).alias("digest")).groupBy("digest").agg(F.min("license").alias("license"))
 
 
-def scan_licenses(docs: DataFrame, known: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per row with a match: id, licenses (sorted, distinct), n_units (matching units), whole_text (the whole document is a licence)."""
+def scan_licenses(docs: DataFrame, known: DataFrame, id_col: str = "doc_id", text_col: str = "text", fragments: list[str] | None = None) -> DataFrame:
+    """fragments: anchors() of the known licences, or none for a table of unknown origin. Per row with a match: id, licenses (sorted, distinct), n_units (matching units), whole_text (the whole document is a licence)."""
     text = text_or_empty(text_col)
     units = F.concat(F.array(F.struct(F.lit(-1).alias("pos"), text.alias("unit"))), F.transform(F.filter(F.split(text, "\n"), lambda x: F.char_length(x) > 0), lambda x, i: F.struct(i.alias("pos"), x.alias("unit"))))
+    docs = docs.where(holds_anchor(F.lower(text), fragments or []))
     rows = docs.select(F.col(id_col).alias("_id"), *row_keys(id_col, text_col), F.explode(units).alias("u"))
+    rows = rows.where(holds_anchor(F.lower("u.unit"), fragments or []))
     digests = rows.select("_id", "_k1", "_k2", F.col("u.pos").alias("pos"), canonical(F.col("u.unit")).alias("c")).where("c <> ''")
     hits = digests.withColumn("digest", F.sha2("c", 256)).drop("c").join(F.broadcast(known), "digest")
     # copies of a row meet here: their hits are counted by position first, so a hot row arrives already summed
@@ -68,7 +95,7 @@ def scan_licenses(docs: DataFrame, known: DataFrame, id_col: str = "doc_id", tex
 
 def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return scan_licenses(docs, known_licenses(spark)).select("doc_id", F.array_join("licenses", ",").alias("licenses"), "n_units", "whole_text")
+    return scan_licenses(docs, known_licenses(spark), fragments=anchors()).select("doc_id", F.array_join("licenses", ",").alias("licenses"), "n_units", "whole_text")
 
 
 def _sql_canonical(x: str) -> str:

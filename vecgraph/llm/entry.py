@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import class_lm, decontaminate, language_id, licenses, line_dedup, mtree, near_join, pii, warc
+from . import class_lm, decontaminate, language_id, licenses, line_dedup, mtree, near_join, packing, pii, warc
 
 QUERIES = {
     "op1_pii": pii.op1_pii,
@@ -12,6 +12,7 @@ QUERIES = {
     "op5_license_scan": licenses.op5_license_scan,
     "op6_exact_topk": mtree.op6_exact_topk,
     "op7_language_id": language_id.op7_language_id,
+    "op8_packing": packing.op8_packing,
     "op9_warc": warc.op9_warc,
     "op10_near_join": near_join.op10_near_join,
 }

@@ -149,8 +149,17 @@ class ClassModel:
         counts = materialize(counts, "word-counts")
         row = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
         model = cls(counts.select("h", "n"), int(row[0]), int(row[1]))
-        common = counts.where(F.col("h") != int(END.view(np.int64))).orderBy(F.desc("n"), "h").limit(COMMON).toPandas()
-        hashes, tails, n = common["h"].to_numpy(np.int64).view(np.uint64), common["tail"].to_numpy(np.int32).astype(np.uint32), common["n"].to_numpy(np.int64)
+        words = counts.where(F.col("h") != int(END.view(np.int64)))
+        # the least count with at most COMMON words at or above it, from a histogram of bounded size
+        step, held, least = F.floor(F.log2("n") * 64).cast("int"), 0, None
+        for r in words.groupBy(step.alias("step")).agg(F.count("*").alias("words"), F.min("n").alias("least")).orderBy(F.desc("step")).collect():
+            held += r["words"]
+            if held > COMMON:
+                break
+            least = r["least"]
+        common = words.where(F.col("n") >= F.lit(least)).toArrow()
+        order = np.lexsort((common["h"].to_numpy(), -common["n"].to_numpy()))
+        hashes, tails, n = common["h"].to_numpy()[order].view(np.uint64), common["tail"].to_numpy()[order].astype(np.uint32), common["n"].to_numpy()[order].astype(np.int64)
         model._cluster(texts, hashes[:CLUSTERED], tails[:CLUSTERED], n[:CLUSTERED])
         model._transitions(texts, counts)
         end = counts.where(F.col("h") == int(END.view(np.int64))).first()
@@ -176,9 +185,9 @@ class ClassModel:
             for i in range(0, len(some), 100_000):
                 yield pa.record_batch({"pair": some[i : i + 100_000], "n": matrix[some[i : i + 100_000]]})
 
-        found = texts.mapInArrow(pairs, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).toPandas()
+        found = texts.mapInArrow(pairs, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).toArrow()
         matrix = np.zeros(size * size, np.int64)
-        matrix[found["pair"].to_numpy(np.int64)] = found["n"].to_numpy(np.int64)
+        matrix[found["pair"].to_numpy()] = found["n"].to_numpy()
         self.word_class = exchange(matrix.reshape(size, size), CLASSES, 2)[:k] if k else np.zeros(1, np.int64)
         self.suffixes = {}
         for bytes_ in (3, 2, 1):

@@ -12,10 +12,11 @@ consists of those words. Repeated items and repeated documents are each reported
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark.core.broadcast import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -114,3 +115,28 @@ def contained(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str
 def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return contained(docs, table(spark, sf_dir, "benchmark").select("item_id", "text"))
+
+
+def flag_contaminated(docs: DataFrame, items: DataFrame, text: str = "text", item_text: str = "text", threshold: float = 0.8, item_block: int = ITEM_BLOCK, out: str = "contaminated") -> DataFrame:
+    """docs with a boolean column: whether some item is contained at the threshold. One pass, no shuffle; each block of items is one more function over the text."""
+    prepare(docs.sparkSession)
+    total, flags = items.count(), F.lit(False)
+    blocks = max(1, -(-total // item_block))
+    for b in range(blocks):
+        own = items.select(F.col(item_text).cast("string").alias("t"))
+        got = (own.where(F.pmod(F.xxhash64("t"), F.lit(blocks)) == b) if blocks > 1 else own).collect()
+        sent = docs.sparkSession.sparkContext.broadcast(ItemIndex(list(range(len(got))), [r["t"] for r in got]))
+
+        flags = flags | _hits(sent, threshold)(F.col(text).cast("string"))
+    return docs.withColumn(out, flags)
+
+
+def _hits(sent: Broadcast, threshold: float) -> Callable:
+    @F.arrow_udf("boolean")
+    def hit(texts: pa.Array) -> pa.Array:
+        found = np.zeros(len(texts), bool)
+        for i, j in slices(texts):
+            found[[i + d for d, _, _ in sent.value.search(texts[i:j], threshold)]] = True
+        return pa.array(found)
+
+    return hit

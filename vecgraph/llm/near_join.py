@@ -215,6 +215,18 @@ def near_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", thres
     return rows.select(F.col("id").alias(key), "_k1", "_k2", "key").join(named, "key").drop("key")
 
 
+def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = 0.8) -> DataFrame:
+    """One row of each class: that of the least id (a null id only where no id is known), of rows with that id the one whose keys are least,
+    and of rows repeated with other columns the least of those. Columns are those of docs."""
+    names = row_keys(key, text)
+    found = near_classes(docs, key, text, threshold)
+    # classes whose ids are all null have no name of their own; their rows are told apart by the copy they belong to
+    group = F.coalesce(F.col("class_id").cast("string"), F.concat(F.lit("row "), F.col("_k1").cast("string")))
+    chosen = found.groupBy(group.alias("group")).agg(F.min(F.struct(F.col(key).isNull().alias("none"), F.col(key).alias("id"), "_k1", "_k2")).alias("x")).select("x._k1", "x._k2")
+    kept = docs.withColumns({"_k1": names[0], "_k2": names[1]}).join(chosen, ["_k1", "_k2"], "left_semi")
+    return kept.groupBy("_k1", "_k2").agg(F.min(F.struct(*(f"`{c}`" for c in docs.columns))).alias("x")).select("x.*")
+
+
 def op10_near_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return near_classes(docs).select("doc_id", "class_id", "copy_id", "n_copies", "n_links")

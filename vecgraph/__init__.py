@@ -1,0 +1 @@
+"""Proximity-graph search over compact vector codes, on Spark DataFrames."""

@@ -14,7 +14,6 @@ each for itself. An empty table gives an empty result. Sequence ids are unique,
 
 from __future__ import annotations
 
-import os
 import zlib
 from collections.abc import Iterator
 
@@ -24,13 +23,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .bpe import WordEncoder
 from .common import materialize, prepare, table
-from .words import mix, slices, word_hashes
+from .words import mix, slices
 
 WINDOW, UNIT, SHARD, TERMS = 4096, 64, 2048, 1 << 16
 K1, LENGTH_WEIGHT = 1.2, 0.75
-_CACHE: dict = {}
-_CACHE_WORDS = 300_000
+_ENCODERS: dict[str, WordEncoder] = {}
 
 
 def default_tokenizer() -> str:
@@ -39,29 +38,12 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
-def encode(texts: list[str | None], path: str, end_id: int) -> list[np.ndarray]:
-    """Ids of each text with the end id. White space separates what the tokenizer sees, so ids are looked up word by word; new words are encoded together."""
-    if _CACHE.get("path") != path:
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
-
-        _CACHE.clear()
-        _CACHE.update(path=path, tokenizer=Tokenizer.from_file(path), ids={})
-    split = [(t or "").encode().split() for t in texts]
-    ids = _CACHE["ids"]
-    if len(ids) > _CACHE_WORDS:
-        ids.clear()
-    fresh = list({w for words in split for w in words if w not in ids})
-    for w, e in zip(fresh, _CACHE["tokenizer"].encode_batch([w.decode() for w in fresh], add_special_tokens=False), strict=True):
-        ids[w] = e.ids
-    out = []
-    for words in split:
-        flat: list[int] = []
-        for w in words:
-            flat += ids[w]
-        flat.append(end_id)
-        out.append(np.array(flat, np.uint32))
-    return out
+def encoder(path: str) -> WordEncoder:
+    """The encoder and its cache live as long as the worker."""
+    if path not in _ENCODERS:
+        _ENCODERS.clear()
+        _ENCODERS[path] = WordEncoder(path)
+    return _ENCODERS[path]
 
 
 def _operators() -> np.ndarray:
@@ -101,13 +83,11 @@ def measured(docs: DataFrame, key: str, text: str, tokenizer: str, end_id: int)
     @F.arrow_udf("struct<n long, crcs binary, terms binary, times binary, route long>")
     def measure(texts: pa.Array) -> pa.Array:
         n, crcs, terms, times, route = [], [], [], [], []
-        for i, j in slices(texts, 1 << 20):
-            part = texts[i:j].cast(pa.string())
-            for ids in encode(part.to_pylist(), tokenizer, end_id):
-                n.append(len(ids))
-                raw = memoryview(ids.astype("<u4").tobytes())
-                crcs.append(np.array([zlib.crc32(raw[a : a + 4 * UNIT]) for a in range(0, len(raw), 4 * UNIT)], np.uint32).tobytes())
-            h, offsets = word_hashes(part)
+        for i, j in slices(texts):
+            ids, cut_ids, h, offsets = encoder(tokenizer).encode(texts[i:j].cast(pa.string()), end_id)
+            raw, bounds = memoryview(ids.astype("<u4").tobytes()), (4 * cut_ids).tolist()
+            n += np.diff(cut_ids).tolist()
+            crcs += [np.array([zlib.crc32(raw[a : min(a + 4 * UNIT, e)]) for a in range(s, e, 4 * UNIT)], np.uint32).tobytes() for s, e in zip(bounds[:-1], bounds[1:], strict=True)]
             doc = np.repeat(np.arange(j - i), np.diff(offsets))
             pairs, count = np.unique(doc.astype(np.uint64) << np.uint64(16) | h >> np.uint64(48), return_counts=True)
             cut = np.searchsorted(pairs, np.arange(j - i + 1, dtype=np.uint64) << np.uint64(16))

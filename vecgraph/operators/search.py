@@ -7,6 +7,7 @@ from collections import Counter
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -131,8 +132,6 @@ def code_scan(vectors: DataFrame, codec: ExactCodec, queries: DataFrame, k: int
         sent = vectors.sparkSession.sparkContext.broadcast((codec, ids_q, q))
 
         def scan(batches, sent=sent):
-            import pyarrow as pa
-
             c, ids_q, q = sent.value
             state = c.query_state(q)
             for b in batches:
@@ -176,9 +175,7 @@ def ivf_scan(vectors: DataFrame, codec: ExactCodec, centres: np.ndarray, queries
     sent_c = spark.sparkContext.broadcast(centres)
 
     @F.arrow_udf("array<int>")
-    def probes(v):
-        import pyarrow as pa
-
+    def probes(v: pa.Array) -> pa.Array:
         x, c = matrix(v), sent_c.value
         d = (x * x).sum(1)[:, None] - 2 * x @ c.T + (c * c).sum(1)[None, :]
         best = np.argsort(d, axis=1, kind="stable")[:, : min(nprobe, len(c))].astype(np.int32)

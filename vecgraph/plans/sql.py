@@ -88,8 +88,8 @@ def bulk(candidates: int, degree: int, tau: float = 0.0) -> str:
     """CTEs of selection, and graph (src, nbrs) with reverse edges."""
     return selection(candidates, degree, tau) + f""",
 e AS (SELECT src, unnest(nbrs) AS n FROM kept),
-both AS (SELECT src, n.id AS dst FROM e UNION SELECT n.id, src FROM e),
-joint AS (SELECT b.src, list(struct_pack(d := {sq('x.vec', 'y.vec')}, id := b.dst, v := y.vec) ORDER BY {sq('x.vec', 'y.vec')}, b.dst) AS c FROM both b JOIN emb x ON x.vec_id = b.src JOIN emb y ON y.vec_id = b.dst GROUP BY b.src),
+bothw AS (SELECT src, n.id AS dst FROM e UNION SELECT n.id, src FROM e),
+joint AS (SELECT b.src, list(struct_pack(d := {sq('x.vec', 'y.vec')}, id := b.dst, v := y.vec) ORDER BY {sq('x.vec', 'y.vec')}, b.dst) AS c FROM bothw b JOIN emb x ON x.vec_id = b.src JOIN emb y ON y.vec_id = b.dst GROUP BY b.src),
 graph AS MATERIALIZED (SELECT src, CASE WHEN len(c) <= {degree} THEN c ELSE {select_fold('c', degree, tau)} END AS nbrs FROM joint),
 edges AS (SELECT src, generate_subscripts(nbrs, 1) AS rank, unnest(nbrs) AS n FROM graph)"""
 

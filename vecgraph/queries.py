@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
@@ -309,8 +310,6 @@ def pq_decode_error(spark, d):
 
 def _adt(v, c):
     """(vec_id, m, code, d) of a product codec's tables."""
-    import pyarrow as pa
-
     sent = v.sparkSession.sparkContext.broadcast(c)
 
     @F.arrow_udf("array<double>")
@@ -545,8 +544,8 @@ def neighbour_blocks(spark, d):
     """Blocks of four neighbours, padding left out for the comparison."""
     c = _pq(spark, d)
     blocks = G.pack_blocks(G.edges_of(_bulk(spark, d)), c.encode(emb(spark, d)), 4)
-    n = F.size(F.filter("ids", lambda x: x >= 0))
-    return blocks.select("src", "block_no", F.array_join(F.slice("ids", 1, n).cast("array<string>"), ",").alias("ids"), F.array_join(F.transform("codes", lambda x: F.array_join(F.slice(x, 1, n).cast("array<string>"), ",")), ";").alias("codes"))
+    blocks = blocks.withColumn("n", F.size(F.filter("ids", lambda x: x >= 0)))
+    return blocks.select("src", "block_no", F.array_join(F.slice("ids", F.lit(1), F.col("n")).cast("array<string>"), ",").alias("ids"), F.array_join(F.transform("codes", lambda x: F.array_join(F.slice(x, F.lit(1), F.col("n")).cast("array<string>"), ",")), ";").alias("codes"))
 
 
 def _lookup(spark, d, batched):
@@ -596,7 +595,7 @@ def index_size(spark, d):
     return out
 
 
-@query("SELECT n, degree, candidates, round(degree * log2(n), 6) + 0.0 AS acquisition_plain, round(log2(n), 6) + 0.0 AS acquisition_inlined, CAST(candidates AS DOUBLE) AS selection_plain, 0.0 AS selection_tables FROM (VALUES (1000000, 32, 1024), (10000000, 32, 1024)) t(n, degree, candidates)")
+@query("SELECT n, degree, candidates, round(degree * log2(n), 6) + 0.0 AS acquisition_plain, round(log2(n), 6) + 0.0 AS acquisition_inlined, CAST(candidates AS DOUBLE) AS selection_plain, CAST(0 AS DOUBLE) AS selection_tables FROM (VALUES (1000000, 32, 1024), (10000000, 32, 1024)) t(n, degree, candidates)")
 def access_formula(spark, d):
     rows = [(n, 32, 1024, *M.access_formula(n, 32, 1024).values()) for n in (10**6, 10**7)]
     out = spark.createDataFrame(rows, "n int, degree int, candidates int, acquisition_plain double, acquisition_inlined double, selection_plain double, selection_tables double")

@@ -46,7 +46,7 @@ def segment_count(n: int, rows: int = SEGMENT_ROWS) -> int:
 def assign_segments(vectors: DataFrame, segments: int, mode: str = "hash", centres: np.ndarray | None = None) -> DataFrame:
     """vectors with `segment`. hash: by id; range: by order of the id in equal shares (approximate quantiles); coarse: by the nearest of `centres`."""
     if mode == "hash":
-        return vectors.withColumn("segment", F.pmod(F.col("vec_id") * F.lit(2654435761) % F.lit(1 << 32), F.lit(segments)).cast("int"))
+        return vectors.withColumn("segment", F.pmod(F.pmod(F.col("vec_id"), F.lit(1 << 31)) * F.lit(2654435761) % F.lit(1 << 32), F.lit(segments)).cast("int"))
     if mode == "range":
         cuts = vectors.approxQuantile("vec_id", [i / segments for i in range(1, segments)], 0.001)
         out = F.lit(0)

@@ -1 +1,395 @@
-"""placeholder"""
+"""The experiments, re-expressed on the given tables. Every workload returns runs in long form:
+(workload, dataset, method, params, metric, value).
+
+A grid of settings runs as one job: codecs are fitted on the whole data set first, then every (setting, segment) is a task that encodes, builds, and searches with a
+stated set of at most 200 held-out queries, whose truth comes from the exact scan. Times are taken inside the task; building time of coded methods includes fitting and coding."""
+
+from __future__ import annotations
+
+import time
+from collections import Counter
+from dataclasses import dataclass, field
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..operators import codecs as C
+from ..operators import exact as E
+from ..operators import graph as G
+from ..operators import theory as T
+from ..operators.kernels import Points, descend, early_abort, reached
+from ..queries import query
+from ..sources import vectors as X
+from ..sources.tables import load, stored
+
+RUNS = "workload string, dataset string, method string, params map<string,string>, metric string, value double"
+SETS = {"embeddings": X.embedding_vectors, "docvec": X.document_vectors, "pagevec": X.page_vectors, "linevec": X.lineitem_vectors, "ordervec": X.order_vectors, "uservec": X.user_vectors, "convvec": X.conversation_vectors, "benchvec": X.benchmark_vectors}
+METHODS = {
+    "LG": lambda **p: C.ExactCodec(),
+    "LG-SQ": lambda **p: C.ScalarCodec(**({"bits": 8} | p)),
+    "LG-PCA": lambda **p: C.PrincipalCodec(**({"alpha": 0.9} | p)),
+    "LG-PQ": lambda **p: C.ProductCodec(**({"m": 16, "bits": 4, "iters": 3, "sample": 0} | p)),
+    "LG-ACC": lambda **p: C.AlignedCodec(**({"m": 16, "iters": 3, "sample": 0, "rule": "quantile", "rounding": "nearest"} | p)),
+}
+
+
+@dataclass
+class Setting:
+    method: str
+    codec: dict = field(default_factory=dict)
+    candidates: int = 64
+    degree: int = 16
+    strategy: str = "batched"
+    efs: tuple = (16, 64)
+    modes: tuple = ("codes+rerank",)
+    ks: tuple = (1, 10)
+    tau: float = 0.0
+    stop: int = 0
+    eps: float = 0.0
+    profile: bool = False
+    label: dict = field(default_factory=dict)
+
+    def params(self) -> dict[str, str]:
+        return {k: str(v) for k, v in ({"C": self.candidates, "R": self.degree, "strategy": self.strategy} | self.codec | self.label).items()}
+
+
+def dataset(spark: SparkSession, d: str, name: str, rows: int | None = None) -> DataFrame:
+    v = SETS[name](spark, d).select("vec_id", "vec")
+    return C.stable_sample(v, rows) if rows else v
+
+
+class Timed:
+    """A distance source whose time is summed."""
+
+    def __init__(self, inner):
+        self.inner, self.seconds = inner, 0.0
+        self.n = inner.n
+        for name in ("m", "offset", "codes", "x", "block"):
+            if hasattr(inner, name):
+                setattr(self, name, getattr(inner, name))
+
+    def _call(self, name: str, *a):
+        t = time.perf_counter()
+        out = getattr(self.inner, name)(*a)
+        self.seconds += time.perf_counter() - t
+        return out
+
+    def of(self, s, ids):
+        return self._call("of", s, ids)
+
+    def pair(self, a, b):
+        return self._call("pair", a, b)
+
+    def look_up(self, s, o):
+        return self._call("look_up", s, o)
+
+    def own(self, at):
+        return self.inner.own(at)
+
+
+def one_run(x: np.ndarray, ids: np.ndarray, codec, s: Setting, q: np.ndarray, truth: np.ndarray, truth_d: np.ndarray, fit_seconds: float) -> list[tuple[dict, str, float]]:
+    """Build and search one segment: (further params, metric, value)."""
+    t = time.perf_counter()
+    source = codec.source(x)
+    coding = time.perf_counter() - t + fit_seconds if s.method != "LG" else 0.0
+    levels = np.zeros(len(x), np.int64)
+    if s.strategy not in ("bulk", "spanning"):
+        h = ((ids % (1 << 31)) * 2654435761 + 42) % (1 << 32)
+        levels = np.floor(-np.log((h + 1) / float(1 << 32)) / np.log(s.degree)).astype(np.int64)
+    timed = Timed(source) if s.profile else source
+    t = time.perf_counter()
+    graph = G.construct(codec, timed, levels, min(s.candidates, max(1, len(x) - 1)), s.degree, s.strategy, 2, s.tau, 256)
+    build = time.perf_counter() - t
+    edges = sum(int((a >= 0).sum()) for a in graph.adj)
+    out = [({}, "coding_seconds", coding), ({}, "graph_seconds", build), ({}, "total_seconds", coding + build), ({}, "edges", edges), ({}, "reached", float(reached(graph).mean()))]
+    per_edge = 4 + (codec.bytes_per_vector() if codec.name == "acc" else 0)
+    out.append(({}, "index_bytes", len(x) * float(codec.bytes_per_vector()) + edges * per_edge))
+    out += [({}, k, float(v)) for k, v in graph.count.items()]
+    if s.profile:
+        out.append(({}, "distance_share", timed.seconds / max(build, 1e-9)))
+        graph.source = source
+    full = Points(x)
+    for mode in s.modes:
+        for ef in s.efs:
+            t = time.perf_counter()
+            graph.count = Counter()
+            if mode == "exact":
+                keep, graph.source, inline, graph.inline = graph.source, full, graph.inline, None
+                found, dist = descend(graph, q, ef, window=s.stop)
+                graph.source, graph.inline = keep, inline
+            elif s.eps:
+                turn = np.linalg.qr(np.random.default_rng(5).normal(size=(x.shape[1],) * 2))[0]
+                keep, graph.source, inline, graph.inline = graph.source, Points(x @ turn), graph.inline, None
+                found, dist = descend(graph, q @ turn, ef, window=s.stop, measure=early_abort(graph.source.x, q @ turn, 16, s.eps, graph.count))
+                graph.source, graph.inline = keep, inline
+            else:
+                found, dist = descend(graph, codec.query_state(q), ef, window=s.stop)
+                if mode == "codes+rerank" and codec.name != "exact":
+                    dist = np.where(found >= 0, full.of(q, found), np.inf)
+                    order = np.lexsort((found, dist), axis=1)
+                    found, dist = np.take_along_axis(found, order, 1), np.take_along_axis(dist, order, 1)
+            took = time.perf_counter() - t
+            more = {"ef": str(ef), "mode": mode}
+            out.append((more, "qps", len(q) / max(took, 1e-9)))
+            out.append((more, "distances_per_query", (graph.count["distances"] or graph.count["dimensions"] / x.shape[1]) / max(1, len(q))))
+            out.append((more, "hops_per_query", graph.count["hops"] / max(1, len(q))))
+            for k in (k for k in s.ks if k <= ef):
+                best = np.where(found[:, :k] >= 0, ids[np.maximum(found[:, :k], 0)], -1)
+                out.append((more | {"k": str(k)}, "recall", float(np.mean([len(set(a) & set(b)) / k for a, b in zip(best.tolist(), truth[:, :k].tolist(), strict=True)]))))
+                d = np.sqrt(np.where(found[:, :k] >= 0, full.of(q, np.maximum(found[:, :k], 0)), np.inf))
+                with np.errstate(divide="ignore", invalid="ignore"):
+                    ratio = np.where((d == 0) & (truth_d[:, :k] == 0), 1.0, np.sort(d, axis=1) / truth_d[:, :k])
+                out.append((more | {"k": str(k)}, "distance_ratio", float(np.mean(ratio[np.isfinite(ratio)])) if np.isfinite(ratio).any() else 0.0))
+    return out
+
+
+def run_grid(spark: SparkSession, workload: str, name: str, vectors: DataFrame, settings: list[Setting], segments: int = 1, repeats: int = 1) -> DataFrame:
+    """Runs of all settings on one data set."""
+    base, queries = X.split_queries(vectors)
+    base = stored(base, "grid-base")
+    queries = stored(C.stable_sample(queries, 200), "grid-queries")
+    kmax = max(k for s in settings for k in s.ks)
+    near = E.exact_knn(base, queries, kmax).toPandas().sort_values(["query_id", "rank"])
+    asked = queries.toPandas().sort_values("vec_id")
+    q = np.stack(asked["vec"].to_numpy()).astype(np.float64)
+    truth = np.full((len(q), kmax), -1, np.int64)
+    truth_d = np.full((len(q), kmax), np.inf)
+    row = np.searchsorted(asked["vec_id"].to_numpy(), near["query_id"].to_numpy())
+    truth[row, near["rank"].to_numpy() - 1], truth_d[row, near["rank"].to_numpy() - 1] = near["vec_id"].to_numpy(), near["dist"].to_numpy()
+    fitted = []
+    for s in settings:
+        t = time.perf_counter()
+        codec = METHODS[s.method](**s.codec).fit(base)
+        fitted.append((s, codec, time.perf_counter() - t))
+    sent = spark.sparkContext.broadcast((fitted, q, truth, truth_d))
+    placed = G.assign_segments(base, segments).withColumn("run", F.explode(F.sequence(F.lit(0), F.lit(len(settings) * repeats - 1))))
+
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        fitted, q, truth, truth_d = sent.value
+        rows = rows.sort_values("vec_id")
+        s, codec, seconds = fitted[int(rows["run"].iloc[0]) % len(fitted)]
+        got = one_run(np.stack(rows["vec"].to_numpy()).astype(np.float64), rows["vec_id"].to_numpy(np.int64), codec, s, q, truth, truth_d, seconds / segments)
+        extra = {"n": str(len(rows)), "segment": str(int(rows["segment"].iloc[0])), "repeat": str(int(rows["run"].iloc[0]) // len(fitted))}
+        return pd.DataFrame([(workload, name, s.method, s.params() | extra | more, metric, float(value)) for more, metric, value in got], columns=["workload", "dataset", "method", "params", "metric", "value"])
+
+    tasks = len(settings) * repeats * segments
+    return placed.repartition(tasks, "run", "segment").groupBy("run", "segment").applyInPandas(run, RUNS)
+
+
+def rows_of(spark: SparkSession, rows: list[tuple]) -> DataFrame:
+    return spark.createDataFrame(rows, RUNS)
+
+
+def union(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.unionByName(f)
+    return out
+
+
+ALL = tuple(METHODS)
+
+
+@query()
+def w01_profile(spark, d):
+    """Share of distance work in building on full vectors, as one vertex after another is inserted."""
+    return union([run_grid(spark, "w01", n, dataset(spark, d, n), [Setting("LG", strategy=s, profile=True, efs=(16,)) for s in ("sequential", "batched")]) for n in ("embeddings",)])
+
+
+@query()
+def w03_pq_sweep(spark, d):
+    """Product codes: bits at 8 subspaces, subspaces at 6 bits."""
+    grid = [{"m": 8, "bits": b} for b in (2, 4, 6, 8)] + [{"m": m, "bits": 6} for m in (2, 4, 16, 32)]
+    return run_grid(spark, "w03", "embeddings", dataset(spark, d, "embeddings"), [Setting("LG-PQ", g | {"iters": 2}, modes=("codes", "codes+rerank")) for g in grid])
+
+
+@query()
+def w04_sq_pca_sweep(spark, d):
+    """Scalar bits; kept principal components."""
+    grid = [Setting("LG-SQ", {"bits": b}, modes=("codes",)) for b in (2, 4, 8, 16)] + [Setting("LG-PCA", {"dims": k}, modes=("codes",)) for k in (8, 16, 32, 48, 56, 64)]
+    return run_grid(spark, "w04", "embeddings", dataset(spark, d, "embeddings"), grid)
+
+
+def indexing(spark, d, names=("embeddings", "docvec"), rows=None, **how):
+    """Five methods on several data sets: time, size, QPS with recall and distance ratio. All eight: names=SETS."""
+    settings = [Setting(m, modes=("codes", "codes+rerank"), efs=how.pop("efs", (16, 64)) if i == 0 and "efs" in how else (16, 64), **how) for i, m in enumerate(ALL)]
+    return union([run_grid(spark, "w05", n, dataset(spark, d, n, rows), settings) for n in names])
+
+
+@query()
+def w05_indexing(spark, d):
+    return indexing(spark, d)
+
+
+@query()
+def w05_speedup(spark, d):
+    """Speed-up of building over full vectors, next to the share of distances spared."""
+    runs = indexing(spark, d, ("docvec",)).where(F.col("metric").isin("total_seconds", "graph_seconds"))
+    base = runs.where("method = 'LG'").select("dataset", "metric", F.col("value").alias("lg"))
+    return runs.join(base, ["dataset", "metric"]).select("dataset", "method", "metric", (F.col("lg") / F.col("value")).alias("speedup"))
+
+
+@query()
+def w06_sizes(spark, d):
+    return indexing(spark, d, ("embeddings",)).where("metric = 'index_bytes'").select("dataset", "method", "value")
+
+
+@query()
+def w07_search_curve(spark, d):
+    """QPS against recall."""
+    s = [Setting(m, efs=(8, 16, 32, 64, 128), modes=("codes+rerank",)) for m in ALL]
+    return run_grid(spark, "w07", "embeddings", dataset(spark, d, "embeddings"), s).where(F.col("metric").isin("qps", "recall"))
+
+
+@query()
+def w08_ratio_curve(spark, d):
+    """QPS against the distance ratio, two data sets."""
+    s = [Setting(m, efs=(8, 32, 128), modes=("codes+rerank",)) for m in ("LG", "LG-PQ", "LG-ACC")]
+    return union([run_grid(spark, "w08", n, dataset(spark, d, n), s).where(F.col("metric").isin("qps", "distance_ratio")) for n in ("embeddings", "docvec")])
+
+
+@query()
+def w09_volume(spark, d):
+    """One segment that grows."""
+    s = [Setting(m, {"m": 6} if m == "LG-ACC" else {}, efs=(32,), candidates=48, label={}) for m in ("LG", "LG-ACC")]
+    return union([run_grid(spark, "w09", f"linevec-{n}", dataset(spark, d, "linevec", n), s) for n in (1000, 2000, 4000)])
+
+
+@query()
+def w10_segments(spark, d):
+    """More segments of equal size, built apart; times add up."""
+    s = [Setting(m, {"m": 6} if m == "LG-ACC" else {}, efs=(32,), candidates=48) for m in ("LG", "LG-ACC")]
+    runs = union([run_grid(spark, "w10", f"linevec-{k}x", dataset(spark, d, "linevec", 1000 * k), s, segments=k) for k in (1, 2, 4)])
+    return runs.where("metric = 'graph_seconds'").groupBy("workload", "dataset", "method").agg(F.sum("value").alias("summed_seconds"), F.max("value").alias("longest"), F.count("*").alias("segments"))
+
+
+@query()
+def w11_register_widths(spark, d):
+    """Registers of 128, 256 and 512 bits hold 1, 2 and 4 tables: look-ups of so many subspaces at a time."""
+    s = [Setting("LG-ACC", {"block": u // 128}, efs=(64,), label={"register_bits": u}) for u in (128, 256, 512)]
+    return run_grid(spark, "w11", "embeddings", dataset(spark, d, "embeddings"), s)
+
+
+@query()
+def w12_implementations(spark, d):
+    """Early abort and relaxed stop, on graphs built on full vectors and on codes."""
+    s = [Setting(m, modes=("codes+rerank",), efs=(32, 64), **how, label=label) for m in ("LG", "LG-ACC") for how, label in (({"eps": 2.1}, {"variant": "early_abort"}), ({"stop": 16}, {"variant": "relaxed_stop"}))]
+    return run_grid(spark, "w12", "embeddings", dataset(spark, d, "embeddings"), s)
+
+
+@query()
+def w13_algorithms(spark, d):
+    """Single-layer graphs before and after codes."""
+    s = [Setting(m, strategy=strategy, tau=tau, label={"variant": v}) for m in ("LG", "LG-ACC") for strategy, tau, v in (("spanning", 0.0, "spanning"), ("bulk", 0.01 if m == "LG" else 0.0, "relaxed"))]
+    return run_grid(spark, "w13", "embeddings", dataset(spark, d, "embeddings"), s)
+
+
+@query()
+def w14_cache_layout(spark, d):
+    """Misses of a model of the first-level cache with codes apart from and beside the ids, on a segment larger than the cache."""
+    from .graph_queries import traces
+
+    v = dataset(spark, d, "linevec", 6000)
+    base, q = X.split_queries(v)
+    codec = METHODS["LG-ACC"](m=6).fit(base)
+    asks = np.stack([np.array(r[0]) for r in C.stable_sample(q, 20).select("vec").collect()])
+    sent = spark.sparkContext.broadcast((codec, asks))
+
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        codec, asks = sent.value
+        found = traces(np.stack(rows.sort_values("vec_id")["vec"].to_numpy()).astype(np.float64), codec, asks, 16)
+        return pd.DataFrame([("w14", "linevec", layout, {}, "miss_rate", m / max(1, a)) for layout, m, a in found] + [("w14", "linevec", layout, {}, "misses", float(m)) for layout, m, a in found], columns=["workload", "dataset", "method", "params", "metric", "value"])
+
+    return G.assign_segments(base, 1).groupBy("segment").applyInPandas(run, RUNS)
+
+
+@query()
+def w15_batched_lookup(spark, d):
+    """Table look-ups of a whole candidate list at once and one by one: same sums, seconds of each."""
+    v = dataset(spark, d, "embeddings")
+    codec = METHODS["LG-ACC"]().fit(v)
+    sent = spark.sparkContext.broadcast(codec)
+
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        c = sent.value
+        x = np.stack(rows.sort_values("vec_id")["vec"].to_numpy()).astype(np.float64)
+        source = c.source(x)
+        ids = np.random.default_rng(1).integers(0, len(x), (200, 32))
+        state = source.own(np.arange(200) % len(x))
+        t = time.perf_counter()
+        a = source.of(state, ids)
+        whole = time.perf_counter() - t
+        t = time.perf_counter()
+        b = np.array([[sum(int(state[i, m, source.codes[y, m]]) for m in range(source.m)) for y in row] for i, row in enumerate(ids)])
+        single = time.perf_counter() - t
+        return pd.DataFrame([("w15", "embeddings", "batched", {}, "seconds", whole), ("w15", "embeddings", "single", {}, "seconds", single), ("w15", "embeddings", "both", {}, "equal", float((a == b).all()))], columns=["workload", "dataset", "method", "params", "metric", "value"])
+
+    return G.assign_segments(v, 1).groupBy("segment").applyInPandas(run, RUNS)
+
+
+@query()
+def w16_coding_share(spark, d):
+    """Coding against total time of aligned codes."""
+    runs = run_grid(spark, "w16", "docvec", dataset(spark, d, "docvec"), [Setting("LG-ACC", efs=(32,))])
+    p = runs.where(F.col("metric").isin("coding_seconds", "total_seconds")).groupBy("workload", "dataset", "method").pivot("metric", ["coding_seconds", "total_seconds"]).agg(F.first("value"))
+    return p.withColumn("share", F.col("coding_seconds") / F.col("total_seconds"))
+
+
+@query()
+def w17_profile_codes(spark, d):
+    """Share of distance work in building on aligned codes."""
+    return run_grid(spark, "w17", "docvec", dataset(spark, d, "docvec"), [Setting(m, strategy="batched", profile=True, efs=(16,)) for m in ("LG", "LG-ACC")]).where(F.col("metric").isin("distance_share", "graph_seconds"))
+
+
+@query()
+def w18_acc_sweep(spark, d):
+    """Kept dimensions at 16 subspaces, and subspaces at all 64 dimensions."""
+    grid = [{"dims": k, "m": 16} for k in (16, 32, 48, 64)] + [{"dims": 64, "m": m} for m in (4, 8, 32)]
+    return run_grid(spark, "w18", "embeddings", dataset(spark, d, "embeddings"), [Setting("LG-ACC", g, efs=(32, 64)) for g in grid])
+
+
+@query()
+def w19_error_condition(spark, d):
+    """How often codes keep the comparison of sampled triples, by codec; near pairs and a near against a far neighbour."""
+    v = stored(dataset(spark, d, "embeddings"), "triples-base")
+    out = []
+    for pair in ((1, 2), (1, 100)):
+        tri = stored(T.sample_triples(v, 300, 100, pair), "triples")
+        for name in ("LG-SQ", "LG-PCA", "LG-PQ", "LG-ACC"):
+            got = T.preserved_fraction(T.margins(tri, METHODS[name]().fit(v))).select(F.explode(F.map_from_arrays(F.array(*map(F.lit, ("strict", "ge", "agree", "ties"))), F.array("strict", "ge", "agree", "ties"))).alias("metric", "value"))
+            out.append(got.select(F.lit("w19").alias("workload"), F.lit("embeddings").alias("dataset"), F.lit(name).alias("method"), F.create_map(F.lit("pair"), F.lit(str(pair))).alias("params"), "metric", "value"))
+    return union(out)
+
+
+@query()
+def w21_constrained(spark, d):
+    """Search among rows of some labels: filter first, or fetch more and filter."""
+    from .graph_queries import index_for
+    from ..operators import measures as M
+    from ..operators import search as S
+
+    index, q = index_for(spark, d, "acc")
+    where = F.col("label") < 3
+    truth = stored(E.filtered_knn(index.vectors, q, where, 10), "truth")
+    out = [M.recall(truth, S.search(index, q, 10, 64, "codes+rerank", where=where, policy=p), 10).select(F.lit(p).alias("policy"), "recall") for p in ("pre", "post")]
+    return out[0].unionByName(out[1])
+
+
+@query()
+def w22_hypotheses(spark, d):
+    """Fewer principal dimensions at equal bits, and fewer bits in table entries, on text vectors."""
+    grid = [Setting("LG-ACC", {"dims": k}, efs=(64,), label={"varied": "dims"}) for k in (16, 32, 64, 128)]
+    grid += [Setting("LG-ACC", {"table_bits": h, "rule": r, "rounding": o}, efs=(64,), label={"varied": "table_bits"}) for h in (6, 8, 12) for r, o in (("sum_of_max", "floor"), ("quantile", "nearest"))]
+    return run_grid(spark, "w22", "docvec", dataset(spark, d, "docvec"), grid)
+
+
+@query("WITH z AS (SELECT row_number() OVER () AS id, l_orderkey, l_linenumber, [" + ", ".join(f"({c} - avg({c}) OVER ()) / stddev_pop({c}) OVER ()" for c in ["l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_linenumber", "date_diff('day', DATE '1992-01-01', CAST(l_shipdate AS DATE))"]) + "] AS vec FROM lineitem), near AS (SELECT q.id AS query_id, q.l_orderkey, q.l_linenumber, sqrt(list_sum(list_transform(list_zip(q.vec, b.vec), lambda p: (p[1] - p[2]) * (p[1] - p[2])))) AS dist FROM z q JOIN z b ON q.l_orderkey % 1000 = 0 AND b.l_orderkey % 10 = 1) SELECT l_orderkey, l_linenumber, CAST(r AS INTEGER) AS rank, round(dist, 4) + 0.0 AS dist FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist) AS r FROM near) WHERE r <= 3")
+def lineitem_knn_sample(spark, d):
+    """Nearest lines of a stated set of lines among a tenth of the orders."""
+    rows = load(spark, d, "lineitem")
+    key = F.pmod(F.xxhash64(*rows.columns), F.lit(1 << 60))
+    v = X.lineitem_vectors(spark, d).join(rows.select(key.alias("vec_id"), "l_orderkey", "l_linenumber"), "vec_id")
+    near = E.exact_knn(v.where("l_orderkey % 10 = 1"), v.where("l_orderkey % 1000 = 0"), 3)
+    return near.join(v.select(F.col("vec_id").alias("query_id"), "l_orderkey", "l_linenumber"), "query_id").select("l_orderkey", "l_linenumber", "rank", (F.round("dist", 4) + F.lit(0.0)).alias("dist"))

@@ -143,7 +143,7 @@ def lower(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 class WordEncoder:
     """Ids of texts by a tokenizer file. The cache is three arrays by word hash and holds at most `held` words, about 30 bytes each."""
 
-    def __init__(self, path: str, held: int = 2_000_000):
+    def __init__(self, path: str, held: int = 1_000_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -154,12 +154,12 @@ class WordEncoder:
         normal, pre = json.dumps(spec.get("normalizer")), json.dumps(spec.get("pre_tokenizer"))
         known = '"Lowercase"' in normal and "[\\\\p{L}]+" in pre and model.get("type") == "BPE" and model.get("end_of_word_suffix") == "</w>" and not model.get("ignore_merges")
         self.merger = Merger(model["vocab"], model["merges"], "</w>") if known else None
-        self.tails: dict[bytes, np.ndarray] = {}
         self._reset()
 
     def _reset(self) -> None:
         self.h, self.at, self.n = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int32)
         self.flat, self.used = np.zeros(1 << 20, np.uint32), 0
+        self.tails: dict[bytes, np.ndarray] = {}
 
     def _library(self, words: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch(words, add_special_tokens=False)] if words else []

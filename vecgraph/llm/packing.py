@@ -2,7 +2,7 @@
 greedily fill its window.
 
 Tokenizing gives each document its number of ids and, for every 64 ids, a CRC-32, from which the checksum of any piece cut at
-multiples of 64 follows by the algebra of CRCs; so ids are made once and never stored or shuffled. Documents are ordered by the least hash
+multiples of 64 follows by the algebra of CRCs; so ids are made once and never stored or shuffled. Documents are ordered by a hash of the least hash
 of their words, which brings near copies and documents that share rare words together, and dealt into shards of a bounded number of documents.
 Each shard has its own inverted index over hashed words (65,536 terms, with document frequencies over all documents); the seed is the longest unused document,
 neighbours come in the order of their BM25 score, whole where they fit, and the best one that does not fit is cut to fill the window. Full windows of
@@ -78,12 +78,12 @@ def joined_crc(parts: np.ndarray, last: int, tables: np.ndarray) -> int:
 
 def measured(docs: DataFrame, key: str, text: str, tokenizer: str, end_id: int) -> DataFrame:
     """A table of (id, row, n, crcs, terms, times, route): what packing needs of each document."""
-    prepare(docs.sparkSession, 8)
+    prepare(docs.sparkSession, 4)
 
     @F.arrow_udf("struct<n long, crcs binary, terms binary, times binary, route long>")
     def measure(texts: pa.Array) -> pa.Array:
         n, crcs, terms, times, route = [], [], [], [], []
-        for i, j in slices(texts):
+        for i, j in slices(texts, 1 << 20):
             ids, cut_ids, h, offsets = encoder(tokenizer).encode(texts[i:j].cast(pa.string()), end_id)
             raw, bounds = memoryview(ids.astype("<u4").tobytes()), (4 * cut_ids).tolist()
             n += np.diff(cut_ids).tolist()
@@ -96,7 +96,7 @@ def measured(docs: DataFrame, key: str, text: str, tokenizer: str, end_id: int)
             some = np.flatnonzero(np.diff(offsets))
             if len(some):
                 least[some] = np.minimum.reduceat(mix(h), offsets[:-1][some])
-            route += least.view(np.int64).tolist()
+            route += mix(least).view(np.int64).tolist()  # mixed again: the least hash falls with a text's length, and long texts shall be spread
             for a, b in zip(cut[:-1], cut[1:], strict=True):
                 terms.append(term[a:b].tobytes())
                 times.append(tf[a:b].tobytes())

@@ -71,7 +71,9 @@ def search(index: Index, queries: DataFrame, k: int = 10, ef: int = 64, mode: st
 def walk(index: Index, queries: DataFrame, ef: int, mode: str = "codes", distance: str = "full", eps: float = 2.1, chunk: int = 16, stop: str = "exhaust", window: int = 16) -> DataFrame:
     """(query_id, segment, vec_id, dist, hops, distances): the candidate set of every query in every segment, with its share of the counters."""
     spark = queries.sparkSession
-    placed = assign_segments(index.vectors.select("vec_id", "vec"), index.segments)
+    # ingested vectors carry their segment; others get it from their id
+    own = "segment" in index.vectors.columns
+    placed = index.vectors.select("vec_id", "vec", "segment") if own else assign_segments(index.vectors.select("vec_id", "vec"), index.segments)
     parts = prepared(assign_levels(placed, index.degree), index.codec)
     full = mode == "exact" or distance == "early_abort"
     if full:

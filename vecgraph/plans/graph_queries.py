@@ -269,3 +269,49 @@ def graph_reports(spark, d):
         one = M.recall(truth, S.search(index, q, K, EF, "exact"), K).join(edges, how="cross").select(F.lit(name).alias("method"), "recall", "mean_degree")
         out = one if out is None else out.unionByName(one)
     return out
+
+
+@query()
+def table_function(spark, d):
+    """The search as a table function in SQL."""
+    from .planner import register_search
+
+    index, q = index_for(spark, d, "acc")
+    register_search(spark, index)
+    q.select("vec_id", "vec").createOrReplaceTempView("asked")
+    return spark.sql("SELECT * FROM graph_search(TABLE(SELECT vec_id, vec FROM asked), 10, 64)")
+
+
+@query()
+def stored_index(spark, d):
+    """Save, load, and search the loaded index; adjacency through the custom data source is counted too."""
+    from ..sources.datasource import register
+    from ..sources.index_store import load_index, save_index
+    from ..sources.tables import shared_dir
+
+    index, q = index_for(spark, d, "acc", segments=2)
+    path = shared_dir(spark, "index")
+    save_index(index, path)
+    register(spark)
+    lists = spark.read.format("vecgraph").load(path.removeprefix("file://")).groupBy("segment").agg(F.count("*").alias("lists"))
+    found = S.search(load_index(spark, path), q, K, EF, "codes+rerank")
+    return neat(found).join(lists.agg(F.sum("lists").alias("lists")), how="cross")
+
+
+@query()
+def latency_budget(spark, d):
+    """The best recall of each method within a budget of distances per query."""
+    from ..operators.measures import recall_at_latency
+    from .workloads import Setting, dataset, run_grid
+
+    runs = run_grid(spark, "latency", "embeddings", dataset(spark, d, "embeddings"), [Setting(m, efs=(8, 32, 128), ks=(1,)) for m in ("LG", "LG-ACC")])
+    wide = runs.withColumn("ef", F.col("params")["ef"]).where("ef is not null").groupBy("method", "ef").pivot("metric", ["recall", "distances_per_query"]).agg(F.first("value"))
+    return recall_at_latency(wide.select("method", F.col("distances_per_query").alias("latency"), "recall"), 300.0)
+
+
+@query()
+def worked_insertion(spark, d):
+    """The fixture of one insertion with a candidate set of four and two neighbours: the candidate set after each step, and the selection."""
+    from .worked import run
+
+    return spark.createDataFrame(run(), "step int, what string, vertices string")

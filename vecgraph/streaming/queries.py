@@ -59,3 +59,83 @@ def interval_join(spark, d):
 @query("SELECT CAST(json_extract(props, '$.k') AS BIGINT) % 10 AS k, count(*) AS n FROM events GROUP BY 1")
 def event_props(spark, d):
     return load(spark, d, "events", "props").groupBy((F.from_json("props", "k bigint")["k"] % 10).alias("k")).agg(F.count("*").alias("n"))
+
+
+# -- the streams themselves, run over files until all are read
+
+
+def _replay(spark, d, parts: int = 4):
+    """events as a stream of files that are read one after another."""
+    from ..sources.tables import shared_dir
+
+    path = shared_dir(spark, "event-files")
+    rows = load(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    rows.repartitionByRange(parts, "event_id").write.parquet(path)
+    return spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
+def _drain(stream, mode: str):
+    from ..sources.tables import shared_dir
+
+    spark = stream.sparkSession
+    out = shared_dir(spark, "stream-out")
+    if mode == "append":
+        q = stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", shared_dir(spark, "stream-state")).outputMode("append").trigger(availableNow=True).start()
+    else:
+        write = lambda batch, i: batch.write.mode("overwrite").parquet(f"{out}/batch={i:06d}")
+        q = stream.writeStream.foreachBatch(write).option("checkpointLocation", shared_dir(spark, "stream-state")).outputMode(mode).trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.read.parquet(out)
+
+
+@query()
+def stream_windows(spark, d):
+    """Daily counts with a watermark of an hour, appended as windows close."""
+    from .ingest import windowed_counts
+
+    return _drain(windowed_counts(_replay(spark, d)), "append")
+
+
+@query("SELECT count(*) AS n FROM events")
+def stream_dedup(spark, d):
+    from .ingest import without_repeats
+
+    twice = _replay(spark, d)
+    return _drain(without_repeats(twice.unionByName(twice), late="60 days").select("event_id"), "append").agg(F.count_distinct("event_id").alias("n"))
+
+
+@query("SELECT user_id, count(*) AS n FROM events GROUP BY user_id")
+def stream_profiles(spark, d):
+    """Per-user state over all batches; the largest count is the last."""
+    from .ingest import user_profiles
+
+    return _drain(user_profiles(_replay(spark, d), late="60 days"), "update").groupBy("user_id").agg(F.max("n").alias("n"))
+
+
+@query("SELECT count(*) AS n FROM events c JOIN events p ON c.user_id = p.user_id AND c.event_type = 'click' AND p.event_type = 'purchase' AND p.ts > c.ts AND p.ts <= c.ts + INTERVAL 6 HOUR")
+def stream_interval_join(spark, d):
+    from .ingest import click_to_purchase
+
+    return _drain(click_to_purchase(_replay(spark, d), late="60 days").select("cu", "ct", "pt"), "append").agg(F.count("*").alias("n"))
+
+
+@query()
+def stream_ingest(spark, d):
+    """Vectors arrive in files; every micro-batch becomes a segment; the index is searched over all segments."""
+    from ..operators import exact as E
+    from ..operators import search as S
+    from ..operators.codecs import AlignedCodec
+    from ..sources.index_store import load_index
+    from ..sources.tables import shared_dir
+    from ..sources.vectors import embedding_vectors, split_queries
+    from .ingest import SegmentIngest
+
+    base, q = split_queries(embedding_vectors(spark, d).select("vec_id", "vec"))
+    files, path = shared_dir(spark, "vector-files"), shared_dir(spark, "ingested")
+    base.repartitionByRange(2, "vec_id").write.parquet(files)
+    codec = AlignedCodec(16, iters=2, sample=0).fit(base)
+    stream = spark.readStream.schema(base.schema).option("maxFilesPerTrigger", 1).parquet(files)
+    SegmentIngest(path, codec).start(stream, shared_dir(spark, "ingest-state")).awaitTermination()
+    index = load_index(spark, path)
+    found = S.walk(index, q, 32)
+    return E.rerank(E.top_k(found, 32), index.vectors, q, 10)

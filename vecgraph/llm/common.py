@@ -66,7 +66,7 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", name: str
     a join on the node id). Every round is a table in the shared folder."""
     both = lambda e: e.select("a", "b").unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
     edges = materialize(edges.select(F.col(a).alias("a"), F.col(b).alias("b")).where("a <> b").distinct(), f"{name}-edges")
-    nodes = materialize(both(edges).select(F.col("a").alias("node")).distinct(), f"{name}-nodes")
+    nodes = both(edges).select(F.col("a").alias("node")).distinct()
     current, before = edges, None
     for _ in range(rounds):
         # large star: neighbours above a node go to the least of its neighbourhood

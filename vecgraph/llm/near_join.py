@@ -184,7 +184,6 @@ def near_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", thres
     own = own.withColumn("side", F.pmod(F.xxhash64("key", "tree"), F.col("blocks")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
     pairs = own.select("key", "tree", "label", "side", other).select("key", "tree", "side", (F.col("side") != F.col("other")).alias("cross"), F.xxhash64("tree", "label", F.least("side", "other"), F.greatest("side", "other")).alias("g"))
-    pairs = materialize(pairs, "near-pairs")
     labelled = pairs.join(classes.select("key", "labels", "copies", "row"), "key")
     columns = "g long, tree int, side int, cross boolean, key long, copies long, row struct<_k1 long, _k2 long>, labels array<long>"
     labelled = labelled.select("g", "tree", "side", "cross", "key", "copies", "row", F.slice("labels", 1, F.greatest(F.col("tree"), F.lit(1))).alias("labels"))
@@ -211,7 +210,7 @@ def near_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", thres
     component = connected_components(links, "key", "root", "near")
     named = classes.join(component, classes["key"] == component["node"], "left").select("key", "copies", "copy_id", F.coalesce("root", "key").alias("root"))
     least = named.groupBy("root").agg(F.min("copy_id").alias("class_id"))
-    named = materialize(named.join(least, "root").join(counts, "key", "left").select("key", "class_id", "copy_id", F.col("copies").alias("n_copies"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links")), "near-named")
+    named = (named.join(least, "root").join(counts, "key", "left").select("key", "class_id", "copy_id", F.col("copies").alias("n_copies"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links")))
     return rows.select(F.col("id").alias(key), "_k1", "_k2", "key").join(named, "key").drop("key")
 
 

@@ -82,7 +82,7 @@ def exchange(bigrams: np.ndarray, classes: int, fixed: int, sweeps: int = SWEEPS
             pairs[a, a] += own
             r[a] -= own
             l[a] -= own
-            rows, cols = pairs.sum(axis=1), pairs.sum(axis=0)
+            rows, cols = pairs.sum(axis=1) + l, pairs.sum(axis=0) + r  # wherever w goes, its neighbours' classes keep their counts
             b = np.arange(classes)
             gain = (xlogx(pairs + r) - xlogx(pairs)).sum(axis=1)[:classes] + (xlogx(pairs + l[:, None]) - xlogx(pairs)).sum(axis=0)[:classes]
             d, dr, dl = pairs[b, b], r[b], l[b]

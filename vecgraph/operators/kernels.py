@@ -302,20 +302,39 @@ def reached(graph: Graph, layer: int = 0) -> np.ndarray:
 
 
 def ensure_reachable(graph: Graph) -> None:
-    """Attach what the entry does not reach to the nearest reached vertex with room, else in place of its last neighbour."""
-    for _ in range(graph.source.n):
-        seen = reached(graph)
-        lost = np.flatnonzero(~seen)
-        if not len(lost):
-            return
-        x, inside = lost[0], np.flatnonzero(seen)
+    """Attach what the entry does not reach to the nearest reached vertex with a free place, or with an edge that the tree of first visits does not need;
+    so what was reached stays reached, degrees hold, and each step reaches at least one vertex more."""
+    adj = graph.adj[0]
+    parent = np.full(graph.source.n, -1, np.int64)
+    if graph.entry < 0:
+        return
+    parent[graph.entry] = graph.entry
+
+    def visit(front: list[int]) -> None:
+        while front:
+            fresh = []
+            for v in front:
+                for y in adj[v][adj[v] >= 0].tolist():
+                    if parent[y] < 0:
+                        parent[y] = v
+                        fresh.append(y)
+            front = fresh
+
+    visit([graph.entry])
+    for x in range(graph.source.n):
+        if parent[x] >= 0:
+            continue
+        inside = np.flatnonzero(parent >= 0)
         d = graph.source.of(graph.source.own(np.array([x])), inside[None, :])[0]
-        order = inside[np.argsort(d, kind="stable")]
-        room = (graph.adj[0][order] < 0).any(axis=1)
-        y = int(order[room.argmax()] if room.any() else order[0])
-        row = graph.adj[0][y].copy()
-        row[int((row >= 0).sum()) if (row < 0).any() else -1] = x
-        graph.set(0, np.array([y]), row[None, :])
+        for y in inside[np.argsort(d, kind="stable")].tolist():
+            row = adj[y].copy()
+            free = np.flatnonzero((row < 0) | (parent[np.maximum(row, 0)] != y))
+            if len(free):
+                row[free[0] if row[free[0]] < 0 else free[-1]] = x
+                graph.set(0, np.array([y]), row[None, :])
+                parent[x] = y
+                visit([x])
+                break
 
 
 def descend(graph: Graph, state: np.ndarray, width: int, **how) -> tuple[np.ndarray, np.ndarray]:

@@ -65,10 +65,10 @@ class ExactCodec:
         return codes.astype(np.float64)
 
     def source(self, x: np.ndarray, **_: object) -> Points:
-        return Points(self.codes(x))
+        return Points(self.codes(x).astype(np.float32))
 
     def query_state(self, q: np.ndarray) -> np.ndarray:
-        return self.codes(q)
+        return self.codes(q).astype(np.float32)
 
     def bytes_per_vector(self) -> float:
         return 4.0 * self.dim
@@ -127,6 +127,9 @@ class ScalarCodec(ExactCodec):
     def source(self, x: np.ndarray, **_: object) -> Points:
         return Points(self.codes(x).astype(np.int16 if self.bits < 16 else np.int32), (self.step**2).astype(np.float32))
 
+    def query_state(self, q: np.ndarray) -> np.ndarray:
+        return self.codes(q).astype(np.int16 if self.bits < 16 else np.int32)
+
     def bytes_per_vector(self, packed: bool = False) -> float:
         """2 and 4 bits are held in bytes unless packed."""
         return self.dim * self.bits / 8 if packed or self.bits >= 8 else float(self.dim)

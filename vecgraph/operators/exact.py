@@ -14,7 +14,6 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 from .codecs import matrix
-from .kernels import fold_sq
 
 BLOCK_BYTES = 64 << 20
 
@@ -105,15 +104,21 @@ def range_search(base: DataFrame, queries: DataFrame, radius: float, self_match:
                 ids, x = b["vec_id"].to_numpy(), matrix(b["vec"])
                 xn = np.sqrt((x * x).sum(axis=1))
                 lo, hi = np.searchsorted(qn[order], [xn - radius - 1e-9, xn + radius + 1e-9])
-                for s in range(0, len(ids), 256):
-                    at = order[lo[s : s + 256].min(initial=len(q)) : hi[s : s + 256].max(initial=0)]
-                    if len(at):
-                        d = np.sqrt(fold_sq(q[at], x[s : s + 256]))
+                for s in range(0, len(ids), 1024):
+                    at = order[lo[s : s + 1024].min(initial=len(q)) : hi[s : s + 1024].max(initial=0)]
+                    for t in range(0, len(at), 4096):
+                        some, part = at[t : t + 4096], x[s : s + 1024]
+                        near = (q[some] * q[some]).sum(1)[:, None] - 2 * (q[some] @ part.T) + (part * part).sum(1)[None, :]
+                        r, c = np.nonzero(near <= radius * radius + 1e-9 * (1 + near.max(initial=0)))  # a product picks, folded sums decide
+                        acc = np.zeros(len(r))
+                        for k in range(q.shape[1]):
+                            diff = q[some[r], k] - part[c, k]
+                            acc += diff * diff
+                        d = np.sqrt(acc)
                         ok = d <= radius
                         if self_match == "exclude":
-                            ok &= qids[at][:, None] != ids[None, s : s + 256]
-                        r, c = np.nonzero(ok)
-                        yield pa.record_batch({"query_id": qids[at][r], "vec_id": ids[s : s + 256][c], "dist": d[r, c]})
+                            ok &= qids[some[r]] != ids[s + c]
+                        yield pa.record_batch({"query_id": qids[some[r]][ok], "vec_id": ids[s + c][ok], "dist": d[ok]})
 
         found = base.select("vec_id", "vec").mapInArrow(within, "query_id long, vec_id long, dist double")
         out = found if out is None else out.unionByName(found)

@@ -80,7 +80,8 @@ class Tables:
         return self.look_up(state, self.offset[ids])
 
     def pair(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        return self.between[self.offset[a][:, None, :], self.codes[b]].sum(axis=-1, dtype=self.wide)
+        rows = self.offset[a] * self.k
+        return self.between.ravel().take(rows[:, None, :] + self.codes[b]).sum(axis=-1, dtype=self.wide)
 
 
 class Graph:

@@ -226,11 +226,23 @@ def w05_indexing(spark, d):
 @query()
 def w05_speedup(spark, d):
     """Speed-up of building over full vectors, next to the share of distances spared."""
-    runs = indexing(spark, d, ("docvec",)).where(F.col("metric").isin("total_seconds", "graph_seconds"))
+    runs = stored(indexing(spark, d, ("docvec",)).where(F.col("metric").isin("total_seconds", "graph_seconds")), "speedup-runs")
     base = runs.where("method = 'LG'").select("dataset", "metric", F.col("value").alias("lg"))
     return runs.join(base, ["dataset", "metric"]).select("dataset", "method", "metric", (F.col("lg") / F.col("value")).alias("speedup"))
 
 
+@query()
+def w05_dimensions(spark, d):
+    """The speed-up of building over full vectors as the dimension grows: text vectors of 64, 256 and 1,024 dimensions."""
+    out = []
+    for dim in (64, 256, 1024):
+        v = C.stable_sample(X.document_vectors(spark, d, dim).select("vec_id", "vec"), 1500)
+        runs = stored(run_grid(spark, "w05", f"docvec-{dim}", v, [Setting(m, efs=(64,)) for m in ALL]).where(F.col("metric").isin("graph_seconds", "distances")), "dimension-runs")
+        lg = runs.where("method = 'LG'").select("metric", F.col("value").alias("lg"))
+        out.append(runs.join(lg, "metric").select("dataset", "method", "metric", (F.col("lg") / F.col("value")).alias("ratio")))
+    return union(out)
+
+
 @query()
 def w06_sizes(spark, d):
     return indexing(spark, d, ("embeddings",)).where("metric = 'index_bytes'").select("dataset", "method", "value")

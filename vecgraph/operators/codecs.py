@@ -411,3 +411,17 @@ CODECS = {"exact": ExactCodec, "sq": ScalarCodec, "pca": PrincipalCodec, "pq": P
 def register_codec(name: str, cls: type[ExactCodec]) -> None:
     """Codecs plug into building and searching by name, e.g. a rotated product codec."""
     CODECS[name] = cls
+
+
+def codec_report(codec: ExactCodec, vectors: DataFrame) -> DataFrame:
+    """One row: mean relative error of the decoded form, distinct codes and vectors, and for quantised tables the entries clamped above and sums that pass the bits of an entry."""
+    from ..functions.vectors import l2_sq, norm_sq
+
+    both = codec.decode(codec.encode(vectors))
+    base = both.agg(F.avg(l2_sq("vec", "decoded") / norm_sq("vec")).alias("rel_error"), F.count_distinct("code").alias("codes"), F.count_distinct("vec").alias("vectors"), F.lit(float(codec.bytes_per_vector())).alias("code_bytes"))
+    if not isinstance(codec, AlignedCodec) or codec.table_bits is None:
+        return base.withColumns({"clamped": F.lit(0).cast("long"), "overflows": F.lit(0).cast("long")})
+    top = 2**codec.table_bits - 1
+    tables = codec.encode_with_tables(vectors).select(F.size(F.filter("adt", lambda x: x >= top)).alias("clamped"), F.aggregate(F.transform(F.sequence(F.lit(0), F.lit(codec.m - 1)), lambda m: F.array_max(F.slice("adt", m * codec.between.shape[1] + 1, F.lit(codec.between.shape[1])))), F.lit(0), lambda s, x: s + x).alias("most"))
+    sums = tables.agg(F.sum("clamped").cast("long").alias("clamped"), F.sum((F.col("most") > top).cast("long")).alias("overflows"))
+    return base.join(sums, how="cross")  # one row each

@@ -728,6 +728,75 @@ def user_profile_vectors(spark, d):
     return X.user_counts(load(spark, d, "events", "user_id", "event_type", "ts")).groupBy("user_id").agg(F.sum("n").alias("n_events"), F.count("*").alias("n_slots"), F.max("n").alias("top"))
 
 
+@query(f"WITH {sql.knn(10)} SELECT query_id, array_to_string(list(vec_id ORDER BY rank), ',') AS ids FROM near GROUP BY query_id")
+def topk_aggregate(spark, d):
+    """The grouped aggregate over distances of a stated query set."""
+    from .functions.udfs import topk_agg
+
+    base, q = split(spark, d)
+    near = E.exact_knn(base, q, 30)
+    return near.groupBy("query_id").agg(topk_agg("vec_id", "dist").alias("ids")).select("query_id", F.array_join(F.col("ids").cast("array<string>"), ",").alias("ids"))
+
+
+@query("SELECT dim, count(*) AS n, round(avg(x), 6) + 0.0 AS mean FROM (SELECT generate_subscripts(embedding, 1) - 1 AS dim, CAST(unnest(embedding) AS DOUBLE) AS x FROM embeddings) GROUP BY dim")
+def explode_dims(spark, d):
+    from .functions.udfs import register_udfs
+
+    register_udfs(spark)
+    emb(spark, d).select("vec_id", "vec").createOrReplaceTempView("vecs")
+    return spark.sql("SELECT dim, count(*) AS n, round(avg(x), 6) + 0.0D AS mean FROM explode_dims(TABLE(vecs)) GROUP BY dim")
+
+
+@query(f"{_PQ_SCAN} SELECT query_id, vec_id, round(dist, 4) + 0.0 AS dist FROM scan WHERE query_id = 0")
+def adc_function(spark, d):
+    """The look-up as an Arrow function over (table, code)."""
+    from .functions.udfs import adc_distance
+
+    base, _ = split(spark, d)
+    c = _pq(spark, d)
+    table = [float(x) for x in c.tables(C.matrix(pa.array([emb(spark, d).where("vec_id = 0").first()["vec"]]))).reshape(-1)]
+    return c.encode(base).select(F.lit(0).cast("long").alias("query_id"), "vec_id", r6(adc_distance(F.array(*map(F.lit, table)), "code"), 4).alias("dist"))
+
+
+@query()
+def codec_reports(spark, d):
+    v, out = emb(spark, d), None
+    for name, c in (("sq", C.ScalarCodec(4)), ("pca", C.PrincipalCodec()), ("pq", C.ProductCodec(8, 4, 2, sample=0)), ("acc", C.AlignedCodec(16, iters=2, sample=0)), ("acc quantile", C.AlignedCodec(16, iters=2, sample=0, rule="quantile", rounding="nearest"))):
+        one = C.codec_report(c.fit(v), v).withColumn("codec", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("SELECT source, count(*) AS n, 64 AS dim FROM embeddings, (VALUES ('csv'), ('json'), ('orc')) s(source) GROUP BY source")
+def file_sources(spark, d):
+    """Vectors written to and read from csv, json and orc files."""
+    from .sources.tables import shared_dir
+
+    v, out = emb(spark, d).select("vec_id", "vec"), None
+    paths = {k: shared_dir(spark, f"vectors-{k}") for k in ("csv", "json", "orc")}
+    v.select("vec_id", F.array_join(F.col("vec").cast("array<string>"), " ")).write.csv(paths["csv"])
+    v.write.json(paths["json"])
+    v.write.orc(paths["orc"])
+    got = {"csv": X.from_csv(spark, paths["csv"]), "json": X.from_json(spark, paths["json"]), "orc": spark.read.orc(paths["orc"])}
+    for k, df in got.items():
+        one = df.select(F.lit(k).alias("source"), F.size("vec").alias("dim")).groupBy("source", "dim").agg(F.count("*").alias("n"))
+        out = one if out is None else out.unionByName(one)
+    return out.select("source", "n", "dim")
+
+
+@query()
+def plan_costs(spark, d):
+    """Exchanges, joins and Python stages that Spark plans for a hop with and without codes beside the ids, and for search and rerank."""
+    base, q = split(spark, d)
+    edges = G.edges_of(_bulk(spark, d))
+    codes = _pq(spark, d).encode(emb(spark, d)).select("vec_id", "code")
+    front = q.select(F.col("vec_id").alias("src")).hint("merge")
+    apart = edges.join(front, "src").join(codes.hint("merge").withColumnRenamed("vec_id", "dst"), "dst")
+    blocks = stored(G.pack_blocks(edges, codes), "blocks")
+    rows = [(n, k, v) for n, df in (("hop, codes apart", apart), ("hop, codes beside ids", blocks.join(front, "src")), ("exact search", E.exact_knn(base, q, 10))) for k, v in M.plan_cost(df).items()]
+    return spark.createDataFrame(rows, "plan string, what string, n int")
+
+
 # -- workloads, streams and the rest are added by their modules
 from .plans import graph_queries, workloads  # noqa: E402, F401
 from .streaming import queries as _stream_queries  # noqa: E402, F401

@@ -126,8 +126,8 @@ def from_raw_floats(spark: SparkSession, path: str, dim: int) -> DataFrame:
     def records(batches):
         for b in batches:
             for file, content in zip(b["file"], b["content"], strict=True):
-                x = np.frombuffer(content.as_py(), "<f4")
-                x = x[: len(x) // dim * dim].astype(np.float64)
+                raw = content.as_py()
+                x = np.frombuffer(raw[: len(raw) // (4 * dim) * 4 * dim], "<f4").astype(np.float64)
                 n = len(x) // dim
                 for i in range(0, n, 8192):
                     part = x[i * dim : min(n, i + 8192) * dim]

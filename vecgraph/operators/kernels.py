@@ -26,6 +26,7 @@ class Points:
 
     def __init__(self, x: np.ndarray, weight: np.ndarray | None = None):
         self.x, self.weight, self.n = x, weight, len(x)
+        self.scale = None if weight is None else np.sqrt(weight)
 
     def state(self, points: np.ndarray) -> np.ndarray:
         return points
@@ -37,7 +38,8 @@ class Points:
         if self.weight is None:
             return np.einsum("...d,...d->...", diff, diff)
         diff = diff.astype(np.float32)
-        return np.einsum("...d,...d,d->...", diff, diff, self.weight)
+        diff *= self.scale
+        return np.einsum("...d,...d->...", diff, diff)
 
     def of(self, state: np.ndarray, ids: np.ndarray) -> np.ndarray:
         return self._sum(self.x[ids] - state[:, None, :])

@@ -143,3 +143,14 @@ def test_planner():
     assert planner.choose(10**6, 100, 10).kind == "graph"
     assert planner.choose(10**6, 100, 10, selectivity=0.001).kind == "exact"
     assert planner.choose(3000, 1, 10, ef=512).kind == "code_scan"
+
+
+def test_frontier_walk_ends_only_without_open_candidates(spark):
+    n = 9  # a chain: the nearest vertex is the last, and each round takes one step
+    base = spark.createDataFrame([(i, [float(i)]) for i in range(1, n)], "vec_id long, vec array<double>")
+    edges = spark.createDataFrame([(i, i + 1) for i in range(1, n - 1)], "src long, dst long")
+    q = spark.createDataFrame([(0, [float(n)])], "vec_id long, vec array<double>")
+    found = G.frontier_search(edges, base, q, 1, 3).collect()
+    assert sorted(r["vec_id"] for r in found) == [n - 3, n - 2, n - 1]
+    with pytest.raises(RuntimeError):
+        G.frontier_search(edges, base, q, 1, 3, 3)

@@ -6,6 +6,7 @@ without any grouping by segment."""
 
 from __future__ import annotations
 
+import itertools
 import math
 import time
 from collections.abc import Iterator
@@ -172,9 +173,10 @@ def reachable(edges: DataFrame, entry: int, rounds: int = 100) -> DataFrame:
     return seen
 
 
-def frontier_search(edges: DataFrame, base: DataFrame, queries: DataFrame, entry: int, width: int, max_iter: int = 50) -> DataFrame:
+def frontier_search(edges: DataFrame, base: DataFrame, queries: DataFrame, entry: int, width: int, max_iter: int | None = None) -> DataFrame:
     """(query_id, vec_id, dist): best-first search of all queries together as a loop of joins; each round expands every query's nearest unexpanded candidate. One join with
-    the adjacency and one with the vectors a round; state is a table in the shared folder."""
+    the adjacency and one with the vectors a round; state is a table in the shared folder. It ends when no query has an unexpanded candidate among its nearest `width`;
+    a walk that still has one after `max_iter` rounds is an error, never a shorter result."""
     from ..functions.vectors import l2_sq
     from ..sources.tables import stored
 
@@ -183,7 +185,7 @@ def frontier_search(edges: DataFrame, base: DataFrame, queries: DataFrame, entry
     measure = lambda pairs: pairs.join(q, "query_id").join(points, "vec_id").select("query_id", "vec_id", l2_sq("qv", "vec").alias("dist"))
     state = stored(measure(q.select("query_id", F.lit(entry).cast("long").alias("vec_id"))).withColumn("done", F.lit(False)), "walk")
     w = W.partitionBy("query_id").orderBy("dist", "vec_id")
-    for _ in range(max_iter):
+    for rounds in itertools.count(1):
         held = state.withColumn("r", F.row_number().over(w)).where(F.col("r") <= width)
         pick = held.where(~F.col("done")).groupBy("query_id").agg(F.min(F.struct("dist", "vec_id")).alias("x")).select("query_id", F.col("x.vec_id").alias("src"))
         fresh = pick.join(edges.select("src", F.col("dst").alias("vec_id")), "src").select("query_id", "vec_id").join(state.select("query_id", "vec_id"), ["query_id", "vec_id"], "left_anti")
@@ -191,6 +193,8 @@ def frontier_search(edges: DataFrame, base: DataFrame, queries: DataFrame, entry
         state = stored(done.unionByName(measure(fresh).withColumn("done", F.lit(False))), "walk")
         if state.withColumn("r", F.row_number().over(w)).where((F.col("r") <= width) & ~F.col("done")).isEmpty():
             break
+        if max_iter is not None and rounds >= max_iter:
+            raise RuntimeError(f"the walk has open candidates after {max_iter} rounds")
     return state.withColumn("r", F.row_number().over(w)).where(F.col("r") <= width).select("query_id", "vec_id", F.sqrt("dist").alias("dist"))
 
 

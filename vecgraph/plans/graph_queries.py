@@ -99,7 +99,7 @@ def frontier_search(spark, d):
     v = emb(spark, d)
     q = v.where("vec_id % 100 = 0")
     edges = stored(G.edges_of(G.bulk_graph(v, 24, 8)).select("src", "dst"), "edges")
-    return neat(E.top_k(G.frontier_search(edges, v, q, 1, 16, 12), 5))
+    return neat(E.top_k(G.frontier_search(edges, v, q, 1, 16), 5))
 
 
 @query()

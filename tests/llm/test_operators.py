@@ -191,6 +191,36 @@ def test_exchange_finds_the_groups():
     assert len(set(got[:6])) == 1 and len(set(got[6:12])) == 1 and got[0] != got[6] and got[12] == 2
 
 
+def test_words_outside_the_core_take_classes_by_their_neighbours(spark):
+    r = random.Random(3)
+    filler = [f"f{i}" for i in range(class_lm.CORE)]
+    rows = [(i, " ".join(r.choices(filler, k=400))) for i in range(100)]
+    # rare words with one ending, in the settings of two common words
+    rows += [(1000 + i, f"{a} x{a} {b} " * 6 + f"{a} {i}{a}qqq {b} {a} {i}{a}qqq {b}") for i in range(60) for a, b in (("one", "two"), ("red", "blue")) for _ in range(2)]
+    got = {x["h"]: x["c"] for x in class_lm.ClassModel.fit(docs(spark, rows)).counts.collect()}
+    assert len(got) > class_lm.CORE
+    named = {}
+    for a in ("one", "red"):
+        h, _, _ = class_lm.token_stream(pa.array([" ".join(f"{i}{a}qqq" for i in range(60))]))
+        named[a] = {got[int(x)] for x in h[:-1].view(np.int64)}
+    assert not named["one"] & named["red"]
+
+
+def test_reassign_raises_the_likelihood():
+    r = np.random.default_rng(5)
+    n = r.integers(0, 4, (9, 9)) + 6 * (np.arange(9)[:, None] % 2 != np.arange(9) % 2)
+    of = np.array([0, 0, 0, 0, 1, 1, 1, 1, 2])
+    one = np.eye(3)[of]
+    pairs = one.T @ n @ one
+    for w in range(8):  # one word alone: the choice is that of moving it and counting again
+        sums = np.concatenate([n[w] @ one, n[:, w] @ one]).astype(np.int64)
+        key = np.flatnonzero(sums)
+        to = class_lm.reassign(pairs, of[[w]], np.zeros(len(key), np.int64), key, sums[key])[0]
+        if to != of[w]:
+            moved = np.where(np.arange(9) == w, to, of)
+            assert class_lm.likelihood(np.eye(3)[moved].T @ n @ np.eye(3)[moved]) > class_lm.likelihood(pairs)
+
+
 # -- op5
 
 
@@ -394,5 +424,14 @@ def test_near_join_odd_rows(spark):
     assert near_join.near_classes(docs(spark, [])).count() == 0 and near_join.keep_one(docs(spark, [])).count() == 0
 
 
+def test_near_join_keeps_classes_apart_that_share_an_id(spark):
+    one, two = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    rows = [(1, one), (1, two), (2, two + " more"), (None, "x y z"), (None, "X, y z"), (None, "p " * 3 + one.replace("a", "c")), (None, one.replace("a", "c"))]
+    kept = [x["text"] for x in near_join.keep_one(docs(spark, rows)).collect()]
+    assert len(kept) == 4 and one in kept and two in kept
+    got = near_join.near_classes(docs(spark, rows)).collect()
+    assert len({x["class_key"] for x in got}) == 4 and {x["class_id"] for x in got} == {1, None}
+
+
 def test_prefix_is_shortened_to_the_target():
     assert near_join.prefix_length(0.8) == 3 and near_join.prefix_length(0.8, trees=100) > 3 and near_join.prefix_length(0.5, target=0.999999) == 1

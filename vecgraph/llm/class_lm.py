@@ -2,15 +2,18 @@
 
 Tokens are runs without ASCII white space, A-Z in lower case, and one end token for each text. Words are named by 64-bit hashes.
 
-Training, over all training texts: (1) counts of every word; (2) bigram counts among the `CLUSTERED` commonest words, one
-symbol for all other words and the end; the exchange algorithm moves one word at a time to the class that raises the
-likelihood of the bigrams most; (3) words beyond those take the class in which their last three (else two, else one)
-bytes weigh most, a rule that every task can apply by itself; (4) transition counts of the classes over all training tokens, token and word
-totals of each class over all words. Transitions are smoothed towards the class distribution, emissions by adding 0.5 to
+Training, over all training texts: (1) counts of every word; (2) a start: the exchange algorithm on the bigrams of the `CORE`
+commonest words, one symbol for all other words and the end; the others start in the class in which their last three (else two, else
+one) bytes weigh most; (3) the table of all bigrams, and `WIDE_SWEEPS` exchange sweeps over every word: the core words one by one on the driver,
+every other word at once in tasks, each by its counts of neighbouring classes against the class-by-class sums; classes of
+neighbours come by joins, and a sweep that does not raise the likelihood is taken back; (4) transition counts of the classes over
+all training tokens, token and word totals of each class over all words. Words unseen in training take the class of their last bytes.
+Transitions are smoothed towards the class distribution, emissions by adding 0.5 to
 each word of the class and to one unseen word.
 
 Scoring: a table of the `COMMON` commonest words, of fixed size, is broadcast. Tokens outside it become rows (text, word) that
-are joined with the whole table of counts, and their parts are summed per text; a text itself is never shuffled.
+are joined with the whole table of counts and classes, and their parts are summed per text; moves beside such tokens travel as class codes. A text
+itself is never shuffled.
 
 Null texts count as empty: one end token. Rows repeated whole are scored and counted each. With no training text the
 model is uniform over one unseen word and the end. Columns of the input other than text pass through."""
@@ -27,7 +30,7 @@ from pyspark.sql import functions as F
 from .common import crc_bucket, materialize, prepare, table
 from .words import slices, tokens
 
-CLUSTERED, COMMON, CLASSES, SWEEPS, SMOOTHING = 2000, 1 << 18, 48, 6, 20.0
+CORE, COMMON, CLASSES, SWEEPS, WIDE_SWEEPS, SMOOTHING = 2000, 1 << 18, 48, 6, 2, 20.0
 END = np.uint64(0x5EED5EED5EED5EED)
 
 
@@ -59,18 +62,30 @@ class Lookup:
         return np.where(self.keys[at] == u, self.order[at], -1)[back]
 
 
-def exchange(bigrams: np.ndarray, classes: int, fixed: int, sweeps: int = SWEEPS) -> np.ndarray:
+def xlogx(x: np.ndarray) -> np.ndarray:
+    return np.where(x > 0, x * np.log(np.maximum(x, 1)), 0.0)
+
+
+def likelihood(pairs: np.ndarray) -> float:
+    """Log likelihood of the bigrams under the class-by-class sums, up to a constant of the words."""
+    return float(xlogx(pairs).sum() - xlogx(pairs.sum(axis=1)).sum() - xlogx(pairs.sum(axis=0)).sum())
+
+
+def exchange(bigrams: np.ndarray, classes: int, fixed: int, sweeps: int = SWEEPS, start: tuple[np.ndarray, ...] | None = None) -> np.ndarray:
     """Classes of the symbols of a square matrix of bigram counts. The last `fixed` symbols keep a class each of their own,
-    numbered from `classes`; the others start dealt out in order. Stops when a sweep moves nothing."""
+    numbered from `classes`; the others start dealt out in order. Stops when a sweep moves nothing. `start`: classes to start from, counts of the
+    class after and before by symbol, and class-by-class sums, which also hold neighbours outside the matrix; the sums are changed in place."""
     v, total = len(bigrams), classes + fixed
     free = v - fixed
-    of = np.concatenate([np.arange(free) % max(classes, 1), classes + np.arange(fixed)]).astype(np.int64)
-    onehot = np.zeros((v, total))
-    onehot[np.arange(v), of] = 1
     counts = bigrams.astype(np.float64)
-    right, left = counts @ onehot, counts.T @ onehot  # by word: counts of the class after, before
-    pairs = onehot.T @ right
-    xlogx = lambda x: np.where(x > 0, x * np.log(np.maximum(x, 1)), 0.0)
+    if start is None:
+        of = np.concatenate([np.arange(free) % max(classes, 1), classes + np.arange(fixed)]).astype(np.int64)
+        onehot = np.zeros((v, total))
+        onehot[np.arange(v), of] = 1
+        right, left = counts @ onehot, counts.T @ onehot  # by word: counts of the class after, before
+        pairs = onehot.T @ right
+    else:
+        of, right, left, pairs = start[0].copy(), *start[1:]
     for _ in range(sweeps):
         moved = 0
         for w in range(free):
@@ -108,8 +123,36 @@ def exchange(bigrams: np.ndarray, classes: int, fixed: int, sweeps: int = SWEEPS
     return of
 
 
+def reassign(pairs: np.ndarray, own: np.ndarray, word: np.ndarray, key: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """The best class of each word against fixed class-by-class sums. own: class of each word now; (word, key, n): counts of its neighbouring
+    classes, grouped by word; keys below the number of all classes are the class after, the others the class before."""
+    c, lead = len(pairs), np.flatnonzero(np.concatenate([[True], word[1:] != word[:-1]]))
+    after = np.concatenate([pairs.T, pairs])[:, : c - 1]  # by key: the sums that a word of each class adds to
+    gain = np.empty((len(own), c - 1))
+    stay = np.empty(len(own))
+    total = np.add.reduceat(np.where(key < c, n, 0), lead).astype(np.float64)
+    step = 1 << 14
+    cuts = [0]  # whole words, about `step` rows at a time
+    while cuts[-1] < len(lead):
+        cuts.append(max(cuts[-1] + 1, int(np.searchsorted(lead, lead[cuts[-1]] + step))))
+    for i, j in zip(cuts[:-1], cuts[1:], strict=True):
+        a, b = lead[i], lead[j] if j < len(lead) else len(word)
+        some, at = np.unique(key[a:b] * (1 << 40) + n[a:b], return_inverse=True)  # few different (key, n): one table row each
+        k, m = some >> 40, (some & ((1 << 40) - 1)).astype(np.float64)[:, None]
+        more = xlogx(after[k] + m) - xlogx(after[k])
+        less = xlogx(after[k]) - xlogx(np.maximum(after[k] - m, 0))
+        gain[i:j] = np.add.reduceat(more[at], lead[i:j] - a, axis=0)
+        stay[i:j] = np.add.reduceat(less[at, np.repeat(own[i:j], np.diff(np.append(lead[i:j], b)))], lead[i:j] - a)
+    for sums in (pairs.sum(axis=1)[: c - 1], pairs.sum(axis=0)[: c - 1]):
+        gain -= xlogx(sums + total[:, None]) - xlogx(sums)
+        stay -= xlogx(sums[own]) - xlogx(np.maximum(sums[own] - total, 0))
+    gain[np.arange(len(own)), own] = stay
+    to = gain.argmax(axis=1)
+    return np.where(gain[np.arange(len(own)), to] > stay + 1e-9, to, own)
+
+
 class ClassModel:
-    """The fitted parts of bounded size; `counts` is the table (h, n) of all words."""
+    """The fitted parts of bounded size; `counts` is the table (h, n, c) of all words, their counts and classes."""
 
     def __init__(self, counts: DataFrame, total: int, distinct: int):
         self.counts, self.total, self.distinct = counts, total, distinct
@@ -148,7 +191,7 @@ class ClassModel:
         counts = texts.mapInArrow(count, "h long, tail int, n long").groupBy("h").agg(F.first("tail").alias("tail"), F.sum("n").alias("n"))
         counts = materialize(counts, "word-counts")
         row = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-        model = cls(counts.select("h", "n"), int(row[0]), int(row[1]))
+        model = cls(counts, int(row[0]), int(row[1]))
         words = counts.where(F.col("h") != int(END.view(np.int64)))
         # the least count with at most COMMON words at or above it, from a histogram of bounded size
         step, held, least = F.floor(F.log2("n") * 64).cast("int"), 0, None
@@ -160,14 +203,20 @@ class ClassModel:
         common = words.where(F.col("n") >= F.lit(least)).toArrow()
         order = np.lexsort((common["h"].to_numpy(), -common["n"].to_numpy()))
         hashes, tails, n = common["h"].to_numpy()[order].view(np.uint64), common["tail"].to_numpy()[order].astype(np.uint32), common["n"].to_numpy()[order].astype(np.int64)
-        model._cluster(texts, hashes[:CLUSTERED], tails[:CLUSTERED], n[:CLUSTERED])
-        model._transitions(texts, counts)
-        end = counts.where(F.col("h") == int(END.view(np.int64))).first()
-        model.common = Lookup(np.concatenate([hashes, np.array([END], np.uint64)]))
-        model.common_n = np.concatenate([n, [end["n"] if end else 0]])
+        matrix = model._cluster(texts, hashes[:CORE], tails[:CORE], n[:CORE])
+        pairs = model._exchange_all(texts, counts, matrix)
+        model._totals(pairs)
+        model.common, model.common_n = Lookup(np.concatenate([hashes, np.array([END], np.uint64)])), np.concatenate([n, [0]])
+        model.word_class = np.full(len(model.common_n), CLASSES)
+        for b in model.counts.where((F.col("n") >= F.lit(least)) | (F.col("h") == int(END.view(np.int64)))).select("h", "n", "c").toArrow().to_batches():
+            at = model.common.find(b["h"].to_numpy().view(np.uint64))
+            model.common_n[at], model.word_class[at] = b["n"].to_numpy(), b["c"].to_numpy()
+        model.clustered = model.common
+        model._endings(tails, model.word_class[:-1], n)
         return model
 
-    def _cluster(self, texts: DataFrame, hashes: np.ndarray, tails: np.ndarray, n: np.ndarray) -> None:
+    def _cluster(self, texts: DataFrame, hashes: np.ndarray, tails: np.ndarray, n: np.ndarray) -> np.ndarray:
+        """Classes to start from; returns the bigram counts of the core words and the end."""
         self.clustered = lookup = Lookup(hashes)
         size, k = len(hashes) + 2, len(hashes)
         sent = texts.sparkSession.sparkContext.broadcast(lookup)
@@ -188,64 +237,98 @@ class ClassModel:
         found = texts.mapInArrow(pairs, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).toArrow()
         matrix = np.zeros(size * size, np.int64)
         matrix[found["pair"].to_numpy()] = found["n"].to_numpy()
-        self.word_class = exchange(matrix.reshape(size, size), CLASSES, 2)[:k] if k else np.zeros(1, np.int64)
+        matrix = matrix.reshape(size, size)
+        self.word_class = exchange(matrix, CLASSES, 2)[:k] if k else np.zeros(0, np.int64)
+        self._endings(tails, self.word_class, n)
+        inner = np.append(np.arange(k), k + 1)
+        return matrix[np.ix_(inner, inner)]
+
+    def _endings(self, tails: np.ndarray, classes: np.ndarray, n: np.ndarray) -> None:
         self.suffixes = {}
         for bytes_ in (3, 2, 1):
             t = tails & np.uint32((1 << 8 * bytes_) - 1)
             keys, at = np.unique(t, return_inverse=True)
-            weight = np.zeros((len(keys), CLASSES))
-            np.add.at(weight, (at, self.word_class[:k]), n)
+            weight = np.bincount(at * CLASSES + classes, weights=n, minlength=len(keys) * CLASSES).reshape(-1, CLASSES)
             self.suffixes[bytes_] = (keys, weight.argmax(axis=1) if len(keys) else np.zeros(0, np.int64))
 
-    def _transitions(self, texts: DataFrame, counts: DataFrame) -> None:
-        c = CLASSES + 1
-        rule = RuleOnly(self)
-        sent = texts.sparkSession.sparkContext.broadcast(rule)
+    def _exchange_all(self, texts: DataFrame, counts: DataFrame, matrix: np.ndarray) -> np.ndarray:
+        """Sets `counts` with the classes of all words; returns the class-by-class sums over all training tokens. Words of a bigram are named by
+        their row among the core words, the end by `k`, others by their hash; bigrams within the core are those of `matrix`; `ca` and `cb` are classes of the words outside the core."""
+        spark, c, k, end = texts.sparkSession, CLASSES + 1, len(matrix) - 1, int(END.view(np.int64))
+        rule = spark.sparkContext.broadcast(RuleOnly(self))
 
-        def moves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            matrix = np.zeros(c * c, np.int64)
+        def bigrams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
                 for i, j in slices(b["text"]):
                     h, tail, _ = token_stream(b["text"][i:j])
-                    k = sent.value.classes_of(h, tail)
-                    matrix += np.bincount(np.concatenate([[CLASSES], k[:-1]]) * c + k, minlength=c * c)
-            some = np.flatnonzero(matrix)
-            yield pa.record_batch({"pair": some, "n": matrix[some]})
-
-        def members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            sums = np.zeros((2, c), np.int64)
+                    row = rule.value.clustered.find(h)
+                    row = np.where(h == END, k, row)
+                    cls = np.where(row >= 0, -1, rule.value.classes_of(h, tail)).astype(np.int8)
+                    name = np.where(row >= 0, row, h.view(np.int64))
+                    before, cb = np.concatenate([[k], name[:-1]]), np.concatenate([[-1], cls[:-1]]).astype(np.int8)
+                    mixed = before.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + name.view(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)
+                    _, first, n = np.unique(mixed, return_index=True, return_counts=True)
+                    some = (cls[first] >= 0) | (cb[first] >= 0)
+                    first, n = first[some], n[some]
+                    for s in range(0, len(first), 100_000):
+                        f = first[s : s + 100_000]
+                        yield pa.record_batch({"a": before[f], "b": name[f], "ca": cb[f], "cb": cls[f], "n": n[s : s + 100_000].astype(np.int64)})
+
+        # counts stay those of a slice of texts: all that is made of them are sums
+        labelled = materialize(texts.mapInArrow(bigrams, "a long, b long, ca byte, cb byte, n long"), "lm-bigrams")
+
+        def first_classes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                k = sent.value.classes_of(b["h"].to_numpy().view(np.uint64), b["tail"].to_numpy().astype(np.uint32))
-                sums[0] += np.bincount(k, weights=b["n"].to_numpy(), minlength=c).astype(np.int64)
-                sums[1] += np.bincount(k, minlength=c)
-            yield pa.record_batch({"class": np.arange(c), "tokens": sums[0], "words": sums[1]})
-
-        matrix = np.zeros(c * c)
-        for r in texts.mapInArrow(moves, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).collect():
-            matrix[r["pair"]] = r["n"]
-        matrix = matrix.reshape(c, c)
+                h = b["h"].to_numpy().view(np.uint64)
+                yield pa.record_batch({"h": b["h"], "c": rule.value.classes_of(h, b["tail"].to_numpy().astype(np.uint32)).astype(np.int8)})
+
+        core = pa.table({"h": self.clustered.keys.view(np.int64), "row": self.clustered.order.astype(np.int64)})
+        others = counts.where(F.col("h") != end).select("h", "tail").join(F.broadcast(spark.createDataFrame(core.to_pandas(), "h long, row long")), "h", "left_anti")
+        rare, of = others.mapInArrow(first_classes, "h long, c byte"), np.append(self.word_class, CLASSES)
+        pairs, right, left = class_sums(labelled, of, matrix)
+        for _ in range(WIDE_SWEEPS if k else 0):
+            was = (rare, of, pairs.copy())
+            of = exchange(matrix, CLASSES, 1, start=(of, right, left, pairs))
+            rare = materialize(best_classes(labelled, of, pairs, k), "lm-classes")
+            outside = lambda x: (F.col(x) < 0) | (F.col(x) > k)
+            for word, cls in (("a", "ca"), ("b", "cb")):
+                joined = labelled.where(outside(word)).drop(cls).join(rare.select(F.col("h").alias(word), F.col("c").alias(cls)), word)
+                labelled = labelled.where(~outside(word)).unionByName(joined)
+            labelled = materialize(labelled, "lm-bigrams")
+            pairs, right, left = class_sums(labelled, of, matrix)
+            if likelihood(pairs) <= likelihood(was[2]):
+                rare, of, pairs = was
+                break
+        known = spark.createDataFrame(pa.table({"h": np.append(self.clustered.keys[np.argsort(self.clustered.order)].view(np.int64), end), "c": of.astype(np.int8)}).to_pandas(), "h long, c byte")
+        self.counts = materialize(counts.select("h", "n").join(known.unionByName(rare), "h"), "lm-words")
+        return pairs
+
+    def _totals(self, matrix: np.ndarray) -> None:
+        c = CLASSES + 1
         prior = (matrix.sum(axis=0) + 0.5) / (matrix.sum() + 0.5 * c)
         self.log_move = np.log10((matrix + SMOOTHING * prior) / (matrix.sum(axis=1, keepdims=True) + SMOOTHING))
         self.class_tokens, self.class_words = np.zeros(c), np.zeros(c)
-        for r in counts.select("h", "tail", "n").mapInArrow(members, "class long, tokens long, words long").groupBy("class").agg(F.sum("tokens").alias("t"), F.sum("words").alias("w")).collect():
-            self.class_tokens[r["class"]], self.class_words[r["class"]] = r["t"], r["w"]
+        for r in self.counts.groupBy("c").agg(F.sum("n").alias("t"), F.count("*").alias("w")).collect():
+            self.class_tokens[r["c"]], self.class_words[r["c"]] = r["t"], r["w"]
 
     def score(self, docs: DataFrame, text: str = "text") -> DataFrame:
         """docs without text, with n_tokens, n_known, base_score, score, perplexity."""
         prepare(docs.sparkSession)
         sent = docs.sparkSession.sparkContext.broadcast(RuleOnly(self))
 
-        @F.arrow_udf("struct<n_tokens long, n_known long, base double, score double, word array<long>, class array<int>, times array<int>>")
+        @F.arrow_udf("struct<n_tokens long, n_known long, base double, score double, word array<long>, class array<int>, times array<int>, moves array<int>>")
         def parts(texts: pa.Array) -> pa.Array:
             m, out = sent.value, []
             for i, j in slices(texts):
                 h, tail, offsets = token_stream(texts[i:j].cast(pa.string()))
-                row, c = m.common.find(h), m.classes_of(h, tail)
+                row, c = m.common.find(h), m.classes_of(h, tail)  # of words outside the table, the class if training has not seen them
                 n = m.common_n[row]
                 ends = np.zeros(len(h), bool)
                 ends[offsets[:-1]] = True
                 before = np.where(ends, CLASSES, np.concatenate([[CLASSES], c[:-1]]))
-                move, known = m.log_move[before, c], row >= 0
+                known = row >= 0
+                sure = known & (ends | np.concatenate([[True], known[:-1]]))
+                move = np.where(sure, m.log_move[before, c], 0.0)
                 base, emit = np.where(known, m.log_base(n), 0.0), np.where(known, m.log_emission(n, c), 0.0)
                 doc = np.repeat(np.arange(j - i), np.diff(offsets))
                 at = np.flatnonzero(~known)
@@ -258,21 +341,108 @@ class ClassModel:
                 cut = pa.array(np.searchsorted(doc[first], np.arange(j - i + 1)).astype(np.int32))
                 lists = [pa.ListArray.from_arrays(cut, pa.array(x)) for x in (h[first].view(np.int64), c[first].astype(np.int32), times.astype(np.int32))]
                 sums = [np.add.reduceat(x, offsets[:-1]) for x in (known.astype(np.int64), base, move + emit)]
-                out.append(pa.StructArray.from_arrays([pa.array(np.diff(offsets)), *map(pa.array, sums), *lists], ["n_tokens", "n_known", "base", "score", "word", "class", "times"]))
+                # moves into or out of words outside the table: class before and after, or -1 - (place in the text's list of words)
+                code = c.astype(np.int32)
+                code[order] = -1 - (np.cumsum(fresh) - 1 - cut.to_numpy()[doc[order]])
+                open_ = np.flatnonzero(~sure)
+                two = np.stack([np.where(ends, CLASSES, np.concatenate([[CLASSES], code[:-1]]))[open_], code[open_]], axis=1).ravel().astype(np.int32)
+                lists.append(pa.ListArray.from_arrays(pa.array((2 * np.searchsorted(doc[open_], np.arange(j - i + 1))).astype(np.int32)), pa.array(two)))
+                out.append(pa.StructArray.from_arrays([pa.array(np.diff(offsets)), *map(pa.array, sums), *lists], ["n_tokens", "n_known", "base", "score", "word", "class", "times", "moves"]))
             return pa.concat_arrays(out)
 
         rows = docs.withColumn("_p", parts(F.col(text))).drop(text).withColumn("_row", F.monotonically_increasing_id())
         rows = materialize(rows, "lm-parts")  # row numbers are fixed from here on
-        rare = rows.select("_row", F.explode(F.arrays_zip("_p.word", "_p.class", "_p.times")).alias("x")).select("_row", F.col("x.word").alias("h"), F.col("x.class").alias("c"), F.col("x.times").alias("times"))
-        n = F.coalesce("n", F.lit(0))
-        size = F.element_at(F.array(*[F.lit(float(t + 0.5 * (w + 1))) for t, w in zip(self.class_tokens, self.class_words, strict=True)]), F.col("c") + 1)
-        joined = rare.join(self.counts, "h", "left").select("_row", (F.col("times") * F.when(n > 0, 1).otherwise(0)).alias("known"), (F.col("times") * F.log10((n + 0.5) / F.lit(self.total + 0.5 * (self.distinct + 1)))).alias("base"), (F.col("times") * F.log10((n + 0.5) / size)).alias("emit"))
-        extra = joined.groupBy("_row").agg(F.sum("known").alias("_known"), F.sum("base").alias("_base"), F.sum("emit").alias("_emit"))
+        rare = rows.select("_row", F.posexplode(F.arrays_zip("_p.word", "_p.class", "_p.times")).alias("at", "x")).select("_row", "at", F.col("x.word").alias("h"), F.col("x.class").alias("rule"), F.col("x.times").alias("times"))
+        n, c = F.coalesce("n", F.lit(0)), F.coalesce(F.col("c").cast("int"), "rule")
+        size = F.element_at(F.array(*[F.lit(float(t + 0.5 * (w + 1))) for t, w in zip(self.class_tokens, self.class_words, strict=True)]), c + 1)
+        joined = rare.join(self.counts, "h", "left").select("_row", "at", c.alias("c"), (F.col("times") * F.when(n > 0, 1).otherwise(0)).alias("known"), (F.col("times") * F.log10((n + 0.5) / F.lit(self.total + 0.5 * (self.distinct + 1)))).alias("base"), (F.col("times") * F.log10((n + 0.5) / size)).alias("emit"))
+        extra = joined.groupBy("_row").agg(F.sum("known").alias("_known"), F.sum("base").alias("_base"), F.sum("emit").alias("_emit"), F.transform(F.sort_array(F.collect_list(F.struct("at", "c"))), lambda x: x["c"]).alias("_classes"))
+
+        @F.arrow_udf("double")
+        def moved(moves: pa.Array, classes: pa.Array) -> pa.Array:
+            out = np.zeros(len(moves))
+            for i in range(len(moves)):
+                x, c = moves[i].values, classes[i].values
+                if x is not None and len(x):
+                    x = x.to_numpy()
+                    if c is not None and len(c):
+                        x = np.where(x < 0, c.to_numpy(zero_copy_only=False)[np.maximum(-1 - x, 0)], x)
+                    out[i] = sent.value.log_move[x[::2], x[1::2]].sum()
+            return pa.array(out)
+
         zero = lambda x: F.coalesce(x, F.lit(0))
         own = [c for c in docs.columns if c != text]
-        out = rows.select(*[f"`{c}`" for c in own], "_row", F.struct("_p.n_tokens", "_p.n_known", "_p.base", "_p.score").alias("_p")).join(extra, "_row", "left")
-        out = out.withColumns({"n_tokens": F.col("_p.n_tokens"), "n_known": (F.col("_p.n_known") + zero("_known")).cast("long"), "base_score": F.col("_p.base") + zero("_base"), "score": F.col("_p.score") + zero("_emit")})
-        return out.withColumn("perplexity", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens"))).drop("_row", "_p", "_known", "_base", "_emit")
+        out = rows.select(*[f"`{c}`" for c in own], "_row", F.struct("_p.n_tokens", "_p.n_known", "_p.base", "_p.score", "_p.moves").alias("_p")).join(extra, "_row", "left")
+        out = out.withColumns({"n_tokens": F.col("_p.n_tokens"), "n_known": (F.col("_p.n_known") + zero("_known")).cast("long"), "base_score": F.col("_p.base") + zero("_base"), "score": F.col("_p.score") + zero("_emit") + moved("_p.moves", "_classes")})
+        return out.withColumn("perplexity", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens"))).drop("_row", "_p", "_known", "_base", "_emit", "_classes")
+
+
+def class_sums(labelled: DataFrame, of: np.ndarray, matrix: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sums by class and class, and for each core word and the end its counts of the class after and before."""
+    c, k = CLASSES + 1, len(matrix) - 1
+    sent, size = labelled.sparkSession.sparkContext.broadcast(of), c * c + 2 * c * (k + 1)
+
+    def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out = np.zeros(size, np.int64)
+        for rows in batches:
+            a, b, n, ca, cb = core_classes(rows, sent.value, k)
+            for at, some in ((ca * c + cb, slice(None)), (c * c + a * 2 * c + cb, (a >= 0) & (a <= k)), (c * c + b * 2 * c + c + ca, (b >= 0) & (b <= k))):
+                np.add.at(out, at[some], n[some])
+        some = np.flatnonzero(out)
+        for i in range(0, len(some), 100_000):
+            yield pa.record_batch({"at": some[i : i + 100_000], "n": out[some[i : i + 100_000]]})
+
+    out = np.zeros(size)
+    found = labelled.mapInArrow(sums, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
+    out[found["at"].to_numpy()] = found["n"].to_numpy()
+    by_word = out[c * c :].reshape(k + 1, 2, c)
+    one = np.eye(c)[of]
+    return out[: c * c].reshape(c, c) + one.T @ matrix @ one, by_word[:, 0] + matrix @ one, by_word[:, 1] + matrix.T @ one
+
+
+def core_classes(rows: pa.RecordBatch, of: np.ndarray, k: int) -> tuple[np.ndarray, ...]:
+    """a, b, n and the classes of a and b of a batch of bigrams."""
+    a, b, n, ca, cb = (rows[x].to_numpy().astype(np.int64) for x in ("a", "b", "n", "ca", "cb"))
+    inside = lambda x, cls: np.where((x >= 0) & (x <= k), of[np.clip(x, 0, k)], cls)
+    return a, b, n, inside(a, ca), inside(b, cb)
+
+
+def best_classes(labelled: DataFrame, of: np.ndarray, pairs: np.ndarray, k: int) -> DataFrame:
+    """(h, c) of every word outside the core, from its counts of neighbouring classes."""
+    c = CLASSES + 1
+    sent = labelled.sparkSession.sparkContext.broadcast((of, pairs))
+
+    def contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in batches:
+            a, b, n, ca, cb = core_classes(rows, sent.value[0], k)
+            oa, ob = (a < 0) | (a > k), (b < 0) | (b > k)
+            h, own, key = np.concatenate([a[oa], b[ob]]), np.concatenate([ca[oa], cb[ob]]), np.concatenate([cb[oa], c + ca[ob]])
+            yield pa.record_batch({"h": h, "own": own.astype(np.int8), "key": key.astype(np.int8), "n": np.concatenate([n[oa], n[ob]])})
+
+    def chosen(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
+        h, own, key, n = (np.concatenate([p[x].to_numpy() for p in parts]) for x in ("h", "own", "key", "n"))
+        words, first, word = np.unique(h, return_index=True, return_inverse=True)
+        at, back = np.unique(word * (2 * c) + key, return_inverse=True)
+        total = np.bincount(back, weights=n).astype(np.int64)
+        return pa.record_batch({"h": words, "c": reassign(sent.value[1], own[first].astype(np.int64), at // (2 * c), at % (2 * c), total).astype(np.int8)})
+
+    def choose(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, rows = [], 0
+        for b in batches:
+            if not b.num_rows:
+                continue
+            last = b["h"].to_numpy()
+            if rows >= 200_000 and last[-1] != held[-1]["h"][-1].as_py():
+                cut = int((last == held[-1]["h"][-1].as_py()).sum())  # sorted: the rest of the word stands first
+                yield chosen([*held, b.slice(0, cut)])
+                held, rows, b = [], 0, b.slice(cut)
+            held.append(b)
+            rows += b.num_rows
+        if held:
+            yield chosen(held)
+
+    found = labelled.mapInArrow(contexts, "h long, own byte, key byte, n long")
+    return found.repartition("h").sortWithinPartitions("h").mapInArrow(choose, "h long, c byte")
 
 
 class RuleOnly(ClassModel):

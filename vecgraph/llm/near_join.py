@@ -163,7 +163,8 @@ def joined(threshold: float):
 
 
 def near_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = 0.8, trees: int = TREES, depth: int = DEPTH, target: float = TARGET) -> DataFrame:
-    """(key, class_id, copy_id, n_copies, n_links) for every row, plus _k1 and _k2, the row's keys."""
+    """(key, class_id, copy_id, n_copies, n_links) for every row, plus _k1 and _k2, the row's keys, and class_key, the root of its component: classes
+    whose rows share an id have one class_id, but never one class_key."""
     prepare(docs.sparkSession)
     prefix = prefix_length(threshold, trees, depth, target)
     docs = docs.select(F.col(key).alias("id"), F.col(text).cast("string").alias("text"))
@@ -210,7 +211,7 @@ def near_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", thres
     component = connected_components(links, "key", "root", "near")
     named = classes.join(component, classes["key"] == component["node"], "left").select("key", "copies", "copy_id", F.coalesce("root", "key").alias("root"))
     least = named.groupBy("root").agg(F.min("copy_id").alias("class_id"))
-    named = (named.join(least, "root").join(counts, "key", "left").select("key", "class_id", "copy_id", F.col("copies").alias("n_copies"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links")))
+    named = (named.join(least, "root").join(counts, "key", "left").select("key", F.col("root").alias("class_key"), "class_id", "copy_id", F.col("copies").alias("n_copies"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links")))
     return rows.select(F.col("id").alias(key), "_k1", "_k2", "key").join(named, "key").drop("key")
 
 
@@ -219,13 +220,11 @@ def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold
     and of rows repeated with other columns the least of those. Columns are those of docs."""
     names = row_keys(key, text)
     found = near_classes(docs, key, text, threshold)
-    # classes whose ids are all null have no name of their own; their rows are told apart by the copy they belong to
-    group = F.coalesce(F.col("class_id").cast("string"), F.concat(F.lit("row "), F.col("_k1").cast("string")))
-    chosen = found.groupBy(group.alias("group")).agg(F.min(F.struct(F.col(key).isNull().alias("none"), F.col(key).alias("id"), "_k1", "_k2")).alias("x")).select("x._k1", "x._k2")
+    chosen = found.groupBy("class_key").agg(F.min(F.struct(F.col(key).isNull().alias("none"), F.col(key).alias("id"), "_k1", "_k2")).alias("x")).select("x._k1", "x._k2")
     kept = docs.withColumns({"_k1": names[0], "_k2": names[1]}).join(chosen, ["_k1", "_k2"], "left_semi")
     return kept.groupBy("_k1", "_k2").agg(F.min(F.struct(*(f"`{c}`" for c in docs.columns))).alias("x")).select("x.*")
 
 
 def op10_near_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return near_classes(docs).select("doc_id", "class_id", "copy_id", "n_copies", "n_links")
+    return near_classes(docs).select("doc_id", "class_id", "copy_id", "n_copies", "n_links", "class_key")

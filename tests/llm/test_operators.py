@@ -206,6 +206,41 @@ def test_words_outside_the_core_take_classes_by_their_neighbours(spark):
     assert not named["one"] & named["red"]
 
 
+def test_class_scores_equal_a_plain_sum(spark, monkeypatch):
+    monkeypatch.setattr(class_lm, "COMMON", 40)  # most words stand outside the table
+    r = random.Random(5)
+    texts = [" ".join(f"w{int(r.paretovariate(0.7)) % 900}" for _ in range(r.randint(0, 40))) for _ in range(300)]
+    train, held = texts[:250], texts[250:] + ["w1 never seen", None, "", "w2 " * 70_000, "w2 w2", "w2 w2"]
+    model = class_lm.ClassModel.fit(docs(spark, list(enumerate(train))))
+    toks = lambda t: [*(t or "").lower().split(), None]
+    h = lambda w: class_lm.END if w is None else class_lm.token_stream(pa.array([w]))[0][0]
+    known = {x["h"]: x for x in model.counts.collect()}
+    seen = collections.Counter(w for t in train for w in toks(t))
+    assert {int(h(w).view(np.int64)): n for w, n in seen.items()} == {k: x["n"] for k, x in known.items()}
+    assert len(model.common_n) <= 41 < len(known)
+
+    def cls(w):
+        x = known.get(int(h(w).view(np.int64)))
+        return x["c"] if x else int(model.place(*class_lm.token_stream(pa.array([w]))[:2])[1][0])
+
+    c = class_lm.CLASSES + 1
+    moves, mass, types = np.zeros((c, c)), np.zeros(c), np.zeros(c)
+    for t in train:
+        s = [cls(w) for w in toks(t)]
+        for a, b in zip([class_lm.CLASSES, *s[:-1]], s, strict=True):
+            moves[a, b] += 1
+    for w, n in seen.items():
+        mass[cls(w)] += n
+        types[cls(w)] += 1
+    prior = (moves.sum(axis=0) + 0.5) / (moves.sum() + 0.5 * c)
+    move = np.log10((moves + class_lm.SMOOTHING * prior) / (moves.sum(axis=1, keepdims=True) + class_lm.SMOOTHING))
+    got = {x["doc_id"]: x for x in model.score(docs(spark, list(enumerate(held))), "text").collect()}
+    for i, t in enumerate(held):
+        s = [cls(w) for w in toks(t)]
+        want = sum(move[a, b] for a, b in zip([class_lm.CLASSES, *s[:-1]], s, strict=True)) + sum(math.log10((seen[w] + 0.5) / (mass[k] + 0.5 * (types[k] + 1))) for w, k in zip(toks(t), s, strict=True))
+        assert got[i]["score"] == pytest.approx(want, rel=1e-9) and got[i]["n_tokens"] == len(s)
+
+
 def test_reassign_raises_the_likelihood():
     r = np.random.default_rng(5)
     n = r.integers(0, 4, (9, 9)) + 6 * (np.arange(9)[:, None] % 2 != np.arange(9) % 2)

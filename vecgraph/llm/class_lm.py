@@ -4,9 +4,10 @@ Tokens are runs without ASCII white space, A-Z in lower case, and one end token
 
 Training, over all training texts: (1) counts of every word; (2) a start: the exchange algorithm on the bigrams of the `CORE`
 commonest words, one symbol for all other words and the end; the others start in the class in which their last three (else two, else
-one) bytes weigh most; (3) the table of all bigrams, and `WIDE_SWEEPS` exchange sweeps over every word: the core words one by one on the driver,
-every other word at once in tasks, each by its counts of neighbouring classes against the class-by-class sums; classes of
-neighbours come by joins, and a sweep that does not raise the likelihood is taken back; (4) transition counts of the classes over
+one) bytes weigh most; (3) `WIDE_SWEEPS` exchange sweeps over the table of the `COMMON` commonest words: a pass over the texts counts for each of them
+the classes before and after (a table bounded by words times classes), the core words move one by one on the driver, all others at once in tasks against
+the class-by-class sums, and a sweep that does not raise the likelihood is taken back; (4) the words outside the table, in any number, are
+exchanged from their own contexts in tasks, and their classes are joined to the bigrams that hold them; (5) transition counts of the final classes over
 all training tokens, token and word totals of each class over all words. Words unseen in training take the class of their last bytes.
 Transitions are smoothed towards the class distribution, emissions by adding 0.5 to
 each word of the class and to one unseen word.
@@ -24,13 +25,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import crc_bucket, materialize, prepare, table
 from .words import slices, tokens
 
-CORE, COMMON, CLASSES, SWEEPS, WIDE_SWEEPS, SMOOTHING = 2000, 1 << 18, 48, 6, 2, 20.0
+CORE, COMMON, CLASSES, SWEEPS, WIDE_SWEEPS, SMOOTHING = 2000, 1 << 18, 48, 6, 3, 20.0
+KEYS, BLOCK, FAN_IN = 128, 1 << 12, 512  # room for the classes after and before of a word; words of the table in a block; tasks merged at once
 END = np.uint64(0x5EED5EED5EED5EED)
 
 
@@ -158,7 +161,8 @@ class ClassModel:
         self.counts, self.total, self.distinct = counts, total, distinct
 
     # -- rules that every task applies by itself
-    def classes_of(self, h: np.ndarray, tail: np.ndarray) -> np.ndarray:
+    def place(self, h: np.ndarray, tail: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Row of each word in the table (-1: outside) and its class; outside the table that of its last bytes."""
         row = self.clustered.find(h)
         out = np.where(row >= 0, self.word_class[row], -1)
         for size in (3, 2, 1):
@@ -167,7 +171,7 @@ class ClassModel:
                 t = tail & np.uint32((1 << 8 * size) - 1)
                 at = np.minimum(np.searchsorted(keys, t), len(keys) - 1)
                 out = np.where((out < 0) & (keys[at] == t), values[at], out)
-        return np.where(h == END, CLASSES, np.where(out < 0, 0, out))
+        return row, np.where(h == END, CLASSES, np.where(out < 0, 0, out))
 
     def log_emission(self, n: np.ndarray, c: np.ndarray) -> np.ndarray:
         return np.log10((n + 0.5) / (self.class_tokens[c] + 0.5 * (self.class_words[c] + 1)))
@@ -204,15 +208,21 @@ class ClassModel:
         order = np.lexsort((common["h"].to_numpy(), -common["n"].to_numpy()))
         hashes, tails, n = common["h"].to_numpy()[order].view(np.uint64), common["tail"].to_numpy()[order].astype(np.uint32), common["n"].to_numpy()[order].astype(np.int64)
         matrix = model._cluster(texts, hashes[:CORE], tails[:CORE], n[:CORE])
-        pairs = model._exchange_all(texts, counts, matrix)
-        model._totals(pairs)
-        model.common, model.common_n = Lookup(np.concatenate([hashes, np.array([END], np.uint64)])), np.concatenate([n, [0]])
-        model.word_class = np.full(len(model.common_n), CLASSES)
-        for b in model.counts.where((F.col("n") >= F.lit(least)) | (F.col("h") == int(END.view(np.int64)))).select("h", "n", "c").toArrow().to_batches():
-            at = model.common.find(b["h"].to_numpy().view(np.uint64))
-            model.common_n[at], model.word_class[at] = b["n"].to_numpy(), b["c"].to_numpy()
-        model.clustered = model.common
+        seen = model._exchange_table(texts, matrix, hashes, tails)
         model._endings(tails, model.word_class[:-1], n)
+        pairs, rare = model._exchange_outside(texts, seen)
+        sent = spark.sparkContext.broadcast(RuleOnly(model))
+
+        def classed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                row = sent.value.clustered.find(b["h"].to_numpy().view(np.uint64))
+                yield pa.record_batch({"h": b["h"], "n": b["n"], "c": sent.value.word_class[row].astype(np.int8)})
+
+        inside = (F.col("h") == int(END.view(np.int64))) | F.coalesce(F.col("n") >= F.lit(least), F.lit(False))
+        known = counts.where(inside).select("h", "n").mapInArrow(classed, "h long, n long, c byte")
+        model.counts = materialize(known.unionByName(counts.where(~inside).select("h", "n").join(rare, "h").select("h", "n", "c")), "lm-words")
+        model._totals(pairs)
+        model.common, model.common_n = model.clustered, np.append(n, int((counts.where(F.col("h") == int(END.view(np.int64))).agg(F.sum("n")).first()[0]) or 0))
         return model
 
     def _cluster(self, texts: DataFrame, hashes: np.ndarray, tails: np.ndarray, n: np.ndarray) -> np.ndarray:
@@ -251,57 +261,75 @@ class ClassModel:
             weight = np.bincount(at * CLASSES + classes, weights=n, minlength=len(keys) * CLASSES).reshape(-1, CLASSES)
             self.suffixes[bytes_] = (keys, weight.argmax(axis=1) if len(keys) else np.zeros(0, np.int64))
 
-    def _exchange_all(self, texts: DataFrame, counts: DataFrame, matrix: np.ndarray) -> np.ndarray:
-        """Sets `counts` with the classes of all words; returns the class-by-class sums over all training tokens. Words of a bigram are named by
-        their row among the core words, the end by `k`, others by their hash; bigrams within the core are those of `matrix`; `ca` and `cb` are classes of the words outside the core."""
-        spark, c, k, end = texts.sparkSession, CLASSES + 1, len(matrix) - 1, int(END.view(np.int64))
+    def _exchange_table(self, texts: DataFrame, matrix: np.ndarray, hashes: np.ndarray, tails: np.ndarray) -> np.ndarray:
+        """Moves the words of the table (rows in order of frequency, the core first, then the end); returns the class-by-class sums
+        over the bigrams of two words of the table."""
+        spark, c, k, size = texts.sparkSession, CLASSES + 1, len(matrix) - 1, len(hashes)
+        of = np.append(self.place(hashes, tails)[1], CLASSES)
+        self.clustered, held = Lookup(np.append(hashes, END)), None
+        for sweep in range(WIDE_SWEEPS + 1):
+            self.word_class = of
+            sums, contexts = context_counts(texts, RuleOnly(self))
+            if held is not None and likelihood(sums[0]) <= likelihood(held[1][0]):
+                of, sums = held
+                break
+            held = (of, sums)
+            if sweep == WIDE_SWEEPS or not k:
+                break
+            first = contexts.where("block = 0").toArrow()
+            dense = np.zeros(BLOCK * KEYS)
+            for codes, n in zip(first["codes"], first["n"], strict=True):
+                dense[np.frombuffer(codes.as_buffer(), np.int64)] = np.frombuffer(n.as_buffer(), np.int64)
+            near = np.concatenate([dense.reshape(BLOCK, KEYS)[:k, : 2 * c], np.zeros((1, 2 * c))])
+            moved = exchange(matrix, CLASSES, 1, 1, start=(np.append(of[:k], CLASSES), near[:, :c].copy(), near[:, c:].copy(), sums[0].astype(np.float64)))
+            rest = best_in_table(contexts, of, sums[0], k).toArrow()
+            of = of.copy()
+            of[rest["row"].to_numpy()] = rest["c"].to_numpy()
+            of[:k] = moved[:k]
+        self.word_class = of
+        return sums[1]
+
+    def _exchange_outside(self, texts: DataFrame, seen: np.ndarray) -> tuple[np.ndarray, DataFrame]:
+        """The class-by-class sums over all training tokens and the table (h, c) of the words outside the table. `seen`: the sums over
+        bigrams within the table. The rows (a, b, oa, ob, ca, cb, n) are bigrams with a word outside; only such a word has its hash."""
+        spark, c = texts.sparkSession, CLASSES + 1
         rule = spark.sparkContext.broadcast(RuleOnly(self))
 
         def bigrams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            rest = np.zeros(c * c, np.int64)
             for b in batches:
                 for i, j in slices(b["text"]):
                     h, tail, _ = token_stream(b["text"][i:j])
-                    row = rule.value.clustered.find(h)
-                    row = np.where(h == END, k, row)
-                    cls = np.where(row >= 0, -1, rule.value.classes_of(h, tail)).astype(np.int8)
-                    name = np.where(row >= 0, row, h.view(np.int64))
-                    before, cb = np.concatenate([[k], name[:-1]]), np.concatenate([[-1], cls[:-1]]).astype(np.int8)
-                    mixed = before.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + name.view(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)
+                    row, cls = rule.value.place(h, tail)
+                    out, name = row < 0, np.where(row < 0, h, np.uint64(0))
+                    a, oa, ca = (np.concatenate([np.array([x], y.dtype), y[:-1]]) for x, y in ((0, name), (False, out), (CLASSES, cls)))
+                    some = np.flatnonzero(out | oa)
+                    a, b_, oa, ob, ca, cb = (x[some] for x in (a, name, oa, out, ca, cls))
+                    rest += np.bincount(ca * c + cb, minlength=c * c)
+                    mixed = a * np.uint64(0x9E3779B97F4A7C15) + b_ * np.uint64(0xC2B2AE3D27D4EB4F) + (ca * c + cb).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)
                     _, first, n = np.unique(mixed, return_index=True, return_counts=True)
-                    some = (cls[first] >= 0) | (cb[first] >= 0)
-                    first, n = first[some], n[some]
                     for s in range(0, len(first), 100_000):
                         f = first[s : s + 100_000]
-                        yield pa.record_batch({"a": before[f], "b": name[f], "ca": cb[f], "cb": cls[f], "n": n[s : s + 100_000].astype(np.int64)})
+                        yield pa.record_batch({"a": a[f].view(np.int64), "b": b_[f].view(np.int64), "oa": oa[f], "ob": ob[f], "ca": ca[f].astype(np.int8), "cb": cb[f].astype(np.int8), "n": n[s : s + 100_000].astype(np.int64)})
+            at, no = np.flatnonzero(rest), np.zeros(int((rest > 0).sum()), np.int64)
+            yield pa.record_batch({"a": no, "b": no, "oa": no > 0, "ob": no > 0, "ca": (at // c).astype(np.int8), "cb": (at % c).astype(np.int8), "n": rest[at]})
 
         # counts stay those of a slice of texts: all that is made of them are sums
-        labelled = materialize(texts.mapInArrow(bigrams, "a long, b long, ca byte, cb byte, n long"), "lm-bigrams")
-
-        def first_classes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                h = b["h"].to_numpy().view(np.uint64)
-                yield pa.record_batch({"h": b["h"], "c": rule.value.classes_of(h, b["tail"].to_numpy().astype(np.uint32)).astype(np.int8)})
-
-        core = pa.table({"h": self.clustered.keys.view(np.int64), "row": self.clustered.order.astype(np.int64)})
-        others = counts.where(F.col("h") != end).select("h", "tail").join(F.broadcast(spark.createDataFrame(core.to_pandas(), "h long, row long")), "h", "left_anti")
-        rare, of = others.mapInArrow(first_classes, "h long, c byte"), np.append(self.word_class, CLASSES)
-        pairs, right, left = class_sums(labelled, of, matrix)
-        for _ in range(WIDE_SWEEPS if k else 0):
-            was = (rare, of, pairs.copy())
-            of = exchange(matrix, CLASSES, 1, start=(of, right, left, pairs))
-            rare = materialize(best_classes(labelled, of, pairs, k), "lm-classes")
-            outside = lambda x: (F.col(x) < 0) | (F.col(x) > k)
-            for word, cls in (("a", "ca"), ("b", "cb")):
-                joined = labelled.where(outside(word)).drop(cls).join(rare.select(F.col("h").alias(word), F.col("c").alias(cls)), word)
-                labelled = labelled.where(~outside(word)).unionByName(joined)
-            labelled = materialize(labelled, "lm-bigrams")
-            pairs, right, left = class_sums(labelled, of, matrix)
-            if likelihood(pairs) <= likelihood(was[2]):
-                rare, of, pairs = was
-                break
-        known = spark.createDataFrame(pa.table({"h": np.append(self.clustered.keys[np.argsort(self.clustered.order)].view(np.int64), end), "c": of.astype(np.int8)}).to_pandas(), "h long, c byte")
-        self.counts = materialize(counts.select("h", "n").join(known.unionByName(rare), "h"), "lm-words")
-        return pairs
+        labelled = materialize(texts.mapInArrow(bigrams, "a long, b long, oa boolean, ob boolean, ca byte, cb byte, n long"), "lm-bigrams")
+
+        def by_class(rows: DataFrame) -> np.ndarray:
+            out = np.zeros((c, c), np.int64)
+            for r in rows.groupBy("ca", "cb").agg(F.sum("n").alias("n")).collect():
+                out[r["ca"], r["cb"]] = r["n"]
+            return out
+
+        pairs = seen + by_class(labelled.where("not oa and not ob"))
+        rare = materialize(best_outside(labelled.where("oa or ob"), pairs), "lm-classes")
+        final = labelled.where("oa or ob")
+        for flag, word, cls in (("oa", "a", "ca"), ("ob", "b", "cb")):
+            joined = final.where(flag).drop(cls).join(rare.select(F.col("h").alias(word), F.col("c").alias(cls)), word)
+            final = final.where(f"not {flag}").unionByName(joined)
+        return seen + by_class(final), rare
 
     def _totals(self, matrix: np.ndarray) -> None:
         c = CLASSES + 1
@@ -321,7 +349,7 @@ class ClassModel:
             m, out = sent.value, []
             for i, j in slices(texts):
                 h, tail, offsets = token_stream(texts[i:j].cast(pa.string()))
-                row, c = m.common.find(h), m.classes_of(h, tail)  # of words outside the table, the class if training has not seen them
+                row, c = m.place(h, tail)  # of words outside the table, the class if training has not seen them
                 n = m.common_n[row]
                 ends = np.zeros(len(h), bool)
                 ends[offsets[:-1]] = True
@@ -377,54 +405,126 @@ class ClassModel:
         return out.withColumn("perplexity", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens"))).drop("_row", "_p", "_known", "_base", "_emit", "_classes")
 
 
-def class_sums(labelled: DataFrame, of: np.ndarray, matrix: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sums by class and class, and for each core word and the end its counts of the class after and before."""
-    c, k = CLASSES + 1, len(matrix) - 1
-    sent, size = labelled.sparkSession.sparkContext.broadcast(of), c * c + 2 * c * (k + 1)
+def combined(codes: list[np.ndarray], n: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Different codes in order, with the sums of their counts."""
+    every, back = np.unique(np.concatenate(codes), return_inverse=True)
+    return every, np.bincount(back, weights=np.concatenate(n), minlength=len(every)).astype(np.int64)
 
-    def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        out = np.zeros(size, np.int64)
-        for rows in batches:
-            a, b, n, ca, cb = core_classes(rows, sent.value, k)
-            for at, some in ((ca * c + cb, slice(None)), (c * c + a * 2 * c + cb, (a >= 0) & (a <= k)), (c * c + b * 2 * c + c + ca, (b >= 0) & (b <= k))):
-                np.add.at(out, at[some], n[some])
-        some = np.flatnonzero(out)
-        for i in range(0, len(some), 100_000):
-            yield pa.record_batch({"at": some[i : i + 100_000], "n": out[some[i : i + 100_000]]})
-
-    out = np.zeros(size)
-    found = labelled.mapInArrow(sums, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
-    out[found["at"].to_numpy()] = found["n"].to_numpy()
-    by_word = out[c * c :].reshape(k + 1, 2, c)
-    one = np.eye(c)[of]
-    return out[: c * c].reshape(c, c) + one.T @ matrix @ one, by_word[:, 0] + matrix @ one, by_word[:, 1] + matrix.T @ one
-
-
-def core_classes(rows: pa.RecordBatch, of: np.ndarray, k: int) -> tuple[np.ndarray, ...]:
-    """a, b, n and the classes of a and b of a batch of bigrams."""
-    a, b, n, ca, cb = (rows[x].to_numpy().astype(np.int64) for x in ("a", "b", "n", "ca", "cb"))
-    inside = lambda x, cls: np.where((x >= 0) & (x <= k), of[np.clip(x, 0, k)], cls)
-    return a, b, n, inside(a, ca), inside(b, cb)
-
-
-def best_classes(labelled: DataFrame, of: np.ndarray, pairs: np.ndarray, k: int) -> DataFrame:
-    """(h, c) of every word outside the core, from its counts of neighbouring classes."""
+
+def context_counts(texts: DataFrame, rule: ClassModel) -> tuple[tuple[np.ndarray, np.ndarray], DataFrame]:
+    """Class-by-class sums over all bigrams and over those of two words of the table, and a table (block, codes, n): for each word of the table how often
+    each class comes after and before it, as row * KEYS + class and row * KEYS + classes + class. Tasks merge their own counts, then `FAN_IN` tasks
+    at a time, then all of a block, whose size is bounded."""
+    sent, c = texts.sparkSession.sparkContext.broadcast(rule), CLASSES + 1
+
+    def packed(block: int, salt: int, codes: np.ndarray, n: np.ndarray) -> dict:
+        steps = np.diff(codes, prepend=0).astype(np.int64)
+        raw = np.stack([steps, n]).view(np.uint8).reshape(2, -1, 8).transpose(0, 2, 1).tobytes()  # like bytes beside each other
+        return {"block": block, "salt": salt, "size": len(n), "packed": pa.compress(raw, codec="zstd", asbytes=True)}
+
+    schema = pa.schema([("block", pa.int32()), ("salt", pa.int32()), ("size", pa.int64()), ("packed", pa.binary())])
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, held, salt = np.zeros((2, c * c), np.int64), [[], []], TaskContext.get().partitionId() // FAN_IN
+        for b in batches:
+            for i, j in slices(b["text"], 1 << 22):
+                h, tail, _ = token_stream(b["text"][i:j])
+                row, cls = sent.value.place(h, tail)
+                row_before = np.concatenate([[len(sent.value.word_class) - 1], row[:-1]])
+                before = np.concatenate([[CLASSES], cls[:-1]])
+                sums[0] += np.bincount(before * c + cls, minlength=c * c)
+                both = (row >= 0) & (row_before >= 0)
+                sums[1] += np.bincount(before[both] * c + cls[both], minlength=c * c)
+                some = row_before >= 0
+                code = np.concatenate([row_before[some] * KEYS + cls[some], row[row >= 0] * KEYS + c + before[row >= 0]])
+                for x, y in zip(held, np.unique(code, return_counts=True), strict=True):
+                    x.append(y)
+                if sum(map(len, held[0])) > 1 << 22:
+                    held = [[x] for x in combined(*held)]
+        out = [packed(-1, salt, np.flatnonzero(sums.ravel()), sums.ravel()[np.flatnonzero(sums.ravel())])]
+        if held[0]:
+            codes, n = combined(*held)
+            cuts = np.flatnonzero(np.diff(codes // (BLOCK * KEYS), prepend=-1))
+            for a, b in zip(cuts, np.append(cuts[1:], len(codes)), strict=True):
+                block = int(codes[a]) // (BLOCK * KEYS)
+                out.append(packed(block, salt, codes[a:b] - block * BLOCK * KEYS, n[a:b]))
+        yield pa.RecordBatch.from_pylist(out, schema)
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows sorted by block and salt; one row for each."""
+        name, dense = None, np.zeros(BLOCK * KEYS, np.int64)
+
+        def whole() -> pa.RecordBatch:
+            codes = np.flatnonzero(dense)
+            return pa.RecordBatch.from_pylist([packed(*name, codes, dense[codes])], schema)
+
+        for b in batches:
+            for r in b.to_pylist():
+                if name != (r["block"], r["salt"]):
+                    if name is not None:
+                        yield whole()
+                    name, dense[:] = (r["block"], r["salt"]), 0
+                dense[unpacked(r["size"], r["packed"])[0]] += unpacked(r["size"], r["packed"])[1]
+        if name is not None:
+            yield whole()
+
+    def opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for r in b.to_pylist():
+                codes, n = unpacked(r["size"], r["packed"])
+                yield pa.record_batch({"block": pa.array([r["block"]], pa.int32()), "codes": [codes.tobytes()], "n": [n.tobytes()]})
+
+    kind = "block int, salt int, size long, packed binary"
+    rows = texts.mapInArrow(count, kind).repartition("block", "salt").sortWithinPartitions("block", "salt").mapInArrow(merge, kind)
+    rows = rows.withColumn("salt", F.lit(0)).repartition("block").sortWithinPartitions("block", "salt").mapInArrow(merge, kind)
+    contexts = materialize(rows.mapInArrow(opened, "block int, codes binary, n binary"), "lm-contexts")
+    sums = np.zeros(2 * c * c, np.int64)
+    got = contexts.where("block = -1").toArrow()
+    for codes, n in zip(got["codes"], got["n"], strict=True):
+        sums[np.frombuffer(codes.as_buffer(), np.int64)] = np.frombuffer(n.as_buffer(), np.int64)
+    return tuple(sums.reshape(2, c, c)), contexts.where("block >= 0")
+
+
+def unpacked(size: int, data: bytes) -> tuple[np.ndarray, np.ndarray]:
+    raw = np.frombuffer(pa.decompress(data, decompressed_size=16 * size, codec="zstd", asbytes=True), np.uint8)
+    steps, n = np.ascontiguousarray(raw.reshape(2, 8, size).transpose(0, 2, 1)).view(np.int64).reshape(2, size)
+    return np.cumsum(steps), n
+
+
+def best_in_table(contexts: DataFrame, of: np.ndarray, pairs: np.ndarray, core: int) -> DataFrame:
+    """(row, c) of every word of the table below the core, each by its contexts against the same sums."""
+    sent = contexts.sparkSession.sparkContext.broadcast((of, pairs))
+
+    def choose(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        of, pairs = sent.value
+        for b in batches:
+            for r in b.to_pylist():
+                code = np.frombuffer(r["codes"], np.int64) + r["block"] * BLOCK * KEYS
+                row, n = code // KEYS, np.frombuffer(r["n"], np.int64)
+                some = (row >= core) & (row < len(of) - 1)
+                words, word = np.unique(row[some], return_inverse=True)
+                if len(words):
+                    yield pa.record_batch({"row": words, "c": reassign(pairs, of[words], word, code[some] % KEYS, n[some]).astype(np.int8)})
+
+    return contexts.mapInArrow(choose, "row long, c byte")
+
+
+def best_outside(labelled: DataFrame, pairs: np.ndarray) -> DataFrame:
+    """(h, c) of every word outside the table, from its counts of neighbouring classes."""
     c = CLASSES + 1
-    sent = labelled.sparkSession.sparkContext.broadcast((of, pairs))
+    sent = labelled.sparkSession.sparkContext.broadcast(pairs)
 
     def contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in batches:
-            a, b, n, ca, cb = core_classes(rows, sent.value[0], k)
-            oa, ob = (a < 0) | (a > k), (b < 0) | (b > k)
-            h, own, key = np.concatenate([a[oa], b[ob]]), np.concatenate([ca[oa], cb[ob]]), np.concatenate([cb[oa], c + ca[ob]])
-            yield pa.record_batch({"h": h, "own": own.astype(np.int8), "key": key.astype(np.int8), "n": np.concatenate([n[oa], n[ob]])})
+            a, b, oa, ob, ca, cb, n = (rows[x].to_numpy(zero_copy_only=False) for x in ("a", "b", "oa", "ob", "ca", "cb", "n"))
+            yield pa.record_batch({"h": np.concatenate([a[oa], b[ob]]), "own": np.concatenate([ca[oa], cb[ob]]), "key": np.concatenate([cb[oa], c + ca[ob]]).astype(np.int8), "n": np.concatenate([n[oa], n[ob]])})
 
     def chosen(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
         h, own, key, n = (np.concatenate([p[x].to_numpy() for p in parts]) for x in ("h", "own", "key", "n"))
         words, first, word = np.unique(h, return_index=True, return_inverse=True)
         at, back = np.unique(word * (2 * c) + key, return_inverse=True)
         total = np.bincount(back, weights=n).astype(np.int64)
-        return pa.record_batch({"h": words, "c": reassign(sent.value[1], own[first].astype(np.int64), at // (2 * c), at % (2 * c), total).astype(np.int8)})
+        return pa.record_batch({"h": words, "c": reassign(sent.value, own[first].astype(np.int64), at // (2 * c), at % (2 * c), total).astype(np.int8)})
 
     def choose(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, rows = [], 0

@@ -19,14 +19,19 @@ def prepare(spark: SparkSession, batch_mb: int = 16) -> None:
             spark.conf.set(key, value)
 
 
-def scratch_dir(spark: SparkSession, name: str) -> str:
-    """A fresh folder below spark.checkpoint.dir, which all executors share; a local session without that setting gets one in its temp folder."""
+def shared_dir(spark: SparkSession) -> str:
+    """spark.checkpoint.dir, which all executors share; a local session without that setting gets a folder in its temp folder."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not base:
         if not spark.sparkContext.master.startswith("local"):
             raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = f"{tempfile.gettempdir()}/checkpoints"
-    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    return base.rstrip("/")
+
+
+def scratch_dir(spark: SparkSession, name: str) -> str:
+    """A fresh folder below the shared one."""
+    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 def materialize(df: DataFrame, name: str, partition_by: list[str] | None = None) -> DataFrame:
@@ -60,10 +65,11 @@ def crc_bucket(col: str, modulus: int) -> Column:
     return F.pmod(F.crc32(F.coalesce(F.col(col).cast("string"), F.lit("")).cast("binary")), F.lit(modulus))
 
 
-def connected_components(edges: DataFrame, a: str = "a", b: str = "b", name: str = "cc", rounds: int = 40) -> DataFrame:
+def connected_components(edges: DataFrame, a: str = "a", b: str = "b", name: str = "cc", rounds: int = 200) -> DataFrame:
     """(node, root): root is the least node id of the component. Alternating star contraction: every round rewires each
     node to the least neighbour, so paths halve and no node ever gathers its whole component in memory (only min and
-    a join on the node id). Every round is a table in the shared folder."""
+    a join on the node id). Every round is a table in the shared folder. More than `rounds` rounds, far more than the
+    logarithm of any number of nodes, raise an error: no unfinished component is returned."""
     both = lambda e: e.select("a", "b").unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
     edges = materialize(edges.select(F.col(a).alias("a"), F.col(b).alias("b")).where("a <> b").distinct(), f"{name}-edges")
     nodes = both(edges).select(F.col("a").alias("node")).distinct()
@@ -82,5 +88,7 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", name: str
         if state == before:
             break
         before = state
+    else:
+        raise RuntimeError(f"components not complete after {rounds} rounds")
     roots = current.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("root"))
     return nodes.join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("root"))

@@ -330,27 +330,42 @@ def test_licenses(spark):
 
 
 def brute_top(rows, k):
-    ok = [(i, [math.floor(1024 * x) for x in v]) for i, v in rows if v and all(x is not None and math.isfinite(x) for x in v)]
-    out = set()
-    for q, v in {i: v for i, v in reversed(ok) if i % 100 == 0}.items():
-        best = sorted(((-sum(a * b for a, b in zip(v, w, strict=True)), i) for i, w in ok if i != q and len(w) == len(v)))[:k]
-        out |= {(q, r + 1, i, -s) for r, (s, i) in enumerate(best)}
-    return out
+    ok = [(i, [math.floor(1024 * x) for x in v]) for i, v in rows if i is not None and v and all(x is not None and math.isfinite(x) for x in v)]
+    out = []
+    for n, (q, v) in enumerate(ok):
+        if q % 100 == 0:
+            best = sorted((-sum(a * b for a, b in zip(v, w, strict=True)), i) for m, (i, w) in enumerate(ok) if m != n and len(w) == len(v))[:k]
+            out += [(q, r + 1, i, -s) for r, (s, i) in enumerate(best)]
+    return sorted(out)
 
 
 @pytest.mark.parametrize("same", [False, True])
 def test_mtree_equals_brute_force(spark, monkeypatch, same):
     r = np.random.default_rng(4)
     rows = [(i, [float(x) for x in ([0.25] * 6 if same and i % 3 else r.normal(size=6))]) for i in range(700)]
-    rows += [(900, None), (1000, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (1100, [float("nan")] * 6), (1200, [float("inf")] * 6), (1300, []), (1301, [0.0] * 6)]
-    df = spark.createDataFrame(rows, "vec_id long, v array<double>")
+    rows += [(900, None), (1000, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (1100, [float("nan")] * 6), (1200, [float("inf")] * 6), (1300, []), (1301, [0.0] * 6), (None, [1.0] * 6)]
+    # components beyond 2^16, repeated ids and repeated rows, another length
+    rows += [(300, rows[300][1]), (300, rows[300][1]), (300, [9.0] * 6), (7, rows[7][1]), (1400, [70_000.5, -(2.0**17), 0.1, 0.2, 0.3, 0.4]), (1401, [2.0**22, 0.5, 0.5, 0.5, 0.5, 0.5]), (1402, [-(2.0**22), 1.0, 0.0, 0.0, 0.0, 1.0]), (1500, [1.5, 2.5]), (1501, [2.5, 1.5])]
+    df = spark.createDataFrame(rows, "vec_id long, v array<double>").withColumns({c: F.lit("mine") for c in ("score", "rank", "id", "q", "tree", "dim")})
     monkeypatch.setattr(mtree, "TREE_ROWS", 150)
     q = df.where("vec_id % 100 = 0").select(F.col("vec_id").alias("query_id"), mtree.scaled("v").alias("v")).where("v is not null")
     got = mtree.search(mtree.index(df, "vec_id", "v"), q, 5)
-    assert {(x["query_id"], x["rank"], x["vec_id"], x["score"]) for x in got.collect()} == brute_top(rows, 5)
+    assert sorted((x["query_id"], x["rank"], x["vec_id"], x["score"]) for x in got.collect()) == brute_top(rows, 5)
     assert mtree.search(mtree.index(df.where("false"), "vec_id", "v"), q.where("false")).count() == 0
 
 
+def test_scores_beyond_a_long_are_exact_or_an_error(spark):
+    big = 2.0**45 + 2.0**-6
+    rows = [(100, [big, 1.0]), (1, [-big, 3.0]), (2, [2.0**-8, 1.0]), (3, [2.0**-9, 5.0]), (4, [2.0**-9, 4.0])]
+    df = spark.createDataFrame(rows, "vec_id long, v array<double>")
+    run = lambda k: [(x["rank"], x["vec_id"], x["score"]) for x in mtree.search(mtree.index(df, "vec_id", "v"), df.where("vec_id = 100").select(F.col("vec_id").alias("query_id"), mtree.scaled("v").alias("v")), k).orderBy("rank").collect()]
+    assert run(3) == [(r, i, s) for r, (_, i, s) in enumerate(sorted((-x, i, x) for i, x in ((i, sum(math.floor(1024 * a) * math.floor(1024 * b) for a, b in zip(v, rows[0][1], strict=True))) for i, v in rows[2:])), 1)]
+    with pytest.raises(Exception, match="does not fit a long"):
+        run(4)
+    with pytest.raises(Exception, match="beyond 1e150"):
+        mtree.index(spark.createDataFrame([(1, [1e200])], "vec_id long, v array<double>"), "vec_id", "v")
+
+
 def test_mtree_spares_computations():
     import pandas as pd
 
@@ -359,7 +374,7 @@ def test_mtree_spares_computations():
     t = mtree.Tree(pd.DataFrame(mtree.build(np.arange(len(x)), x, 0, page=32)))
     for q in (x[5], x[900], x[-1]):
         want = sorted((-int(s), i) for i, s in enumerate(x @ q))[:10]
-        assert [(-s, i) for s, i in t.top(-1, q, 10)] == want
+        assert [(-s, i) for s, i, _ in t.top(-1, q, 10)] == want
     assert t.computed < 3 * len(x)
 
 

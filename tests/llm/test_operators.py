@@ -203,13 +203,39 @@ def test_line_dedup_equals_brute_force(spark):
 
 
 def test_runs_compact_and_answer_new_batches(spark, tmp_path):
-    store = line_dedup.LineRuns(spark, str(tmp_path), fanout=2)
+    store = line_dedup.LineRuns(spark, str(tmp_path), fanout=2, buckets=4)
     for b in range(5):
-        store.add(docs(spark, [(b, f"shared\nonly {b}")]))
+        store.add(docs(spark, [(b, f"shared\nonly {b}"), (b, "Shared ")]))
     assert sum(map(len, store.levels)) <= 3 and len(store.levels) >= 2
-    assert {(r["h1"], r["h2"]): r["n"] for r in store.runs().groupBy("h1", "h2").agg(F.sum("n").alias("n")).collect()}.values() and store.frequent(5).count() == 1
+    assert store.frequent(10).count() == 1 and store.frequent(1).count() == 6
+    assert store.runs().where("new").count() == 6  # the anti-join counts a key as new once
     fresh = store.new_lines(docs(spark, [(9, "SHARED\nonly 3\nnever seen")]))
     assert [r["line"] for r in fresh.collect()] == ["never seen"]
+    # the manifest opens the store again, and it goes on
+    again = line_dedup.LineRuns(spark, str(tmp_path), fanout=2)
+    assert again.levels == store.levels and again.buckets == 4 and again.frequent(10).count() == 1
+    again.add(docs(spark, [(6, "only 6"), (7, "shared")]))
+    assert again.frequent(11).count() == 1 and again.runs().where("new").count() == 7
+    store.close()
+    again.close()
+
+
+def test_runs_merge_where_they_lie(spark, tmp_path):
+    store = line_dedup.LineRuns(spark, str(tmp_path), fanout=8, buckets=4)
+    for b in range(2):
+        store.add(docs(spark, [(b, f"shared\nonly {b}")]))
+    assert "Exchange" not in store.frequent(1)._jdf.queryExecution().toString().split("== Physical Plan ==")[1]
+    with line_dedup.shuffled_into(spark, 4):
+        counted = store._lines(docs(spark, [(9, "a\nb")]), []).groupBy("h1", "h2").count()
+        plan = counted.join(store.runs().select("h1", "h2").hint("merge"), ["h1", "h2"], "left_anti")._jdf.queryExecution().toString().split("== Physical Plan ==")[1]
+    assert "SortMergeJoin" in plan and plan.count("Exchange") == 1  # of the new lines only
+    store.close()
+
+
+def test_common_lines_are_spread(spark):
+    rows = [(i, "every\n" + "\n".join(f"{i} {j}" for j in range(3)) + ("\ntwelve" if i < 12 else "")) for i in range(4000)]
+    got = line_dedup.dedup_lines(docs(spark, rows)).collect()
+    assert {(g["doc_id"], g["kept_text"]) for g in got} == {(i, t.replace("every\n", "").replace("\ntwelve", "")) for i, t in rows}
 
 
 # -- op4

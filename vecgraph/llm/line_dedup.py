@@ -1,10 +1,15 @@
 """Line deduplication with levelled sorted runs of line hashes.
 
-A run is a table of (h1, h2, n): a 128-bit hash of a line key and the number of documents that hold it, sorted by hash
-within each file. Every batch of documents becomes one run of level 0; when a level holds `fanout` runs they merge into one
-run of the next level, so a new batch meets at most fanout * log(batches) runs. A batch can be answered in two ways:
-`new_lines` merge-anti-joins the runs (first come, first kept), `drop_frequent` removes lines that at least `min_docs`
-documents hold over all runs.
+A run holds (h1, h2, n, new): a 128-bit hash of a line key, the number of the batch's documents that hold it, and whether no earlier batch did. All runs
+of a store are partitions of one table bucketed by hash and sorted within each bucket, so a batch of lines is counted into the same buckets
+once and then merge-anti-joins all live runs where they lie: keys in no run are new, the others are known and only counted, and both become the
+batch's own run of level 0. When a level holds `fanout` runs they merge, bucket by bucket and again without a shuffle, into one run of the next
+level, so a new batch meets at most fanout * log(batches) runs. The live runs are listed in a manifest beside them; a run is written whole before it is
+listed, and a store can be opened again from its folder.
+
+A batch can be answered in two ways: `new_lines` (first come, first kept) and `drop_frequent`, which removes lines that at least `min_docs`
+documents hold over all runs. A line held by more than a 4,096th of all counted is looked up in a broadcast table, which cannot have more than 4,096 rows,
+and its rows are dealt evenly, so that no task gets all rows of a common line.
 
 A line is what stands between two \\n; its key is the line without ASCII white space at both ends, A-Z in lower case.
 Null and empty texts hold one empty line. Empty keys (shorter than `min_key`) are never counted or dropped. Every row counts
@@ -13,13 +18,18 @@ An empty table gives an empty result."""
 
 from __future__ import annotations
 
+import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
+
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from .common import ASCII_SPACE, ascii_lower, prepare, row_keys, scratch_dir, table, text_or_empty
 
-RUN = T.StructType([T.StructField("h1", T.LongType()), T.StructField("h2", T.LongType()), T.StructField("n", T.LongType())])
+RUN = "h1 BIGINT, h2 BIGINT, n BIGINT, new BOOLEAN, run INT"
+HOT_SHARE = 4096
 
 
 def line_keys(text: Column) -> Column:
@@ -35,13 +45,41 @@ def _hashed(df: DataFrame, key: str) -> DataFrame:
     return df.withColumns({"h1": F.xxhash64(F.lit(1), F.col(key)), "h2": F.xxhash64(F.lit(2), F.col(key))})
 
 
+@contextmanager
+def shuffled_into(spark: SparkSession, n: int) -> Iterator[None]:
+    """Shuffles of the queries inside go to n partitions, so that they meet buckets as they lie."""
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", str(n))
+    try:
+        yield
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
 class LineRuns:
-    """The runs below one folder. The list of live runs is a small manifest in the driver; each run is written whole before it is listed."""
+    """The runs below one folder, with their manifest."""
 
-    def __init__(self, spark: SparkSession, path: str | None = None, fanout: int = 4, text: str = "text", min_key: int = 1):
+    def __init__(self, spark: SparkSession, path: str | None = None, fanout: int = 4, text: str = "text", min_key: int = 1, buckets: int = 16):
         self.spark, self.path, self.fanout, self.text, self.min_key = spark, path or scratch_dir(spark, "line-runs"), fanout, text, min_key
-        self.levels: list[list[str]] = [[]]
-        self.written = 0
+        self.table = f"line_runs_{uuid.uuid4().hex}"
+        try:
+            kept = spark.read.parquet(f"{self.path}/manifest")
+        except AnalysisException:  # a new store
+            kept = None
+        self.version, self.levels, self.buckets = 0, [[]], buckets
+        if kept is not None:
+            last = kept.groupBy("version").agg(F.collect_list(F.struct("level", "run")).alias("runs"), F.max("buckets").alias("buckets")).orderBy(F.desc("version")).first()
+            self.version, self.buckets = last["version"], last["buckets"]
+            self.levels = [[] for _ in range(max(r["level"] for r in last["runs"]) + 1)]
+            for r in sorted(last["runs"]):
+                self.levels[r["level"]].append(r["run"])
+        spark.sql(f"CREATE TABLE {self.table} ({RUN}) USING parquet OPTIONS (compression 'zstd') PARTITIONED BY (run) CLUSTERED BY (h1, h2) SORTED BY (h1, h2) INTO {self.buckets} BUCKETS LOCATION '{self.path}/runs'")
+        if kept is not None:
+            spark.sql(f"MSCK REPAIR TABLE {self.table}")
+
+    def close(self) -> None:
+        """Forgets the name of the table; its files stay."""
+        self.spark.sql(f"DROP TABLE IF EXISTS {self.table}")
 
     def _lines(self, docs: DataFrame, keep: list[Column]) -> DataFrame:
         """(keep..., h1, h2): one row for each document and different key."""
@@ -49,49 +87,40 @@ class LineRuns:
         lines = docs.select(*keep, keys.alias("_key")).where(F.char_length("_key") >= self.min_key)
         return _hashed(lines, "_key").drop("_key")
 
-    def _write(self, run: DataFrame, level: int) -> None:
-        self.written += 1
-        path = f"{self.path}/level{level}-run{self.written}"
-        run.sortWithinPartitions("h1", "h2").write.option("compression", "zstd").parquet(path)
-        while len(self.levels) <= level:
-            self.levels.append([])
-        self.levels[level].append(path)
-
-    def runs(self) -> DataFrame:
-        """All runs under each other; a key is at most once in each."""
-        paths = [p for level in self.levels for p in level]
-        return self.spark.read.schema(RUN).parquet(*paths) if paths else self.spark.createDataFrame([], RUN)
+    def _write(self, run: DataFrame, level: int, instead_of: int | None = None) -> None:
+        """Adds a run of a level, in place of all of another, and lists it."""
+        number = max((r for x in self.levels for r in x), default=self.version) + 1
+        run = run.select("h1", "h2", "n", "new", F.lit(number).alias("run"))
+        run.write.format("parquet").mode("append").partitionBy("run").bucketBy(self.buckets, "h1", "h2").sortBy("h1", "h2").saveAsTable(self.table)
+        levels = [[] if k == instead_of else list(x) for k, x in enumerate(self.levels)]
+        levels += [[] for _ in range(level + 1 - len(levels))]
+        levels[level].append(number)
+        listed = [(number, self.buckets, k, r) for k, x in enumerate(levels) for r in x]
+        self.spark.createDataFrame(listed, "version int, buckets int, level int, run int").coalesce(1).write.mode("append").parquet(f"{self.path}/manifest")
+        self.levels, self.version = levels, number
+
+    def runs(self, level: int | None = None) -> DataFrame:
+        """The live runs under each other, in their buckets; a key is at most once in each."""
+        live = [r for k, x in enumerate(self.levels) for r in x if level in (None, k)]
+        return self.spark.table(self.table).where(F.col("run").isin(live) if live else F.lit(False))
 
     def compact(self) -> None:
         """Merge every level that holds `fanout` runs into one run of the next."""
         for k in range(len(self.levels)):
             if len(self.levels[k]) >= self.fanout:
-                merged = self.spark.read.schema(RUN).parquet(*self.levels[k]).groupBy("h1", "h2").agg(F.sum("n").alias("n"))
-                full, self.levels[k] = self.levels[k], []
-                try:
-                    self._write(merged, k + 1)
-                except Exception:
-                    self.levels[k] = full
-                    raise
+                self._write(self.runs(k).groupBy("h1", "h2").agg(F.sum("n").alias("n"), F.bool_or("new").alias("new")), k + 1, instead_of=k)
         if any(len(level) >= self.fanout for level in self.levels):
             self.compact()
 
     def add(self, docs: DataFrame) -> None:
-        """One batch becomes one run."""
-        self._write(self._lines(docs, []).groupBy("h1", "h2").agg(F.count("*").alias("n")), 0)
-        self.compact()
-
-    def bulk_add(self, docs: DataFrame, batches: int = 4) -> None:
-        """Batches that are at hand together: their runs are cut and counted in one pass over the texts, then compacted."""
-        k1, k2 = row_keys(docs.columns[0], self.text)
-        lines = self._lines(docs, [F.pmod(k1, F.lit(batches)).cast("int").alias("batch")])
-        self.written += 1
-        path = f"{self.path}/bulk{self.written}"
-        counted = lines.groupBy("batch", "h1", "h2").agg(F.count("*").alias("n"))
-        counted.sortWithinPartitions("batch", "h1", "h2").write.option("compression", "zstd").partitionBy("batch").parquet(path)
-        there = {r[0] for r in self.spark.read.schema("h1 long, h2 long, n long, batch int").parquet(path).select("batch").distinct().collect()}
-        self.levels[0] += [f"{path}/batch={b}" for b in range(batches) if b in there]
-        self.compact()
+        """One batch becomes one run: its keys are counted, then merge-anti-join the runs to tell new keys from known ones."""
+        with shuffled_into(self.spark, self.buckets):
+            counted = self._lines(docs, []).groupBy("h1", "h2").agg(F.count("*").alias("n"))
+            runs = self.runs().select("h1", "h2").hint("merge")
+            new = counted.join(runs, ["h1", "h2"], "left_anti").withColumn("new", F.lit(True))
+            known = counted.join(runs, ["h1", "h2"], "left_semi").withColumn("new", F.lit(False))
+            self._write(new.unionByName(known) if any(self.levels) else counted.withColumn("new", F.lit(True)), 0)
+            self.compact()
 
     def new_lines(self, docs: DataFrame, key: str = "doc_id") -> DataFrame:
         """(key, pos, line) of the batch's lines whose key is in no run; sort-merge anti join, so nothing needs to fit in memory."""
@@ -100,8 +129,8 @@ class LineRuns:
         return lines.join(self.runs().hint("merge"), ["h1", "h2"], "left_anti").select(key, "pos", "line")
 
     def frequent(self, min_docs: int) -> DataFrame:
-        """(h1, h2) of the keys that at least min_docs documents hold."""
-        return self.runs().groupBy("h1", "h2").agg(F.sum("n").alias("n")).where(F.col("n") >= min_docs).select("h1", "h2")
+        """(h1, h2, n) of the keys that at least min_docs documents hold, summed within the buckets."""
+        return self.runs().groupBy("h1", "h2").agg(F.sum("n").alias("n")).where(F.col("n") >= min_docs)
 
     def drop_frequent(self, docs: DataFrame, min_docs: int = 10, key: str = "doc_id") -> DataFrame:
         """docs with kept_text, n_lines and n_dropped. Flags of lines go back to their document by its row keys; the text
@@ -109,7 +138,15 @@ class LineRuns:
         names = row_keys(key, self.text)
         lines = docs.select(*names, F.posexplode(line_keys(text_or_empty(self.text))).alias("pos", "_key"))
         lines = _hashed(lines.withColumn("_key", _trimmed(F.col("_key"))).where(F.char_length("_key") >= self.min_key), "_key").drop("_key")
-        hit = lines.join(self.frequent(min_docs), ["h1", "h2"], "left_semi").groupBy("_k1", "_k2", "pos").agg(F.lit(1).alias("_"))
+        frequent = self.frequent(min_docs)
+        share = (self.runs().agg(F.sum("n")).first()[0] or 0) / HOT_SHARE
+        hot = self.spark.createDataFrame(frequent.where(F.col("n") > share).select("h1", "h2").collect(), "h1 long, h2 long").withColumn("_hot", F.lit(True))
+        lines = lines.join(F.broadcast(hot), ["h1", "h2"], "left")
+        # a hot line is found already: it goes where its row's hash says
+        dealt = lambda own, other: F.when(F.col("_hot"), F.xxhash64("_k1", "pos", F.lit(other))).otherwise(F.col(own))
+        lines = lines.select("_k1", "_k2", "pos", "_hot", dealt("h1", 1).alias("h1"), dealt("h2", 2).alias("h2"))
+        found = frequent.where(F.col("n") <= share).select("h1", "h2", F.lit(True).alias("_found")).hint("merge")
+        hit = lines.join(found, ["h1", "h2"], "left").where("_hot or _found").groupBy("_k1", "_k2", "pos").agg(F.lit(1).alias("_"))
         # bits of 62 lines at a time; a document gets a dense array of words, read by position
         words = hit.groupBy("_k1", "_k2", F.floor(F.col("pos") / 62).cast("int").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, pos % 62)")).alias("bits"))
         per_doc = words.groupBy("_k1", "_k2").agg(F.sort_array(F.collect_list(F.struct("w", "bits"))).alias("_words"))
@@ -126,13 +163,15 @@ class LineRuns:
         return out.drop("_k1", "_k2", "_bits", "_n", "_kept")
 
 
-def dedup_lines(docs: DataFrame, min_docs: int = 10, batches: int = 4, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """All of docs through one store of runs; returns docs with kept_text, n_lines and n_dropped."""
+def dedup_lines(docs: DataFrame, min_docs: int = 10, batches: int = 4, key: str = "doc_id", text: str = "text", buckets: int | None = None) -> DataFrame:
+    """All of docs, batch by batch, through one store of runs; returns docs with kept_text, n_lines and n_dropped. Without `buckets`, there is one for
+    every four input partitions."""
     spark = docs.sparkSession
     prepare(spark)
     inner = docs.select(F.col(key).alias("_id"), F.col(text).alias("_text"))
-    store = LineRuns(spark, text="_text")
-    store.bulk_add(inner, batches)
+    store = LineRuns(spark, text="_text", buckets=buckets or min(1 << 16, max(8, inner.rdd.getNumPartitions() // 4)))
+    for b in range(batches):
+        store.add(inner.where(F.pmod(F.xxhash64("_id"), F.lit(batches)) == b))
     renamed = docs.withColumnsRenamed({c: f"_in_{c}" for c in docs.columns if c not in (key, text)}).withColumn("_text", F.col(text))
     out = store.drop_frequent(renamed, min_docs, key).drop("_text")
     back = {f"_in_{c}": c for c in docs.columns if c not in (key, text, "n_lines", "n_dropped", "kept_text")}

@@ -187,7 +187,7 @@ class ClassModel:
 
         def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                for i, j in slices(b["text"], 1 << 23):
+                for i, j in slices(b["text"]):
                     stream, tail, _ = token_stream(b["text"][i:j])
                     h, first, n = np.unique(stream, return_index=True, return_counts=True)
                     yield pa.record_batch({"h": h.view(np.int64), "tail": tail[first].astype(np.int32), "n": n.astype(np.int64)})
@@ -427,7 +427,7 @@ def context_counts(texts: DataFrame, rule: ClassModel) -> tuple[tuple[np.ndarray
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums, held, salt = np.zeros((2, c * c), np.int64), [[], []], TaskContext.get().partitionId() // FAN_IN
         for b in batches:
-            for i, j in slices(b["text"], 1 << 22):
+            for i, j in slices(b["text"]):
                 h, tail, _ = token_stream(b["text"][i:j])
                 row, cls = sent.value.place(h, tail)
                 row_before = np.concatenate([[len(sent.value.word_class) - 1], row[:-1]])
@@ -439,7 +439,7 @@ def context_counts(texts: DataFrame, rule: ClassModel) -> tuple[tuple[np.ndarray
                 code = np.concatenate([row_before[some] * KEYS + cls[some], row[row >= 0] * KEYS + c + before[row >= 0]])
                 for x, y in zip(held, np.unique(code, return_counts=True), strict=True):
                     x.append(y)
-                if sum(map(len, held[0])) > 1 << 22:
+                if sum(map(len, held[0])) > 1 << 20:
                     held = [[x] for x in combined(*held)]
         out = [packed(-1, salt, np.flatnonzero(sums.ravel()), sums.ravel()[np.flatnonzero(sums.ravel())])]
         if held[0]:

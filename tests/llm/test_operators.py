@@ -546,7 +546,7 @@ def test_near_join_equals_brute_force(spark, monkeypatch):
             rows.append((len(rows), " ".join(own)))
     rows += [(2000, None), (2001, ""), (2002, "two words"), (2003, "TWO  words!")]
     links, root = near_reference(rows)
-    monkeypatch.setattr(near_join, "BLOCK", 8)  # buckets over several blocks
+    monkeypatch.setattr(near_join, "TILE", (8, 8, 1))  # runs over several tiles
     got = {x["doc_id"]: x for x in near_join.near_classes(docs(spark, rows, True)).collect()}
     assert [got[i]["n_links"] for i, _ in rows] == links
     assert [got[i]["class_id"] for i, _ in rows] == [rows[k][0] for k in root]
@@ -554,6 +554,31 @@ def test_near_join_equals_brute_force(spark, monkeypatch):
     assert sorted(x["doc_id"] for x in kept.collect()) == sorted({rows[k][0] for k in root}) and kept.columns == docs(spark, rows, True).columns
 
 
+def test_forest_meets_each_pair_once_at_its_greatest_depth():
+    r = np.random.default_rng(3)
+    sig = r.integers(0, 2, (60, 4, 5)).astype(np.uint16)
+    labels = near_join.prefixes(pa.array([x.tobytes() for x in sig], pa.binary()), 4, 5, 2)
+    side = np.arange(60) % 2
+    for cross in (False, True):
+        seen = {}
+        for tree in range(4):
+            for a, b, same in near_join.tiles(side, cross):
+                d = near_join.pair_depths(labels, tree, a, b, same, 2)
+                for x, y in zip(*np.nonzero(d), strict=True):
+                    assert seen.setdefault(frozenset((int(a[x]), int(b[y]))), (int(d[x, y]), tree)) == (d[x, y], tree)
+        for i in range(60):
+            for j in range(i):
+                if not cross or side[i] != side[j]:
+                    common = [next((k for k in range(5) if sig[i, t, k] != sig[j, t, k]), 5) for t in range(4)]
+                    assert seen.get(frozenset((i, j))) == ((max(common), common.index(max(common))) if max(common) >= 2 else None)
+
+
+def test_recall_estimate_shortens_until_the_target():
+    assert near_join.recall({}, 0.8, 8, 16) == 0 and near_join.recall({1000: 10**6}, 0.8, 8, 16) > 0.9999
+    few, many = near_join.recall({800: 10}, 0.8, 3, 16), near_join.recall({800: 10**6}, 0.8, 3, 16)
+    assert few < many and near_join.recall({800: 10**6}, 0.8, 8, 16) < 0.95 < 0.9999 < many
+
+
 def test_near_join_odd_rows(spark):
     got = near_join.near_classes(docs(spark, ODD, True)).collect()
     assert len(got) == len(ODD) and near_join.keep_one(docs(spark, ODD)).count() == 4

@@ -464,6 +464,37 @@ def test_packing_round_trip(spark):
     assert packing.pack(docs(spark, [])).count() == 0
 
 
+def test_bm25_scores_and_statistics_equal_a_plain_sum(spark):
+    r = random.Random(8)
+    texts = [" ".join(f"w{int(r.paretovariate(0.8)) % 300}" for _ in range(r.randint(1, 60))) for _ in range(120)] + ["w1 " * 70_000 + "w2 w2", "w1 w2", None, ""]
+    rows = packing.measured(docs(spark, list(enumerate(texts))), "doc_id", "text", packing.default_tokenizer(), 2)
+    idf, mean = packing._statistics(rows)
+    got = {x["id"]: x for x in rows.collect()}
+    order = sorted(got)
+    column = lambda c, kind: [np.frombuffer(got[i][c], kind) for i in order]
+    shard = packing.Shard(column("terms", np.uint32), column("times", np.uint16), idf, mean)
+    e = packing.encoder(packing.default_tokenizer())
+    words = []
+    for t in texts:
+        h = e.encode(pa.array([t], pa.string()), 2)[2]
+        words.append(collections.Counter((h >> np.uint64(32)).tolist()))
+    group = lambda t: t >> (32 - packing.GROUPS)
+    df = collections.Counter(group(t) for w in words for t in w)
+    length = [sum(w.values()) for w in words]
+    assert mean == pytest.approx(sum(length) / len(texts)) and max(length) > 70_000
+    for seed in (0, 5, 120, 121, 122):
+        want = [sum(math.log1p((len(texts) - df[group(t)] + 0.5) / (df[group(t)] + 0.5)) * w[t] * 2.2 / (w[t] + 1.2 * (0.25 + 0.75 * n / mean)) for t in words[seed] if t in w) for w, n in zip(words, length, strict=True)]
+        assert np.allclose(shard.scores(seed), want)
+
+
+def test_windows_take_the_best_neighbours_first():
+    idf = np.ones(1 << packing.GROUPS)
+    terms = [np.array(x, np.uint32) << np.uint32(20) for x in ([1, 2, 3, 4], [9, 10, 11], [1, 2, 3, 5], [1, 7, 8])]
+    sizes = np.array([2000, 1000, 1500, 1800])
+    out = packing.pack_shard(sizes, packing.Shard(terms, [np.ones(len(t), np.uint16) for t in terms], idf, 4.0))
+    assert [p[0] for p in out[0]] == [0, 2, 3] and sum(p[2] for p in out[0]) <= 4096  # most shared words first, then the cut one
+
+
 def test_crc_algebra():
     t = packing._operators()
     ids = np.random.default_rng(0).integers(0, 50_000, 333).astype("<u4")

@@ -4,7 +4,7 @@ greedily fill its window.
 Tokenizing gives each document its number of ids and, for every 64 ids, a CRC-32, from which the checksum of any piece cut at
 multiples of 64 follows by the algebra of CRCs; so ids are made once and never stored or shuffled. Documents are ordered by a hash of the least hash
 of their words, which brings near copies and documents that share rare words together, and dealt into shards of a bounded number of documents.
-Each shard has its own inverted index over hashed words (65,536 terms, with document frequencies over all documents); the seed is the longest unused document,
+Each shard has its own inverted index over words named by 32-bit hashes, whose document frequencies over all documents are kept for 262,144 groups of words; the seed is the longest unused document,
 neighbours come in the order of their BM25 score, whole where they fit, and the best one that does not fit is cut to fill the window. Full windows of
 long documents are sequences of their own. The last, unfilled window of a shard is split into sequences whose lengths are powers of two, which need no padding;
 fewer than 64 ids remain for a padded one.
@@ -27,7 +27,7 @@ from .bpe import WordEncoder
 from .common import materialize, prepare, table
 from .words import mix, slices
 
-WINDOW, UNIT, SHARD, TERMS = 4096, 64, 2048, 1 << 16
+WINDOW, UNIT, SHARD, GROUPS, MORE, FAN_IN = 4096, 64, 2048, 18, 65535, 512
 K1, LENGTH_WEIGHT = 1.2, 0.75
 _ENCODERS: dict[str, WordEncoder] = {}
 
@@ -89,9 +89,15 @@ def measured(docs: DataFrame, key: str, text: str, tokenizer: str, end_id: int)
             n += np.diff(cut_ids).tolist()
             crcs += [np.array([zlib.crc32(raw[a : min(a + 4 * UNIT, e)]) for a in range(s, e, 4 * UNIT)], np.uint32).tobytes() for s, e in zip(bounds[:-1], bounds[1:], strict=True)]
             doc = np.repeat(np.arange(j - i), np.diff(offsets))
-            pairs, count = np.unique(doc.astype(np.uint64) << np.uint64(16) | h >> np.uint64(48), return_counts=True)
-            cut = np.searchsorted(pairs, np.arange(j - i + 1, dtype=np.uint64) << np.uint64(16))
-            term, tf = (pairs & np.uint64(TERMS - 1)).astype(np.uint16), np.minimum(count, 65535).astype(np.uint16)
+            pairs, count = np.unique(doc.astype(np.uint64) << np.uint64(32) | h >> np.uint64(32), return_counts=True)
+            if (count > MORE).any():  # a count of 0 is MORE further times of the term before
+                extra = (count - 1) // MORE
+                head = np.arange(len(count)) + np.cumsum(extra) - extra
+                pairs, rest = np.repeat(pairs, extra + 1), count - extra * MORE
+                count = np.zeros(len(pairs), np.int64)
+                count[head] = rest
+            cut = np.searchsorted(pairs, np.arange(j - i + 1, dtype=np.uint64) << np.uint64(32))
+            term, tf = pairs.astype(np.uint32), count.astype(np.uint16)
             least = np.zeros(j - i, np.uint64)
             some = np.flatnonzero(np.diff(offsets))
             if len(some):
@@ -107,20 +113,36 @@ def measured(docs: DataFrame, key: str, text: str, tokenizer: str, end_id: int)
 
 
 def _statistics(rows: DataFrame) -> tuple[np.ndarray, float]:
-    """Inverse document frequency of each term and the mean length, over all documents."""
+    """Inverse document frequency of each group of terms and the mean length, over all documents. Every task sends one array of fixed
+    size; `FAN_IN` of them at a time are summed in tasks."""
+    size = (1 << GROUPS) + 2
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, docs, words = np.zeros(TERMS, np.int64), 0, 0
+        total = np.zeros(size, np.int64)
         for b in batches:
-            total += np.bincount(np.frombuffer(b"".join(x.as_py() for x in b["terms"]), np.uint16), minlength=TERMS)
-            words += int(np.frombuffer(b"".join(x.as_py() for x in b["times"]), np.uint16).sum(dtype=np.int64))
-            docs += len(b)
-        yield pa.record_batch({"term": np.arange(-2, TERMS), "n": np.concatenate([[docs, words], total])})
-
-    got = rows.select("terms", "times").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
-    df = np.zeros(TERMS + 2, np.int64)
-    df[got["term"].to_numpy() + 2] = got["n"].to_numpy()
-    docs, words, df = df[0], df[1], df[2:]
+            term, tf = (np.frombuffer(b"".join(x.as_buffer() for x in b[c]), kind) for c, kind in (("terms", np.uint32), ("times", np.uint16)))
+            total[2:] += np.bincount(term[tf > 0] >> (32 - GROUPS), minlength=size - 2)
+            total[:2] += len(b), int(tf.sum(dtype=np.int64)) + MORE * int((tf == 0).sum())
+        yield pa.record_batch({"n": [pa.compress(total.tobytes(), codec="zstd", asbytes=True)]})
+
+    def opened(x: bytes) -> np.ndarray:
+        return np.frombuffer(pa.decompress(x, decompressed_size=8 * size, codec="zstd", asbytes=True), np.int64)
+
+    def added(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(size, np.int64)
+        for b in batches:
+            for x in b["n"]:
+                total += opened(x.as_py())
+        yield pa.record_batch({"n": [pa.compress(total.tobytes(), codec="zstd", asbytes=True)]})
+
+    parts, sums = rows.select("terms", "times").rdd.getNumPartitions(), rows.select("terms", "times").mapInArrow(count, "n binary")
+    while parts > FAN_IN:
+        parts = -(-parts // FAN_IN)
+        sums = sums.repartition(parts).mapInArrow(added, "n binary")
+    total = np.zeros(size, np.int64)
+    for x in sums.toArrow()["n"]:
+        total += opened(x.as_py())
+    docs, words, df = total[0], total[1], total[2:]
     return np.log1p((docs - df + 0.5) / (df + 0.5)), float(words) / max(1, int(docs))
 
 
@@ -128,20 +150,25 @@ class Shard:
     """An inverted index of one shard's open documents, with BM25 weights stored in the postings."""
 
     def __init__(self, terms: list[np.ndarray], times: list[np.ndarray], idf: np.ndarray, mean: float):
-        self.terms = terms
         doc = np.repeat(np.arange(len(terms)), [len(t) for t in terms])
-        term, tf = np.concatenate(terms), np.concatenate(times).astype(np.float64)
-        length = np.array([t.sum(dtype=np.int64) for t in times], np.float64)[doc]
-        weight = idf[term] * tf * (K1 + 1) / (tf + K1 * (1 - LENGTH_WEIGHT + LENGTH_WEIGHT * length / max(mean, 1e-9)))
-        order = np.argsort(term, kind="stable")
+        term, tf = np.concatenate(terms), np.concatenate(times).astype(np.int64)
+        more = np.flatnonzero(tf == 0)
+        if len(more):
+            np.add.at(tf, np.maximum.accumulate(np.where(tf > 0, np.arange(len(tf)), 0))[more], MORE)
+            doc, term, tf = doc[tf > 0], term[tf > 0], tf[tf > 0]
+        length = np.bincount(doc, weights=tf, minlength=len(terms))[doc]
+        weight = idf[term >> (32 - GROUPS)] * tf * (K1 + 1) / (tf + K1 * (1 - LENGTH_WEIGHT + LENGTH_WEIGHT * length / max(mean, 1e-9)))
+        known, own = np.unique(term, return_inverse=True)  # the shard's terms by number
+        self.own, self.cut, self.size = own, np.searchsorted(doc, np.arange(len(terms) + 1)), len(terms)
+        order = np.argsort(own, kind="stable")
         self.doc, self.weight = doc[order], weight[order]
-        self.start = np.searchsorted(term[order], np.arange(TERMS + 1))
+        self.start = np.searchsorted(own[order], np.arange(len(known) + 1))
 
     def scores(self, seed: int) -> np.ndarray:
-        t = self.terms[seed].astype(np.int64)
+        t = self.own[self.cut[seed] : self.cut[seed + 1]]
         first, n = self.start[t], self.start[t + 1] - self.start[t]
         at = np.repeat(first - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-        return np.bincount(self.doc[at], self.weight[at], minlength=len(self.terms))
+        return np.bincount(self.doc[at], self.weight[at], minlength=self.size)
 
 
 def pack_shard(sizes: np.ndarray, shard: Shard, window: int = WINDOW) -> list[list[tuple[int, int, int]]]:
@@ -235,7 +262,7 @@ def pack(docs: DataFrame, key: str = "doc_id", text: str = "text", tokenizer: st
             t = t.combine_chunks()
             sizes = t["n"].to_numpy()
             column = lambda c, kind: [np.frombuffer(x.as_buffer(), kind) for x in t[c].combine_chunks()]
-            crcs, terms, times = column("crcs", np.uint32), column("terms", np.uint16), column("times", np.uint16)
+            crcs, terms, times = column("crcs", np.uint32), column("terms", np.uint32), column("times", np.uint16)
             out: list[tuple] = []
             for seq in pack_shard(sizes, Shard(terms, times, idf, mean), window):
                 offset = 0

@@ -4,7 +4,9 @@ import itertools
 import math
 import random
 import re
+import textwrap
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -352,6 +354,33 @@ def test_licenses(spark):
         assert got == [(1, "MIT", True), (2, "MIT", False), (2, "MIT", False), (4, "MIT", True), (5, "Apache-2.0", True)]
 
 
+def test_licenses_inside_documents(spark):
+    named = dict(licenses.NOTICES)
+    mit, bsd, gpl = named["MIT"], named["BSD-3-Clause"], named["GPL-3.0-or-later"]
+    wrapped = lambda t, lead: "\n".join(lead + x for x in textwrap.wrap(t, 60))
+    rows = [
+        (1, "MIT License\n\nCopyright (c) 2020 A. Person\n\n" + wrapped(mit, "")),
+        (2, "int main;\n/*\n" + wrapped(gpl, " * ") + "\n */\ncode"),
+        (3, "intro\n\n" + bsd.replace("1. ", "* ").replace("2. ", "* ").replace("3. ", "* ") + "\n\nand then\n" + wrapped(mit, "# ") + "\n" + mit),
+        (4, mit[:-30] + " something else at the end of it"),
+        (5, "word " * 200_000 + mit),
+        (6, "The BSD 3-Clause License\nCopyright 2001 by B\nAll rights reserved.\n\n" + bsd),
+        (7, "see " + mit[:-1] + "x"),
+    ]
+    got = sorted((r["doc_id"], ",".join(r["licenses"]), r["n_units"], r["whole_text"]) for r in licenses.scan_licenses(docs(spark, rows), licenses.known_licenses(spark), fragments=licenses.anchors()).collect())
+    # a licence on one line is a line and a stretch; one that fills a document is its whole and a stretch
+    assert got == [(1, "MIT", 2, True), (2, "GPL-3.0-or-later", 1, False), (3, "BSD-3-Clause,MIT", 4, False), (5, "MIT", 1, False), (6, "BSD-3-Clause", 2, True)]
+    assert licenses.scan_licenses(docs(spark, []), licenses.known_licenses(spark)).count() == 0
+
+
+@pytest.mark.skipif(not Path("/usr/share/common-licenses/GPL-3").exists(), reason="needs the public licence texts of the system")
+def test_digests_of_long_licenses(spark):
+    names = {"Apache-2.0": "Apache-2.0", "GPL-2.0": "GPL-2", "GPL-3.0": "GPL-3", "LGPL-3.0": "LGPL-3", "MPL-2.0": "MPL-2.0", "CC0-1.0": "CC0-1.0"}
+    rows = [(i, "preface\n" + Path("/usr/share/common-licenses", f).read_text()) for i, f in enumerate(names.values())]
+    got = {r["doc_id"]: r["licenses"] for r in licenses.scan_licenses(docs(spark, rows), licenses.known_licenses(spark), fragments=licenses.anchors()).collect()}
+    assert all(n in got[i] for i, n in enumerate(names))
+
+
 # -- op6
 
 

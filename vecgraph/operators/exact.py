@@ -1,11 +1,14 @@
 """Exact search: truth by linear scan, range search, filtered search, and joins built on them.
 
-The query set is stated and answered in blocks: each block is broadcast (its size is checked), every task keeps its own k best for each query, and only those are
+The query set is answered in blocks of at most BLOCK_BYTES. A set of one block is collected and broadcast; a larger one is first written as a table cut by hash,
+and its blocks are fetched, broadcast and answered one after another, so that the driver holds two blocks at most, whatever the size of the set; their answers are a table in the
+shared folder. Every task keeps its own k best for each query, and only those are
 shuffled. Squared distances fold over the dimensions in order, so that equal vectors tie exactly; ties go to the smaller id."""
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import itertools
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -13,9 +16,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
+from ..sources.tables import shared_dir
 from .codecs import matrix
 
 BLOCK_BYTES = 64 << 20
+NEAR = "query_id long, vec_id long, dist double"
 
 
 def top_k(rows: DataFrame, k: int) -> DataFrame:
@@ -24,17 +29,43 @@ def top_k(rows: DataFrame, k: int) -> DataFrame:
     return rows.select("query_id", "vec_id", "dist").withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "dist")
 
 
-def _blocks(queries: DataFrame, dim_bytes: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """The queries in broadcast blocks of at most BLOCK_BYTES."""
-    n = queries.count()
-    parts = max(1, -(-n * dim_bytes // BLOCK_BYTES))
-    out = []
-    for b in range(parts):
-        part = queries if parts == 1 else queries.where(F.pmod(F.xxhash64("vec_id"), F.lit(parts)) == b)
+def query_blocks(queries: DataFrame, row_bytes: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(ids, vectors) of the queries, a block of about BLOCK_BYTES at a time; each is fetched only when it is asked for."""
+    parts = -(-queries.count() * row_bytes // BLOCK_BYTES)
+    if parts <= 1:
+        cut = [queries]
+    else:
+        path = shared_dir(queries.sparkSession, "query-blocks")
+        queries.select("vec_id", "vec", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).alias("block")).write.partitionBy("block").parquet(path)
+        held = queries.sparkSession.read.schema("vec_id long, vec array<double>, block long").parquet(path)
+        cut = (held.where(F.col("block") == b) for b in range(parts))
+    for part in cut:
         got = part.select("vec_id", "vec").toArrow()
         if got.num_rows:
-            out.append((got["vec_id"].to_numpy(), matrix(got["vec"])))
-    return out
+            yield got["vec_id"].to_numpy(), matrix(got["vec"])
+
+
+def in_blocks(base: DataFrame, queries: DataFrame, row_bytes: int, scan: Callable, schema: str, finish: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """finish(rows that scan(block, batches of base) finds), for each block of the queries."""
+    spark = base.sparkSession
+
+    def answered(block: tuple) -> tuple:
+        sent = spark.sparkContext.broadcast(block)
+        return sent, finish(base.mapInArrow(lambda batches: scan(sent.value, batches), schema))
+
+    blocks = query_blocks(queries, row_bytes)
+    first, second = next(blocks, None), next(blocks, None)
+    if first is None:
+        return finish(spark.createDataFrame([], schema))
+    if second is None:
+        return answered(first)[1]
+    path, like = shared_dir(spark, "block-answers"), None
+    for block in itertools.chain((first, second), blocks):
+        sent, found = answered(block)
+        like = found.schema
+        found.write.mode("append").parquet(path)
+        sent.destroy()
+    return spark.read.schema(like).parquet(path)
 
 
 def near_in_task(ids: np.ndarray, x: np.ndarray, qids: np.ndarray, q: np.ndarray, k: int, exclude: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -59,70 +90,59 @@ def near_in_task(ids: np.ndarray, x: np.ndarray, qids: np.ndarray, q: np.ndarray
 
 def exact_knn(base: DataFrame, queries: DataFrame, k: int = 10, self_match: str = "exclude") -> DataFrame:
     """(query_id, rank, vec_id, dist) with true distances. A base row with the query's own id counts only with self_match='include'."""
-    exclude, out = self_match == "exclude", None
+    exclude = self_match == "exclude"
     dim = len((queries.select("vec").first() or [[0]])[0])
-    for qids, q in _blocks(queries, 8 * dim):
-        sent = base.sparkSession.sparkContext.broadcast((qids, q))
-
-        def nearest(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            qids, q = sent.value
-            best = None
-            for b in batches:
-                if len(b):
-                    ids, x = b["vec_id"].to_numpy(), matrix(b["vec"])
-                    for s in range(0, len(q), 1024):
-                        found = near_in_task(ids, x, qids[s : s + 1024], q[s : s + 1024], k, exclude)
-                        best = found if best is None else tuple(np.concatenate(y) for y in zip(best, found, strict=True))
-                    order = np.lexsort((best[1], best[2], best[0]))
-                    sorted_q = best[0][order]
-                    order = order[np.arange(len(order)) - np.searchsorted(sorted_q, sorted_q) < k]
-                    best = tuple(y[order] for y in best)
-            if best is not None:
-                yield pa.record_batch({"query_id": best[0], "vec_id": best[1], "dist": best[2]})
-
-        found = base.select("vec_id", "vec").mapInArrow(nearest, "query_id long, vec_id long, dist double")
-        out = found if out is None else out.unionByName(found)
-    if out is None:
-        return base.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, dist double")
-    return top_k(out, k).withColumn("dist", F.sqrt("dist"))
+
+    def nearest(block: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        qids, q = block
+        best = None
+        for b in batches:
+            if len(b):
+                ids, x = b["vec_id"].to_numpy(), matrix(b["vec"])
+                for s in range(0, len(q), 1024):
+                    found = near_in_task(ids, x, qids[s : s + 1024], q[s : s + 1024], k, exclude)
+                    best = found if best is None else tuple(np.concatenate(y) for y in zip(best, found, strict=True))
+                order = np.lexsort((best[1], best[2], best[0]))
+                sorted_q = best[0][order]
+                order = order[np.arange(len(order)) - np.searchsorted(sorted_q, sorted_q) < k]
+                best = tuple(y[order] for y in best)
+        if best is not None:
+            yield pa.record_batch({"query_id": best[0], "vec_id": best[1], "dist": best[2]})
+
+    return in_blocks(base.select("vec_id", "vec"), queries, 8 * dim, nearest, NEAR, lambda found: top_k(found, k)).withColumn("dist", F.sqrt("dist"))
 
 
 def range_search(base: DataFrame, queries: DataFrame, radius: float, self_match: str = "exclude") -> DataFrame:
     """(query_id, vec_id, dist) of all pairs within the radius. Norms bound distances from below, so most pairs are never computed."""
-    out = None
     dim = len((queries.select("vec").first() or [[0]])[0])
-    for qids, q in _blocks(queries, 8 * dim):
-        sent = base.sparkSession.sparkContext.broadcast((qids, q))
-
-        def within(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            qids, q = sent.value
-            qn = np.sqrt((q * q).sum(axis=1))
-            order = np.argsort(qn)
-            for b in batches:
-                if not len(b):
-                    continue
-                ids, x = b["vec_id"].to_numpy(), matrix(b["vec"])
-                xn = np.sqrt((x * x).sum(axis=1))
-                lo, hi = np.searchsorted(qn[order], [xn - radius - 1e-9, xn + radius + 1e-9])
-                for s in range(0, len(ids), 1024):
-                    at = order[lo[s : s + 1024].min(initial=len(q)) : hi[s : s + 1024].max(initial=0)]
-                    for t in range(0, len(at), 4096):
-                        some, part = at[t : t + 4096], x[s : s + 1024]
-                        near = (q[some] * q[some]).sum(1)[:, None] - 2 * (q[some] @ part.T) + (part * part).sum(1)[None, :]
-                        r, c = np.nonzero(near <= radius * radius + 1e-9 * (1 + near.max(initial=0)))  # a product picks, folded sums decide
-                        acc = np.zeros(len(r))
-                        for k in range(q.shape[1]):
-                            diff = q[some[r], k] - part[c, k]
-                            acc += diff * diff
-                        d = np.sqrt(acc)
-                        ok = d <= radius
-                        if self_match == "exclude":
-                            ok &= qids[some[r]] != ids[s + c]
-                        yield pa.record_batch({"query_id": qids[some[r]][ok], "vec_id": ids[s + c][ok], "dist": d[ok]})
-
-        found = base.select("vec_id", "vec").mapInArrow(within, "query_id long, vec_id long, dist double")
-        out = found if out is None else out.unionByName(found)
-    return out if out is not None else base.sparkSession.createDataFrame([], "query_id long, vec_id long, dist double")
+
+    def within(block: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        qids, q = block
+        qn = np.sqrt((q * q).sum(axis=1))
+        order = np.argsort(qn)
+        for b in batches:
+            if not len(b):
+                continue
+            ids, x = b["vec_id"].to_numpy(), matrix(b["vec"])
+            xn = np.sqrt((x * x).sum(axis=1))
+            lo, hi = np.searchsorted(qn[order], [xn - radius - 1e-9, xn + radius + 1e-9])
+            for s in range(0, len(ids), 1024):
+                at = order[lo[s : s + 1024].min(initial=len(q)) : hi[s : s + 1024].max(initial=0)]
+                for t in range(0, len(at), 4096):
+                    some, part = at[t : t + 4096], x[s : s + 1024]
+                    near = (q[some] * q[some]).sum(1)[:, None] - 2 * (q[some] @ part.T) + (part * part).sum(1)[None, :]
+                    r, c = np.nonzero(near <= radius * radius + 1e-9 * (1 + near.max(initial=0)))  # a product picks, folded sums decide
+                    acc = np.zeros(len(r))
+                    for k in range(q.shape[1]):
+                        diff = q[some[r], k] - part[c, k]
+                        acc += diff * diff
+                    d = np.sqrt(acc)
+                    ok = d <= radius
+                    if self_match == "exclude":
+                        ok &= qids[some[r]] != ids[s + c]
+                    yield pa.record_batch({"query_id": qids[some[r]][ok], "vec_id": ids[s + c][ok], "dist": d[ok]})
+
+    return in_blocks(base.select("vec_id", "vec"), queries, 8 * dim, within, NEAR, lambda found: found)
 
 
 def filtered_knn(base: DataFrame, queries: DataFrame, where: Column, k: int = 10) -> DataFrame:

@@ -22,7 +22,7 @@ from .codecs import ExactCodec, matrix
 from .exact import exact_knn
 from .kernels import Graph, Points, build_bulk, build_layered, reached, select_lists
 
-SEGMENT_ROWS = 1_000_000
+SEGMENT_ROWS, SEGMENT_BYTES = 1 << 18, 512 << 20
 ADJACENCY = "segment int, layer int, src long, nbrs array<struct<rank:int,dst:long,dist:double>>"
 
 
@@ -44,6 +44,12 @@ def segment_count(n: int, rows: int = SEGMENT_ROWS) -> int:
     return max(1, -(-n // rows))
 
 
+def default_segments(vectors: DataFrame) -> int:
+    """As many segments as keep each below SEGMENT_ROWS rows and its full vectors below SEGMENT_BYTES, with room for uneven hashing."""
+    dim = len((vectors.select("vec").first() or [[0]])[0])
+    return segment_count(vectors.count(), max(1, min(SEGMENT_ROWS, SEGMENT_BYTES // (8 * max(1, dim)))))
+
+
 def assign_segments(vectors: DataFrame, segments: int, mode: str = "hash", centres: np.ndarray | None = None) -> DataFrame:
     """vectors with `segment`. hash: by id; range: by order of the id in equal shares (approximate quantiles); coarse: by the nearest of `centres`."""
     if mode == "hash":
@@ -154,19 +160,22 @@ def check_graph(edges: DataFrame, degree: int) -> DataFrame:
     return sums.join(nowhere, how="cross")  # one row each
 
 
-def reachable(edges: DataFrame, entry: int, rounds: int = 100) -> DataFrame:
-    """(v, hop): vertices reached from the entry, by joins of the frontier with the edges; every few rounds the state is written to the shared folder."""
+def reachable(edges: DataFrame, entry: int, rounds: int | None = None) -> DataFrame:
+    """(v, hop): vertices reached from the entry, by joins of the frontier with the edges; every few rounds the state is written to the shared folder. With `rounds`,
+    vertices that are farther raise an error."""
     from ..sources.tables import stored
 
     spark = edges.sparkSession
     seen = spark.createDataFrame([(entry, 0)], "v long, hop int")
     front, hop = seen, 0
-    while hop < rounds:
+    while True:
         hop += 1
         step = edges.join(front.select(F.col("v").alias("src")), "src").select(F.col("dst").alias("v")).distinct().join(seen.select("v"), "v", "left_anti").withColumn("hop", F.lit(hop))
         front = stored(step, "frontier")
         if front.isEmpty():
             break
+        if rounds is not None and hop > rounds:
+            raise RuntimeError(f"there are vertices beyond {rounds} hops")
         seen = seen.unionByName(front)
         if hop % 8 == 0:
             seen = stored(seen, "reached")
@@ -219,18 +228,17 @@ def block_distances(blocks: DataFrame, k: int, batched: bool = True) -> DataFram
 
     @F.arrow_udf("array<int>")
     def look_up(adt: pa.Array, codes: pa.Array) -> pa.Array:
-        out = []
-        for a, c in zip(adt, codes, strict=True):
-            table = np.array(a.as_py(), np.int64).reshape(-1, k)
-            by = np.array(c.as_py(), np.int64)
-            if batched:
-                total = np.zeros(by.shape[1], np.int64)
-                for m in range(len(by)):
-                    total += table[m].take(np.maximum(by[m], 0))
-            else:
-                total = np.array([sum(int(table[m, max(by[m, j], 0)]) for m in range(len(by))) for j in range(by.shape[1])])
-            out.append(total.tolist())
-        return pa.array(out, pa.list_(pa.int32()))
+        if not len(adt):
+            return pa.array([], pa.list_(pa.int32()))
+        by = codes.flatten().flatten().to_numpy().astype(np.int64).reshape(len(codes), len(codes[0]), -1)
+        tables = adt.flatten().to_numpy().astype(np.int64).reshape(len(adt), by.shape[1], k)
+        if batched:
+            total = np.zeros((len(by), by.shape[2]), np.int64)
+            for m in range(by.shape[1]):
+                total += np.take_along_axis(tables[:, m], np.maximum(by[:, m], 0), axis=1)
+        else:
+            total = np.array([[sum(int(table[m, max(code[m, j], 0)]) for m in range(len(code))) for j in range(code.shape[1])] for table, code in zip(tables, by, strict=True)])
+        return pa.ListArray.from_arrays(pa.array(np.arange(len(by) + 1, dtype=np.int32) * by.shape[2]), pa.array(total.astype(np.int32).ravel()))
 
     sums = blocks.withColumn("sums", look_up("adt", "codes"))
     flat = sums.select("query_id", "src", "block_no", F.explode(F.arrays_zip("ids", "sums")).alias("x"))
@@ -255,30 +263,36 @@ def prepared(vectors: DataFrame, codec: ExactCodec) -> DataFrame:
     return vectors.select("segment", "vec_id", "level", own(F.col("vec")).alias("p")).select("segment", "vec_id", "level", "p.code", "p.tables")
 
 
-def source_of(codec: ExactCodec, code: list[bytes], tables: list[bytes] | None):
+def source_of(codec: ExactCodec, code: list[bytes], tables: list[bytes] | None, n: int | None = None):
     """The distance source of a segment from its shuffled parts."""
+    n = len(code) if n is None else n
     like = codec.source(np.zeros((1, codec.dim)))
     if isinstance(like, Points):
-        out = Points(np.frombuffer(b"".join(code), like.x.dtype).reshape(len(code), -1), like.weight)
-        return out
+        return Points(np.frombuffer(b"".join(code), like.x.dtype).reshape(n, -1), like.weight)
     from .kernels import Tables
 
-    codes = np.frombuffer(b"".join(code), like.codes.dtype).reshape(len(code), -1)
-    own = np.frombuffer(b"".join(tables), like.tables.dtype).reshape(len(code), *like.tables.shape[1:]) if tables else None
+    codes = np.frombuffer(b"".join(code), like.codes.dtype).reshape(n, -1)
+    own = np.frombuffer(b"".join(tables), like.tables.dtype).reshape(n, *like.tables.shape[1:]) if tables else None
     return Tables(codes, own, like.between.reshape(like.m, like.k, like.k), like.wide, like.block)
 
 
-def rows_of(graph: Graph, ids: np.ndarray, segment: int, levels: np.ndarray) -> pd.DataFrame:
+def rows_of(graph: Graph, ids: np.ndarray, segment: int, levels: np.ndarray) -> pa.Table:
     """Adjacency rows of a built graph; distances are those of its codes."""
-    parts = []
+    kind = pa.struct([("rank", pa.int32()), ("dst", pa.int64()), ("dist", pa.float64())])
+    schema, parts = pa.schema([("segment", pa.int32()), ("layer", pa.int32()), ("src", pa.int64()), ("nbrs", pa.list_(kind))]), []
     for layer, adj in enumerate(graph.adj):
         at = np.flatnonzero(levels >= layer)
         for s in range(0, len(at), 4096):
             a = at[s : s + 4096]
-            nb = adj[a]
-            d = graph.source.pair(a, nb.astype(np.int64)).astype(np.float64)
-            parts.append(pd.DataFrame({"segment": segment, "layer": layer, "src": ids[a], "nbrs": [[{"rank": i + 1, "dst": int(ids[y]), "dist": float(z)} for i, (y, z) in enumerate((y, z) for y, z in zip(row, dd, strict=True) if y >= 0)] for row, dd in zip(nb.tolist(), d.tolist(), strict=True)]}))
-    return pd.concat(parts) if parts else pd.DataFrame({"segment": [], "layer": [], "src": [], "nbrs": []})
+            nb = adj[a].astype(np.int64)
+            d = graph.source.pair(a, nb).astype(np.float64)
+            row, col = np.nonzero(nb >= 0)
+            rank = np.arange(len(row)) - np.searchsorted(row, row) + 1
+            flat = pa.StructArray.from_arrays([pa.array(rank.astype(np.int32)), pa.array(ids[nb[row, col]]), pa.array(d[row, col])], fields=list(kind))
+            cut = pa.array(np.searchsorted(row, np.arange(len(a) + 1)).astype(np.int32))
+            fill = lambda x: pa.array(np.full(len(a), x, np.int32))
+            parts.append(pa.table([fill(segment), fill(layer), pa.array(ids[a]), pa.ListArray.from_arrays(cut, flat)], schema=schema))
+    return pa.concat_tables(parts) if parts else schema.empty_table()
 
 
 def construct(codec: ExactCodec, source, levels: np.ndarray, candidates: int, degree: int, strategy: str, base_factor: int, tau: float, batch: int) -> Graph:
@@ -292,7 +306,7 @@ def construct(codec: ExactCodec, source, levels: np.ndarray, candidates: int, de
 
 def build_spanning(source, candidates: int, degree: int, tau: float, inline: bool) -> Graph:
     """Single layer around a navigating vertex: candidates are the nearest vertices and those met on the way from the navigating vertex; what stays unreached is attached."""
-    from .kernels import beam, ensure_reachable, link_back
+    from .kernels import beam, ensure_reachable, link_back, without_mutual
 
     graph = build_bulk(source, candidates, degree, tau, reachable=False, inline=inline)
     n = source.n
@@ -312,8 +326,7 @@ def build_spanning(source, candidates: int, degree: int, tau: float, inline: boo
         lists.append(select_lists(source, np.where(np.isfinite(d), c, -1), d, degree, tau, graph.count))
     fresh = np.concatenate(lists) if lists else np.zeros((0, degree), np.int64)
     graph.set(0, np.arange(n), fresh)
-    mutual = np.array([[y >= 0 and bool((fresh[y] == x).any()) for y in row] for x, row in enumerate(fresh.tolist())]).reshape(fresh.shape)
-    link_back(graph, 0, np.arange(n), np.where(mutual, -1, fresh), tau)
+    link_back(graph, 0, np.arange(n), without_mutual(graph, 0, np.arange(n), fresh), tau)
     ensure_reachable(graph)
     return graph
 
@@ -321,24 +334,29 @@ def build_spanning(source, candidates: int, degree: int, tau: float, inline: boo
 REPORT = "segment int, n long, metric string, value double"
 
 
-def build_graph(vectors: DataFrame, codec: ExactCodec, candidates: int = 128, degree: int = 16, strategy: str = "batched", segments: int = 1, base_factor: int = 2, tau: float = 0.0, batch: int = 256, report: bool = False) -> DataFrame:
+def build_graph(vectors: DataFrame, codec: ExactCodec, candidates: int = 128, degree: int = 16, strategy: str = "batched", segments: int | None = None, base_factor: int = 2, tau: float = 0.0, batch: int = 256, report: bool = False) -> DataFrame:
     """Adjacency (segment, layer, src, nbrs) of a graph for each segment, or with report=True its counters and seconds (segment, n, metric, value). The codec must be fitted."""
-    placed = assign_levels(assign_segments(vectors.select("vec_id", "vec"), segments), degree)
+    placed = assign_segments(vectors.select("vec_id", "vec"), segments or default_segments(vectors))
+    return build_segments(placed, codec, candidates, degree, strategy, base_factor, tau, batch, report)
+
+
+def build_segments(placed: DataFrame, codec: ExactCodec, candidates: int = 128, degree: int = 16, strategy: str = "batched", base_factor: int = 2, tau: float = 0.0, batch: int = 256, report: bool = False) -> DataFrame:
+    """The same for vectors that have their segment."""
+    placed = assign_levels(placed.select("vec_id", "vec", "segment"), degree)
     parts = prepared(placed if strategy not in ("bulk", "spanning") else placed.withColumn("level", F.lit(0)), codec)
-    sent = vectors.sparkSession.sparkContext.broadcast(codec)
+    sent = placed.sparkSession.sparkContext.broadcast(codec)
 
-    def run(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("vec_id")
+    def run(rows: pa.Table) -> pa.Table:
+        rows = rows.sort_by("vec_id").combine_chunks()
         c, began = sent.value, time.perf_counter()
-        tables = None if rows["tables"].iloc[0] is None else rows["tables"].tolist()
-        source = source_of(c, rows["code"].tolist(), tables)
-        levels = rows["level"].to_numpy(np.int64)
+        tables = None if rows["tables"].null_count else [x.as_buffer() for x in rows["tables"]]
+        source = source_of(c, [x.as_buffer() for x in rows["code"]], tables)
+        ids, levels, segment = rows["vec_id"].to_numpy(), rows["level"].to_numpy().astype(np.int64), rows["segment"][0].as_py()
         graph = construct(c, source, levels, min(candidates, max(1, len(rows) - 1)), degree, strategy, base_factor, tau, batch)
         took = time.perf_counter() - began
-        segment = int(rows["segment"].iloc[0])
         if report:
-            count = dict(graph.count) | {"build_seconds": took, "edges": float(sum(int((a >= 0).sum()) for a in graph.adj)), "reached": float(reached(graph).sum()), "entry": float(rows["vec_id"].iloc[graph.entry])}
-            return pd.DataFrame([(segment, len(rows), k, float(v)) for k, v in count.items()], columns=["segment", "n", "metric", "value"])
-        return rows_of(graph, rows["vec_id"].to_numpy(np.int64), segment, levels)
+            count = dict(graph.count) | {"build_seconds": took, "edges": float(sum(int((a >= 0).sum()) for a in graph.adj)), "reached": float(reached(graph).sum()), "entry": float(ids[graph.entry])}
+            return pa.table({"segment": pa.array([segment] * len(count), pa.int32()), "n": pa.array([len(rows)] * len(count), pa.int64()), "metric": list(count), "value": pa.array(list(map(float, count.values())), pa.float64())})
+        return rows_of(graph, ids, segment, levels)
 
-    return parts.groupBy("segment").applyInPandas(run, REPORT if report else ADJACENCY)
+    return parts.groupBy("segment").applyInArrow(run, REPORT if report else ADJACENCY)

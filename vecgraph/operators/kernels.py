@@ -183,6 +183,16 @@ def select_lists(source: Points | Tables, ids: np.ndarray, dist: np.ndarray, deg
     return kept
 
 
+def without_mutual(graph: Graph, layer: int, x: np.ndarray, lists: np.ndarray) -> np.ndarray:
+    """The lists without neighbours that have x in their own list: those edges are there already."""
+    out = lists.astype(np.int64)
+    for s in range(0, len(x), 4096):
+        part = out[s : s + 4096]
+        there = (graph.adj[layer][part] == x[s : s + 4096, None, None]).any(axis=2)
+        part[there & (part >= 0)] = -1
+    return out
+
+
 def link_back(graph: Graph, layer: int, x: np.ndarray, lists: np.ndarray, tau: float = 0.0) -> None:
     """Reverse edges: x joins the list of each neighbour, which is selected anew where it overflows."""
     degree = graph.adj[layer].shape[1]
@@ -195,8 +205,9 @@ def link_back(graph: Graph, layer: int, x: np.ndarray, lists: np.ndarray, tau: f
     ys, first, n = np.unique(to, return_index=True, return_counts=True)
     have = (graph.adj[layer][ys] >= 0).sum(axis=1)
     fits = have + n <= degree
-    for y, a, k, h in zip(ys[fits].tolist(), first[fits].tolist(), n[fits].tolist(), have[fits].tolist(), strict=True):
-        graph.adj[layer][y, h : h + k] = frm[a : a + k]
+    place = have[np.searchsorted(ys, to)] + np.arange(len(to)) - first[np.searchsorted(ys, to)]  # behind what the list has
+    few = fits[np.searchsorted(ys, to)]
+    graph.adj[layer][to[few], place[few]] = frm[few]
     if graph.inline is not None and fits.any():
         graph.set(layer, ys[fits], graph.adj[layer][ys[fits]])
     over = np.flatnonzero(~fits)
@@ -204,9 +215,10 @@ def link_back(graph: Graph, layer: int, x: np.ndarray, lists: np.ndarray, tau: f
         part = over[s : s + 512]
         width = int((have[part] + n[part]).max())
         cand = np.full((len(part), width), -1, np.int64)
-        for i, p in enumerate(part.tolist()):
-            cand[i, : have[p]] = graph.adj[layer][ys[p], : have[p]]
-            cand[i, have[p] : have[p] + n[p]] = frm[first[p] : first[p] + n[p]]
+        cand[:, : min(width, degree)] = graph.adj[layer][ys[part], :width]
+        mine = np.arange(len(part)).repeat(n[part])
+        rank = np.arange(len(mine)) - np.repeat(np.cumsum(n[part]) - n[part], n[part])
+        cand[mine, have[part][mine] + rank] = frm[first[part][mine] + rank]
         d = graph.source.pair(ys[part], cand).astype(np.float64)
         graph.count["reverse_distances"] += int((cand >= 0).sum())
         d[cand < 0] = np.inf
@@ -255,11 +267,7 @@ def build_layered(source: Points | Tables, levels: np.ndarray, candidates: int,
         for layer, mates, lists in plans:
             graph.set(layer, mates, lists)
         for layer, mates, lists in plans:
-            back = lists.copy()  # mates that chose each other have the edge already
-            for i, x in enumerate(mates.tolist()):
-                mutual = [y for y in back[i][back[i] >= 0].tolist() if (graph.adj[layer][y] == x).any()]
-                back[i][np.isin(back[i], mutual)] = -1
-            link_back(graph, layer, mates, back, tau)
+            link_back(graph, layer, mates, without_mutual(graph, layer, mates, lists), tau)
         best = members[levels[members].argmax()]
         if levels[best] > graph.top:
             graph.entry, graph.top = int(best), int(levels[best])
@@ -282,8 +290,7 @@ def build_bulk(source: Points | Tables, candidates: int, degree: int, tau: float
         order = np.argsort(d, axis=1, kind="stable")[:, : min(candidates, n - 1)]
         graph.set(0, at, select_lists(source, order, np.take_along_axis(d, order, 1), degree, tau, graph.count))
     lists = graph.adj[0].astype(np.int64).copy()
-    mutual = np.array([[y >= 0 and bool((lists[y] == x).any()) for y in row] for x, row in enumerate(lists.tolist())]).reshape(lists.shape)
-    link_back(graph, 0, np.arange(n), np.where(mutual, -1, lists), tau)
+    link_back(graph, 0, np.arange(n), without_mutual(graph, 0, np.arange(n), lists), tau)
     sample = np.arange(n)[:: max(1, n // 256)]
     mean = source.of(source.own(sample), np.tile(np.arange(n), (len(sample), 1))).mean(axis=0)
     graph.entry, graph.top = int(mean.argmin()), 0

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import time
 from collections import Counter
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
@@ -12,46 +13,113 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .codecs import ExactCodec, matrix
-from .exact import exact_knn, merge_topk, rerank, top_k
-from .graph import assign_levels, assign_segments, build_graph, prepared, source_of
+from .exact import exact_knn, in_blocks, merge_topk, rerank, top_k
+from .graph import assign_levels, assign_segments, build_graph, build_segments, default_segments, prepared, source_of
 from .kernels import Graph, Points, descend, early_abort
 
 FOUND = "query_id long, segment int, vec_id long, dist double, hops double, distances double"
+PACKED = "segment int, ids binary, code binary, vecs binary, layers array<struct<at: binary, lists: binary>>"
 
 
 class Index:
-    """A fitted codec, the vectors with their segment, and the adjacency, as DataFrames that can be stored."""
+    """A fitted codec, the vectors with their segment, and the adjacency, as DataFrames that can be stored. `gone` holds deleted ids until a rebuild."""
 
-    def __init__(self, vectors: DataFrame, codec: ExactCodec, adjacency: DataFrame, segments: int, degree: int):
+    def __init__(self, vectors: DataFrame, codec: ExactCodec, adjacency: DataFrame, segments: int, degree: int, how: dict | None = None, gone: DataFrame | None = None):
         self.vectors, self.codec, self.adjacency, self.segments, self.degree = vectors, codec, adjacency, segments, degree
-
-
-def build_index(vectors: DataFrame, codec: ExactCodec, candidates: int = 128, degree: int = 16, segments: int = 1, **how) -> Index:
+        self.how, self.gone = how or {}, gone
+        self._packed: dict[bool, DataFrame] = {}
+
+    def placed(self) -> DataFrame:
+        """(vec_id, vec, segment): ingested vectors carry their segment, others get it from their id."""
+        if "segment" in self.vectors.columns:
+            return self.vectors.select("vec_id", "vec", "segment")
+        return assign_segments(self.vectors.select("vec_id", "vec"), self.segments)
+
+    def packed(self, full: bool = False) -> DataFrame:
+        """One row for each segment: ids, codes (with `full` the vectors too) and neighbour lists as arrays of bytes. Written once, on first use; a walk reads
+        it without any shuffle."""
+        from ..sources.tables import stored
+
+        if full not in self._packed:
+            parts = prepared(assign_levels(self.placed(), self.degree), self.codec).select("segment", "vec_id", "code")
+            if full:
+                parts = parts.join(self.vectors.select("vec_id", "vec"), "vec_id")
+            lists = self.adjacency.select("segment", "layer", "src", F.transform("nbrs", lambda x: x["dst"]).alias("nbrs"))
+            self._packed[full] = stored(parts.groupBy("segment").cogroup(lists.groupBy("segment")).applyInArrow(pack_segment, PACKED), "packed-segments")
+        return self._packed[full]
+
+    def delete(self, ids: DataFrame) -> Index:
+        """The same graph without the rows of `ids` (vec_id) in any result: walks still pass through them, as the lists stay as they are, until `rebuilt`."""
+        gone = ids.select("vec_id").distinct()
+        out = Index(self.vectors, self.codec, self.adjacency, self.segments, self.degree, self.how, gone if self.gone is None else self.gone.unionByName(gone).distinct())
+        out._packed = self._packed
+        return out
+
+    def live(self) -> DataFrame:
+        return self.vectors if self.gone is None else self.vectors.join(self.gone, "vec_id", "left_anti")
+
+    def rebuilt(self, refit: bool = False) -> Index:
+        """Segments that lost vertices are built anew from what is left of them; the others keep their lists. refit: train the codec again and build all."""
+        if refit or self.gone is None:
+            return build_index(self.live().drop("segment"), self.codec, segments=None if refit else self.segments, degree=self.degree, refit=refit, **self.how)
+        from ..sources.tables import stored
+
+        placed = stored(self.placed().join(self.gone, "vec_id", "left_anti"), "live-vectors")
+        hit = self.placed().join(self.gone, "vec_id", "left_semi").select("segment").distinct()
+        fresh = build_segments(placed.join(F.broadcast(hit), "segment", "left_semi"), self.codec, degree=self.degree, **self.how)
+        adjacency = stored(self.adjacency.join(F.broadcast(hit), "segment", "left_anti").unionByName(fresh), "adjacency")
+        return Index(self.live(), self.codec, adjacency, self.segments, self.degree, self.how)
+
+
+def build_index(vectors: DataFrame, codec: ExactCodec, candidates: int = 128, degree: int = 16, segments: int | None = None, refit: bool = True, **how) -> Index:
+    """Without `segments`, as many as bound the rows and bytes of each (`default_segments`)."""
     from ..sources.tables import stored
 
-    codec.fit(vectors)
+    if refit:
+        codec.fit(vectors)
+    segments = segments or default_segments(vectors)
     adjacency = stored(build_graph(vectors, codec, candidates, degree, segments=segments, **how), "adjacency")
-    return Index(vectors, codec, adjacency, segments, degree)
-
-
-def _load(c: ExactCodec, parts: pd.DataFrame, adjacency: pd.DataFrame, exact: bool, vectors: np.ndarray | None) -> tuple[Graph, np.ndarray]:
-    """The graph of one segment from its rows; with exact=True distances are those of the full vectors."""
-    ids = parts["vec_id"].to_numpy(np.int64)
-    tables = None if parts["tables"].iloc[0] is None else parts["tables"].tolist()
-    source = Points(vectors) if exact else source_of(c, parts["code"].tolist(), tables)
-    layers = int(adjacency["layer"].max()) + 1 if len(adjacency) else 1
-    width = [max([1, *(len(x) for x in adjacency.loc[adjacency["layer"] == k, "nbrs"])]) for k in range(layers)]
-    graph = Graph(len(ids), width, source, bool(getattr(c, "inline", False)) and not exact)
-    for k in range(layers):
-        rows = adjacency[adjacency["layer"] == k]
-        at = np.searchsorted(ids, rows["src"].to_numpy(np.int64))
-        lists = np.full((len(at), width[k]), -1, np.int64)
-        for i, nb in enumerate(rows["nbrs"]):
-            lists[i, : len(nb)] = np.searchsorted(ids, [x["dst"] for x in nb])
-        graph.set(k, at, lists)
-        if len(at):
-            graph.top = k
-            graph.entry = int(at.min())
+    return Index(vectors, codec, adjacency, segments, degree, {"candidates": candidates} | how)
+
+
+def pack_segment(parts: pa.Table, lists: pa.Table) -> pa.Table:
+    schema = pa.schema([("segment", pa.int32()), ("ids", pa.binary()), ("code", pa.binary()), ("vecs", pa.binary()), ("layers", pa.list_(pa.struct([("at", pa.binary()), ("lists", pa.binary())])))])
+    if not len(parts):
+        return schema.empty_table()
+    parts = parts.sort_by("vec_id").combine_chunks()
+    ids = parts["vec_id"].to_numpy()
+    layer, src, nbrs = lists["layer"].to_numpy(), lists["src"].to_numpy(), lists.combine_chunks()["nbrs"].combine_chunks()
+    nbrs = nbrs if isinstance(nbrs, pa.Array) else pa.array([], pa.list_(pa.int64()))
+    size = nbrs.value_lengths().to_numpy(zero_copy_only=False) if len(nbrs) else np.zeros(0, np.int64)
+    flat = np.searchsorted(ids, nbrs.flatten().to_numpy()).astype(np.int32) if len(nbrs) else np.zeros(0, np.int32)
+    row = np.repeat(np.arange(len(nbrs)), size)
+    place = np.arange(len(flat)) - np.repeat(np.cumsum(size) - size, size)
+    layers = []
+    for k in range(int(layer.max(initial=0)) + 1):
+        some = np.flatnonzero(layer == k)
+        out = np.full((len(some), max(1, int(size[some].max(initial=0)))), -1, np.int32)
+        here = layer[row] == k
+        out[np.searchsorted(some, row[here]), place[here]] = flat[here]
+        layers.append({"at": np.searchsorted(ids, src[some]).astype(np.int32).tobytes(), "lists": out.tobytes()})
+    vecs = matrix(parts["vec"]).tobytes() if "vec" in parts.column_names else None
+    return pa.Table.from_pylist([{"segment": parts["segment"][0].as_py(), "ids": ids.tobytes(), "code": b"".join(x.as_buffer() for x in parts["code"]), "vecs": vecs, "layers": layers}], schema)
+
+
+def load_segment(c: ExactCodec, row: dict, full: bool, turn: np.ndarray | None = None) -> tuple[Graph, np.ndarray]:
+    """The graph of one packed segment; with full=True distances are those of the full vectors (rotated by `turn`)."""
+    ids = np.frombuffer(row["ids"], np.int64)
+    if full:
+        x = np.frombuffer(row["vecs"]).reshape(len(ids), -1)
+        source = Points(x if turn is None else x @ turn)
+    else:
+        source = source_of(c, [row["code"]], None, len(ids))
+    at = [np.frombuffer(k["at"], np.int32) for k in row["layers"]]
+    lists = [np.frombuffer(k["lists"], np.int32).reshape(len(a), -1) if len(a) else np.zeros((0, 1), np.int32) for a, k in zip(at, row["layers"], strict=True)]
+    graph = Graph(len(ids), [x.shape[1] for x in lists], source, bool(getattr(c, "inline", False)) and not full)
+    for k, (a, x) in enumerate(zip(at, lists, strict=True)):
+        graph.set(k, a, x)
+        if len(a):
+            graph.top, graph.entry = k, int(a.min())
     return graph, ids
 
 
@@ -70,93 +138,78 @@ def search(index: Index, queries: DataFrame, k: int = 10, ef: int = 64, mode: st
 
 def walk(index: Index, queries: DataFrame, ef: int, mode: str = "codes", distance: str = "full", eps: float = 2.1, chunk: int = 16, stop: str = "exhaust", window: int = 16) -> DataFrame:
     """(query_id, segment, vec_id, dist, hops, distances): the candidate set of every query in every segment, with its share of the counters."""
-    spark = queries.sparkSession
-    # ingested vectors carry their segment; others get it from their id
-    own = "segment" in index.vectors.columns
-    placed = index.vectors.select("vec_id", "vec", "segment") if own else assign_segments(index.vectors.select("vec_id", "vec"), index.segments)
-    parts = prepared(assign_levels(placed, index.degree), index.codec)
     full = mode == "exact" or distance == "early_abort"
-    if full:
-        parts = parts.join(index.vectors.select("vec_id", "vec"), "vec_id")
-    # the segment's rows and its lists travel as one relation, the queries as the other side of the cogroup
-    left = parts.select("segment", "vec_id", "code", "tables", *(["vec"] if full else []), F.lit(-1).alias("layer"), F.lit(None).cast("array<struct<rank:int,dst:long,dist:double>>").alias("nbrs"))
-    lists = index.adjacency.select("segment", F.col("src").alias("vec_id"), F.lit(None).cast("binary").alias("code"), F.lit(None).cast("binary").alias("tables"), *([F.lit(None).cast("array<double>").alias("vec")] if full else []), "layer", "nbrs")
-    asks = queries.select(F.col("vec_id").alias("query_id"), F.col("vec").alias("q"), F.explode(F.sequence(F.lit(0), F.lit(index.segments - 1))).alias("to"))
-    sent = spark.sparkContext.broadcast(index.codec)
-
-    def run(key: tuple, rows: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
-        own = rows[rows["layer"] < 0].sort_values("vec_id")
-        if not len(own) or not len(asked):
-            return pd.DataFrame(columns=["query_id", "segment", "vec_id", "dist", "hops", "distances"])
-        c = sent.value
-        q = np.stack(asked["q"].to_numpy()).astype(np.float64)
-        vectors = np.stack(own["vec"].to_numpy()).astype(np.float64) if full else None
-        adjacency = rows[rows["layer"] >= 0].rename(columns={"vec_id": "src"})
-        out = []
-        rotation = None
-        if distance == "early_abort":
-            rotation = np.linalg.qr(np.random.default_rng(5).normal(size=(vectors.shape[1],) * 2))[0]
-        graph, ids = _load(c, own, adjacency, full, vectors @ rotation if rotation is not None else vectors)
-        for s in range(0, len(q), 256):
-            part = q[s : s + 256]
-            graph.count = Counter()
-            how = {"window": window if stop == "relaxed" else 0}
-            if rotation is not None:
-                part = part @ rotation
-                how["measure"] = early_abort(graph.source.x, part, chunk, eps, graph.count)
-            state = part if full else c.query_state(part)
-            found, dist = descend(graph, state, ef, **how)
-            row, col = np.nonzero(found >= 0)
-            d = dist[row, col]
-            d = np.sqrt(d) if full or c.name in ("exact", "sq", "pca", "pq") else d
-            work = graph.count["dimensions"] / graph.source.x.shape[1] if rotation is not None else graph.count["distances"]
-            out.append(pd.DataFrame({"query_id": asked["query_id"].to_numpy()[s : s + 256][row], "segment": int(own["segment"].iloc[0]), "vec_id": ids[found[row, col]], "dist": d, "hops": graph.count["hops"] / len(part), "distances": work / len(part)}))
-        return pd.concat(out)
-
-    return left.unionByName(lists).groupBy("segment").cogroup(asks.groupBy("to")).applyInPandas(run, FOUND)
+    sent = queries.sparkSession.sparkContext.broadcast(index.codec)
+
+    def run(block: tuple, batches) -> Iterator[pa.RecordBatch]:
+        c, (qids, q) = sent.value, block
+        turn = np.linalg.qr(np.random.default_rng(5).normal(size=(q.shape[1],) * 2))[0] if distance == "early_abort" else None
+        for batch in batches:
+            for at in range(len(batch)):
+                row = batch.slice(at, 1).to_pylist()[0]
+                graph, ids = load_segment(c, row, full, turn)
+                for s in range(0, len(q), 256):
+                    part = q[s : s + 256] if turn is None else q[s : s + 256] @ turn
+                    graph.count = Counter()
+                    how = {"window": window if stop == "relaxed" else 0}
+                    if turn is not None:
+                        how["measure"] = early_abort(graph.source.x, part, chunk, eps, graph.count)
+                    found, dist = descend(graph, part if full else c.query_state(part), ef, **how)
+                    r, col = np.nonzero(found >= 0)
+                    d = dist[r, col].astype(np.float64)
+                    d = np.sqrt(d) if full or c.name in ("exact", "sq", "pca", "pq") else d
+                    work = graph.count["dimensions"] / graph.source.x.shape[1] if turn is not None else graph.count["distances"]
+                    yield pa.record_batch({"query_id": qids[s : s + 256][r], "segment": pa.array(np.full(len(r), row["segment"], np.int32)), "vec_id": ids[found[r, col]], "dist": d, "hops": np.full(len(r), graph.count["hops"] / len(part)), "distances": np.full(len(r), work / len(part))})
+
+    dim = len((queries.select("vec").first() or [[0]])[0])
+    found = in_blocks(index.packed(full), queries, 8 * dim, run, FOUND, lambda x: x)
+    return found if index.gone is None else found.join(index.gone, "vec_id", "left_anti").select("query_id", "segment", "vec_id", "dist", "hops", "distances")
 
 
 def filtered_search(index: Index, queries: DataFrame, where: Column, policy: str = "auto", k: int = 10, ef: int = 64, mode: str = "codes+rerank") -> DataFrame:
     """Nearest rows that pass the predicate over the index's vectors."""
-    share = index.vectors.agg(F.avg(where.cast("double"))).first()[0] or 0.0
+    rows = index.live()
+    share = rows.agg(F.avg(where.cast("double"))).first()[0] or 0.0
     if policy == "pre" or (policy == "auto" and share < 0.2):
-        return exact_knn(index.vectors.where(where), queries, k)
-    found = walk(index, queries, int(ef / max(share, 0.05)), mode)
-    passing = found.select("query_id", "vec_id", "dist").join(index.vectors.where(where).select("vec_id"), "vec_id", "left_semi")
-    return rerank(top_k(passing, ef), index.vectors, queries, k) if mode == "codes+rerank" else top_k(passing, k)
+        return exact_knn(rows.where(where), queries, k)
+    from ..sources.tables import stored
+
+    # a walk that brings fewer than k passing rows is repeated twice as wide, until it has k or all that it can reach
+    wide, want = max(ef, int(ef / max(share, 1e-9))), min(k, rows.where(where).count())
+    largest = index.placed().groupBy("segment").count().agg(F.max("count")).first()[0] or 0
+    while True:
+        found = stored(walk(index, queries, min(wide, largest), mode), "walk").select("query_id", "vec_id", "dist")
+        passing = found.join(rows.where(where).select("vec_id"), "vec_id", "left_semi")
+        short = queries.select(F.col("vec_id").alias("query_id")).join(passing.groupBy("query_id").agg(F.count("*").alias("n")), "query_id", "left").where(F.coalesce("n", F.lit(0)) < want)
+        if wide >= largest or short.isEmpty():
+            break
+        wide *= 2
+    if not short.isEmpty():  # vertices that a walk cannot reach: those queries are answered by the scan
+        exact = exact_knn(rows.where(where), queries.join(short.select(F.col("query_id").alias("vec_id")), "vec_id", "left_semi"), k)
+        passing = passing.join(short, "query_id", "left_anti").unionByName(exact.select("query_id", "vec_id", "dist"))
+    return rerank(top_k(passing, max(ef, k)), index.vectors, queries, k) if mode == "codes+rerank" else top_k(passing, k)
 
 
 def code_scan(vectors: DataFrame, codec: ExactCodec, queries: DataFrame, k: int = 10) -> DataFrame:
     """(query_id, rank, vec_id, dist): nearest rows by the codes alone, without a graph; every task scans its codes for all queries of a broadcast block."""
-    states = [(i, x) for i, x in _query_blocks(queries)]
-    out = None
-    for ids_q, q in states:
-        sent = vectors.sparkSession.sparkContext.broadcast((codec, ids_q, q))
-
-        def scan(batches, sent=sent):
-            c, ids_q, q = sent.value
-            state = c.query_state(q)
-            for b in batches:
-                if not len(b):
-                    continue
-                ids, source = b["vec_id"].to_numpy(), c.source(matrix(b["vec"]))
-                d = np.concatenate([source.of(state[s : s + 64], np.tile(np.arange(len(ids)), (len(state[s : s + 64]), 1))).astype(np.float64) for s in range(0, len(q), 64)])
-                d[ids_q[:, None] == ids[None, :]] = np.inf
-                kk = min(k, len(ids))
-                # all that can be among the k best, ties included
-                bound = np.partition(d, kk - 1, axis=1)[:, kk - 1]
-                r, col = np.nonzero((d <= bound[:, None]) & np.isfinite(d))
-                yield pa.record_batch({"query_id": ids_q[r], "vec_id": ids[col], "dist": d[r, col]})
-
-        found = vectors.select("vec_id", "vec").mapInArrow(scan, "query_id long, vec_id long, dist double")
-        out = found if out is None else out.unionByName(found)
-    return top_k(out, k)
-
-
-def _query_blocks(queries: DataFrame):
-    from .exact import _blocks
-
-    return _blocks(queries, 2048)
+    sent = vectors.sparkSession.sparkContext.broadcast(codec)
+
+    def scan(block: tuple, batches) -> Iterator[pa.RecordBatch]:
+        c, (ids_q, q) = sent.value, block
+        state = c.query_state(q)
+        for b in batches:
+            if not len(b):
+                continue
+            ids, source = b["vec_id"].to_numpy(), c.source(matrix(b["vec"]))
+            d = np.concatenate([source.of(state[s : s + 64], np.tile(np.arange(len(ids)), (len(state[s : s + 64]), 1))).astype(np.float64) for s in range(0, len(q), 64)])
+            d[ids_q[:, None] == ids[None, :]] = np.inf
+            kk = min(k, len(ids))
+            # all that can be among the k best, ties included
+            bound = np.partition(d, kk - 1, axis=1)[:, kk - 1]
+            r, col = np.nonzero((d <= bound[:, None]) & np.isfinite(d))
+            yield pa.record_batch({"query_id": ids_q[r], "vec_id": ids[col], "dist": d[r, col]})
+
+    return in_blocks(vectors.select("vec_id", "vec"), queries, 2048, scan, "query_id long, vec_id long, dist double", lambda found: top_k(found, k))
 
 
 def coarse_cells(vectors: DataFrame, cells: int, iters: int = 4) -> np.ndarray:

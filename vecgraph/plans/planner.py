@@ -5,7 +5,6 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udtf
 
@@ -38,12 +37,8 @@ def register_search(spark: SparkSession, index: S.Index, name: str = "graph_sear
     """SELECT * FROM graph_search(TABLE(SELECT vec_id, vec FROM q), 10, 64): query_id, rank, vec_id, dist. For one-segment indexes of checked size: the graph is broadcast."""
     if index.segments != 1 or index.vectors.count() > TABLE_FUNCTION_ROWS:
         raise ValueError(f"the table function is for one segment of at most {TABLE_FUNCTION_ROWS} rows; use search()")
-    placed = S.assign_levels(S.assign_segments(index.vectors.select("vec_id", "vec"), 1), index.degree)
-    parts = S.prepared(placed, index.codec).toPandas().sort_values("vec_id")
-    vectors = np.stack(index.vectors.select("vec_id", "vec").toPandas().sort_values("vec_id")["vec"].to_numpy()).astype(np.float64)
-    adjacency = index.adjacency.toPandas()
-    adjacency["nbrs"] = [[{"dst": x["dst"]} for x in row] for row in adjacency["nbrs"]]
-    sent = spark.sparkContext.broadcast((index.codec, parts, adjacency, vectors))
+    row = index.packed(True).first().asDict(recursive=True)
+    sent = spark.sparkContext.broadcast((index.codec, row))
 
     class GraphSearch:
         def __init__(self):
@@ -56,8 +51,9 @@ def register_search(spark: SparkSession, index: S.Index, name: str = "graph_sear
         def terminate(self):
             if not self.asked:
                 return
-            codec, parts, adjacency, vectors = sent.value
-            graph, ids = S._load(codec, parts, pd.DataFrame(adjacency), False, None)
+            codec, row = sent.value
+            graph, ids = S.load_segment(codec, row, False)
+            vectors = np.frombuffer(row["vecs"]).reshape(len(ids), -1)
             q = np.array([v for _, v in self.asked], np.float64)
             found, dist = descend(graph, codec.query_state(q), self.ef)
             if mode_rerank:

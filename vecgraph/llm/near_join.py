@@ -12,7 +12,7 @@ the estimate reaches the target, at most to the depth at which every pair at the
 
 A pair is verified exactly once, at its greatest depth, in the first tree that reaches it. Runs are cut into tiles that grow with the square root of
 the run, and a task gets two tiles at most: it counts the links of each member and joins linked members to the least of them, so a run of n near copies
-sends each shingle set about sqrt(n) / 8 times and yields rows in proportion, never its n^2 pairs. Only members with a pair to verify there have their shingles sent.
+sends each shingle set about sqrt(n) / 32 times and yields rows in proportion, never its n^2 pairs. Only members with a pair to verify there have their shingles sent.
 
 The result has every row of the input: its class (connected component of links, named by the least id in it), its copy class, the number of copies and the number of
 other rows within the threshold. No cap on partners, no pair dropped. Null texts count as empty; empty texts link only to each other. Rows with
@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from .common import connected_components, materialize, prepare, row_keys, table
 from .words import MULTIPLIERS, minhash, mix, permutations, sequence_keys, shingles, slices, word_hashes
 
-TREES, DEPTH, TARGET, TILE, BLOCK_SHINGLES, STEP = 16, 8, 0.9999, (256, 16384, 8), 1 << 21, 1024
+TREES, DEPTH, TARGET, TILE, BLOCK_SHINGLES, STEP = 16, 8, 0.9999, (1024, 16384, 32), 1 << 21, 1024
 
 
 def meeting(similarity: float, length: int, trees: int) -> float:

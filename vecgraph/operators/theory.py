@@ -51,15 +51,29 @@ def lemma_check(triples: DataFrame) -> DataFrame:
     return triples.select("u", "v", "w", sign(bisector_margin("uv", "vv", "wv")).alias("margin_sign"), sign(diff).alias("distance_sign"))
 
 
-def tune_codec(vectors: DataFrame, family: str, grid: list[dict], min_fraction: float = 0.0, size: int = 1000, pool: int = 10) -> DataFrame:
+def tune_codec(vectors: DataFrame, family: str, grid: list[dict], min_fraction: float = 0.0, size: int = 10_000, pool: int = 100, confirm: bool = False) -> DataFrame:
     """Ranked settings: code bytes, strict fraction and agreement on sampled triples; `best` marks those that no other beats in both bytes and strict fraction
-    and that reach min_fraction. A grid is tried setting by setting; what is collected is one row each."""
-    triples = sample_triples(vectors, size, pool).cache()
-    rows = []
+    and that reach min_fraction. A grid is tried setting by setting; what is collected is one row each. confirm: `recall` is the recall@10 of a graph built on the codes
+    of each best setting, for held-out queries, else null."""
+    from ..sources.tables import stored
+
+    triples = stored(sample_triples(vectors, size, pool), "triples")
+    rows, fitted = [], []
     for params in grid:
         codec = CODECS[family](**params).fit(vectors)
         got = preserved_fraction(margins(triples, codec)).first()
         rows.append((family, str(params), float(codec.bytes_per_vector()), got["strict"], got["agree"], got["ties"]))
-    triples.unpersist()
+        fitted.append(codec)
     best = [r[3] is not None and r[3] >= min_fraction and not any((o[2] <= r[2] and o[3] > r[3]) or (o[2] < r[2] and o[3] >= r[3]) for o in rows) for r in rows]
-    return vectors.sparkSession.createDataFrame([(*r, b) for r, b in zip(rows, best, strict=True)], "family string, params string, code_bytes double, strict double, agree double, ties double, best boolean").orderBy(F.desc("best"), "code_bytes")
+    seen = [confirmed(vectors, c) if b and confirm else None for c, b in zip(fitted, best, strict=True)]
+    return vectors.sparkSession.createDataFrame([(*r, b, x) for r, b, x in zip(rows, best, seen, strict=True)], "family string, params string, code_bytes double, strict double, agree double, ties double, best boolean, recall double").orderBy(F.desc("best"), "code_bytes")
+
+
+def confirmed(vectors: DataFrame, codec: ExactCodec, k: int = 10, ef: int = 64) -> float:
+    from ..sources.vectors import split_queries
+    from .measures import recall
+    from .search import build_index, search
+
+    base, queries = split_queries(vectors.select("vec_id", "vec"))
+    index = build_index(base, codec, 64, 16, refit=False)
+    return recall(exact_knn(base, queries, k), search(index, queries, k, ef, "codes+rerank"), k).first()["recall"]

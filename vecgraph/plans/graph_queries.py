@@ -20,10 +20,10 @@ CANDIDATES, DEGREE, EF, K = 64, 16, 64, 10
 
 
 def codec_named(name: str):
-    return {"lg": lambda: C.ExactCodec(), "sq": lambda: C.ScalarCodec(8), "pca": lambda: C.PrincipalCodec(0.9), "pq": lambda: C.ProductCodec(16, 4, 4, sample=0), "acc": lambda: C.AlignedCodec(16, 4, 8, iters=4, sample=0, rule="quantile", rounding="nearest")}[name]()
+    return {"lg": lambda: C.ExactCodec(), "sq": lambda: C.ScalarCodec(8), "pca": lambda: C.PrincipalCodec(0.9), "pq": lambda: C.ProductCodec(16, 8, 4, sample=0), "acc": lambda: C.AlignedCodec(16, 4, 8, iters=4, sample=0, rule="quantile", rounding="nearest")}[name]()
 
 
-def index_for(spark, d, name: str, segments: int = 1, **how):
+def index_for(spark, d, name: str, segments: int | None = None, **how):
     base, q = split(spark, d)
     return S.build_index(base.select("vec_id", "vec", "label"), codec_named(name), CANDIDATES, DEGREE, segments, **how), q
 
@@ -95,9 +95,9 @@ def filtered_graph_search(spark, d):
 
 @query()
 def frontier_search(spark, d):
-    """The same walk as a loop of joins, with a narrow candidate set and few queries."""
+    """The same walk as a loop of joins, with a narrow candidate set, for the queries with ids divisible by 50."""
     v = emb(spark, d)
-    q = v.where("vec_id % 100 = 0")
+    q = v.where("vec_id % 50 = 0")
     edges = stored(G.edges_of(G.bulk_graph(v, 24, 8)).select("src", "dst"), "edges")
     return neat(E.top_k(G.frontier_search(edges, v, q, 1, 16), 5))
 
@@ -176,7 +176,7 @@ def traces(x: np.ndarray, codec, queries: np.ndarray, degree: int) -> list[tuple
 def cache_model(spark, d):
     base, q = split(spark, d)
     codec = codec_named("acc").fit(base)
-    sent = spark.sparkContext.broadcast((codec, np.stack([np.array(r[0]) for r in q.orderBy("vec_id").limit(20).select("vec").collect()])))
+    sent = spark.sparkContext.broadcast((codec, np.stack([np.array(r[0]) for r in q.where("vec_id % 50 = 0").orderBy("vec_id").select("vec").collect()])))
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         codec, asks = sent.value
@@ -248,7 +248,7 @@ def cycles(x: np.ndarray, queries: np.ndarray, rounds: int, share: float, degree
 def update_cycles(spark, d):
     """Twenty cycles of deleting and inserting a share of a segment, against building it anew."""
     base, q = split(spark, d)
-    asks = spark.sparkContext.broadcast(np.stack([np.array(r[0]) for r in q.orderBy("vec_id").limit(50).select("vec").collect()]))
+    asks = spark.sparkContext.broadcast(np.stack([np.array(r[0]) for r in q.where("vec_id % 50 = 0").orderBy("vec_id").select("vec").collect()]))
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         x = np.stack(rows.sort_values("vec_id")["vec"].to_numpy()).astype(np.float64)
@@ -257,6 +257,32 @@ def update_cycles(spark, d):
     return G.assign_segments(base.select("vec_id", "vec"), G.segment_count(base.count(), 2000)).groupBy("segment").applyInPandas(run, "cycle int, kind string, recall double").groupBy("cycle", "kind").agg(F.avg("recall").alias("recall"))
 
 
+@query()
+def deletes_and_rebuild(spark, d):
+    """Recall of an index of four segments when a tenth of its rows is deleted: the old graph with the deleted rows left out, the segments built anew, and the codec trained anew."""
+    index, q = index_for(spark, d, "acc", segments=4)
+    gone = index.vectors.where("vec_id % 10 = 1").select("vec_id")
+    less, out = index.delete(gone), None
+    truth = stored(E.exact_knn(less.live(), q, K), "truth")
+    for name, one in (("deleted", less), ("rebuilt", less.rebuilt()), ("refitted", less.rebuilt(refit=True))):
+        row = M.recall(truth, S.search(one, q, K, EF, "codes+rerank"), K).select(F.lit(name).alias("state"), "recall")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query()
+def drift_trigger(spark, d):
+    """Whether new vectors ask for a rebuild: vectors of the same kind do not, vectors turned round and stretched in some dimensions do."""
+    from ..operators import theory as T
+    from ..streaming.ingest import needs_rebuild
+
+    base, q = split(spark, d)
+    codec = C.ScalarCodec(4).fit(base)
+    reference = T.preserved_fraction(T.margins(T.sample_triples(base, 500, 0), codec)).first()["strict"]
+    other = base.withColumn("vec", F.transform("vec", lambda x, i: x * (1 + 40 * (i % 2)) + 3))
+    return spark.createDataFrame([("same", needs_rebuild(base, codec, reference)), ("other", needs_rebuild(other, codec, reference))], "vectors string, rebuild boolean")
+
+
 @query()
 def graph_reports(spark, d):
     """Degree, reach and recall of the graph that each codec builds, searched by full distances: the quality of the graph apart from the codes."""

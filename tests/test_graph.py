@@ -154,3 +154,78 @@ def test_frontier_walk_ends_only_without_open_candidates(spark):
     assert sorted(r["vec_id"] for r in found) == [n - 3, n - 2, n - 1]
     with pytest.raises(RuntimeError):
         G.frontier_search(edges, base, q, 1, 3, 3)
+
+
+def test_no_more_than_blocks_reach_the_driver(spark, parts, monkeypatch):
+    base, q = parts
+    queries = base.select("vec_id", "vec")
+    run = {"knn": lambda: E.exact_knn(queries, queries, 3), "range": lambda: E.range_search(queries, queries, 8.0), "mutual": lambda: E.mutual_knn(queries, 3), "scan": lambda: S.code_scan(queries, C.ScalarCodec(8).fit(base), queries, 3)}
+    whole = {n: sorted(map(tuple, f().collect())) for n, f in run.items()}
+    monkeypatch.setattr(E, "BLOCK_BYTES", 20_000)
+    sizes = [len(ids) for ids, _ in E.query_blocks(queries, 512)]
+    assert len(sizes) > 2 and sum(sizes) == queries.count() and max(sizes) * 512 <= 2 * 20_000
+    for n, f in run.items():
+        assert sorted(map(tuple, f().collect())) == whole[n], n
+    index = S.build_index(base, C.ExactCodec(), 64, 16)
+    assert M.recall(E.exact_knn(base, q, 10), S.search(index, q, 10, 128, "exact"), 10).first()["recall"] >= 0.97
+
+
+def test_blocks_are_fetched_one_after_another(parts, monkeypatch):
+    base, _ = parts
+    monkeypatch.setattr(E, "BLOCK_BYTES", 20_000)
+    fetched = []
+    from pyspark.sql.classic.dataframe import DataFrame as Classic
+
+    before = Classic.toArrow
+    monkeypatch.setattr(Classic, "toArrow", lambda self: fetched.append(1) or before(self))
+    blocks = E.query_blocks(base.select("vec_id", "vec"), 512)
+    next(blocks)
+    assert len(fetched) == 1
+
+
+def test_segments_are_bounded_by_default(spark, parts, monkeypatch):
+    base, q = parts
+    monkeypatch.setattr(G, "SEGMENT_ROWS", 60)
+    index = S.build_index(base, C.ExactCodec(), 32, 8)
+    assert index.segments == -(-base.count() // 60) and index.packed().count() == index.segments
+    monkeypatch.setattr(G, "SEGMENT_BYTES", 64 * 8 * 20)
+    assert G.default_segments(base) == -(-base.count() // 20)
+    assert M.recall(E.exact_knn(base, q, 5), S.search(index, q, 5, 64, "exact"), 5).first()["recall"] > 0.98
+
+
+def test_walks_read_packed_segments_without_a_shuffle(parts):
+    base, q = parts
+    index = S.build_index(base, C.AlignedCodec(16, iters=2, sample=0), 32, 8, segments=2)
+    index.packed()
+    assert "Exchange" not in S.walk(index, q, 32)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_deletes_and_rebuild(spark, parts):
+    base, q = parts
+    index = S.build_index(base, C.ExactCodec(), 64, 16, segments=3)
+    gone = base.where("vec_id % 10 < 3").select("vec_id")
+    for less in (index.delete(gone), index.delete(gone).rebuilt(), index.delete(gone).rebuilt(refit=True)):
+        truth = E.exact_knn(base.where("vec_id % 10 >= 3"), q, 5)
+        found = S.search(less, q, 5, 128, "exact")
+        assert found.where("vec_id % 10 < 3").count() == 0 and M.recall(truth, found, 5).first()["recall"] >= 0.95
+    one = index.delete(base.where("vec_id = 11").select("vec_id")).rebuilt()
+    segment = index.placed().where("vec_id = 11").first()["segment"]
+    kept = lambda x: sorted(map(tuple, x.adjacency.where(f"segment <> {segment}").select("segment", "layer", "src").collect()))
+    assert kept(one) == kept(index)  # the other segments keep their lists
+
+
+def test_filtered_walk_returns_k_of_rare_rows(parts):
+    base, q = parts
+    index = S.build_index(base, C.ExactCodec(), 64, 16)
+    where = F.col("vec_id") % 37 == 1
+    truth = E.filtered_knn(base, q, where, 3)
+    got = S.filtered_search(index, q, where, "post", 3, 4, "exact")
+    assert got.groupBy("query_id").count().where("count < 3").count() == 0
+    assert M.recall(truth, got, 3).first()["recall"] > 0.8
+
+
+def test_reachable_ends_by_itself_or_raises(spark):
+    edges = spark.createDataFrame([(i, i + 1) for i in range(30)], "src long, dst long")
+    assert G.reachable(edges, 0).count() == 31
+    with pytest.raises(RuntimeError):
+        G.reachable(edges, 0, rounds=5)

@@ -28,3 +28,18 @@ def test_numeric_vectors_with_a_constant_column(spark):
     df = spark.createDataFrame([(1, 1.0, 5.0), (2, 3.0, 5.0)], "id long, a double, b double")
     got = X.numeric_vectors(df, "id", {"a": F.col("a"), "b": F.col("b")}).orderBy("vec_id").collect()
     assert [r["vec"] for r in got] == [[-1.0, 0.0], [1.0, 0.0]]
+
+
+def test_bucketed_table_joins_without_moving(spark, sf):
+    from vecgraph.sources.index_store import bucketed
+    from vecgraph.sources.vectors import embedding_vectors
+
+    v = embedding_vectors(spark, sf).select("vec_id", "vec")
+    spark.sql("DROP TABLE IF EXISTS bucketed_vectors")
+    a = bucketed(v, "bucketed_vectors", 4)
+    try:
+        assert a.count() == v.count()
+        plan = a.join(a.selectExpr("vec_id", "vec AS other").hint("merge"), "vec_id")._jdf.queryExecution().executedPlan().toString()
+        assert "Exchange hashpartitioning" not in plan
+    finally:
+        spark.sql("DROP TABLE bucketed_vectors")

@@ -186,6 +186,17 @@ def test_containment_equals_brute_force(spark):
     assert decontaminate.contained(left, right.where("false")).count() == 0 and decontaminate.contained(docs(spark, []), right).count() == 0
 
 
+def test_containment_of_repeated_and_very_long_rows(spark):
+    item = "the quick brown fox jumps over the lazy dog again today"
+    long = "filler words here " * 40_000 + item + " more filler" * 1000
+    left = docs(spark, [(1, long), (2, item), (2, item), (3, "nothing")], True)
+    right = spark.createDataFrame([(7, item), (7, item)], "item_id long, text string")
+    got = sorted((r["doc_id"], r["item_id"]) for r in decontaminate.contained(left, right).collect())
+    assert set(got) == {(1, 7), (2, 7)}
+    flags = sorted((r["doc_id"], r["contaminated"]) for r in decontaminate.flag_contaminated(left, right).collect())
+    assert flags == [(1, True), (2, True), (2, True), (3, False)]
+
+
 # -- op3
 
 
@@ -453,6 +464,14 @@ def test_language_id(spark):
     assert many.bits.shape[0] == 2 and many.bits.dtype == np.uint64
 
 
+def test_language_of_repeated_and_very_long_rows(spark):
+    rows = [(i, " ".join(["kalo mitu", "shreth ingou"][i % 2] for _ in range(30)), "ab"[i % 2]) for i in range(40)]
+    df = spark.createDataFrame([*rows, rows[0], rows[0]], "doc_id long, text string, lang string")
+    m = language_id.LanguageFilters.fit(df)
+    test = spark.createDataFrame([(1, "kalo mitu " * 50_000, None), (2, "shreth ingou", None), (2, "shreth ingou", None)], "doc_id long, text string, lang string")
+    assert sorted((r["doc_id"], r["lang_pred"]) for r in m.predict(test).collect()) == [(1, "a"), (2, "b"), (2, "b")]
+
+
 # -- op8
 
 
@@ -562,6 +581,12 @@ def test_warc_round_trip(spark, tmp_path):
     assert sorted(((g["page_id"], g["payload_bytes"], g["payload_digest"], g["record_type"], g["refers_to"]) for g in got), key=key) == sorted(want, key=key)
 
 
+def test_warc_of_an_empty_table(spark, tmp_path):
+    df = spark.createDataFrame([], "page_id long, url string, html string")
+    warc.write(df, str(tmp_path / "none"))
+    assert warc.read(spark, str(tmp_path / "none")).count() == 0
+
+
 def test_lost_segment_is_reported(spark, tmp_path):
     (tmp_path / "b").mkdir()
     records = list(warc.page_records("<urn:x>", 7, "u", b"abc" * 5000, None, 1000))

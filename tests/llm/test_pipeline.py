@@ -1,8 +1,10 @@
 import re
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline
 from vecgraph.llm import entry
-from vecgraph.llm.common import table
+from vecgraph.llm.common import materialize, table
 
 
 def shingle_set(t):
@@ -50,3 +52,29 @@ def test_stages_take_empty_tables_and_other_columns(spark, sf):
 
 def test_every_operator_has_its_query():
     assert sorted(int(re.match(r"op(\d+)_", n)[1]) for n in entry.QUERIES) == list(range(1, 11))
+
+
+def test_stages_take_nulls_repeats_and_long_rows(spark, sf):
+    docs = table(spark, sf, "documents")
+    first = docs.where("text is not null").orderBy("doc_id").first().asDict()
+    odd = [{**first, "doc_id": None}, {**first, "text": None}, {**first, "text": ""}, {**first, "source": None, "lang": None}, first, first, {**first, "doc_id": 10**9, "text": "unique words " + " ".join(f"x{i}y" for i in range(60_000))}]
+    rows = docs.limit(50).unionByName(spark.createDataFrame(odd, docs.schema)).withColumns({c: F.lit("mine") for c in ("score", "lang_pred", "key", "n_lines", "row", "id", "g")})
+    left = rows
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        left = materialize(stage(spark, left, sf), f"test-{name}")
+        assert left.columns == rows.columns and left.where("score <> 'mine' or row <> 'mine'").count() == 0
+        assert left.where(f"doc_id = {10**9}").count() == 1  # a clean document stays
+    assert left.where(F.col("text").isNull()).count() == 0  # a null text has no language
+    packed = corpus_pipeline.STAGES[-1][1](spark, left, sf)
+    whole = packed.groupBy("doc_id").agg(F.sum("length").alias("n"), F.max("doc_tokens").alias("t"), F.count_distinct("start").alias("pieces"), F.count("*").alias("rows"))
+    assert whole.where("doc_id is not null and (n <> t or pieces <> rows)").count() == 0
+    assert corpus_pipeline.STAGES[-1][1](spark, docs.where("false"), sf).count() == 0
+
+
+def test_queries_run_on_the_smallest_tables(spark, sf):
+    n = {t: table(spark, sf, t).count() for t in ("documents", "pages")}
+    for name, rows in (("op3_line_dedup", n["documents"]), ("op7_language_id", n["documents"]), ("op9_warc", n["pages"]), ("op10_near_join", n["documents"]), ("op4_class_lm", n["documents"])):
+        assert entry.QUERIES[name](spark, sf).count() == rows, name
+    pieces = entry.QUERIES["op8_packing"](spark, sf)
+    assert pieces.select("doc_id").distinct().count() == n["documents"]
+    assert {c for c, _ in entry.QUERIES["op2_decontaminate"](spark, sf).dtypes} >= {"doc_id"}

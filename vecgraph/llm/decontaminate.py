@@ -140,3 +140,14 @@ def _hits(sent: Broadcast, threshold: float) -> Callable:
         return pa.array(found)
 
     return hit
+
+
+_WORDS = "regexp_extract_all(lower(coalesce(text, '')), '[a-z0-9[:^ascii:]]+')"
+_SHINGLES = "unnest(CASE WHEN len(w) >= 5 THEN list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END) AS s"
+SQL = f"""
+WITH d AS (SELECT r, doc_id, {_SHINGLES} FROM (SELECT row_number() OVER () AS r, doc_id, {_WORDS} AS w FROM documents)),
+i AS (SELECT r, item_id, {_SHINGLES} FROM (SELECT row_number() OVER () AS r, item_id, {_WORDS} AS w FROM benchmark)),
+n AS (SELECT r, count(*) AS n_item FROM i GROUP BY r),
+met AS (SELECT d.r AS x, d.doc_id, i.r AS y, i.item_id, count(*) AS n_shared FROM d JOIN i ON d.s = i.s GROUP BY ALL)
+SELECT doc_id, item_id, n_shared, n_item, n_shared / n_item AS containment FROM met JOIN n ON n.r = y WHERE n_shared >= 0.8 * n_item - 1e-9
+"""

@@ -16,4 +16,4 @@ QUERIES = {
     "op9_warc": warc.op9_warc,
     "op10_near_join": near_join.op10_near_join,
 }
-SQL = {"op3_line_dedup": line_dedup.SQL, "op5_license_scan": licenses.SQL, "op6_exact_topk": mtree.SQL, "op9_warc": warc.SQL}
+SQL = {"op2_decontaminate": decontaminate.SQL, "op3_line_dedup": line_dedup.SQL, "op5_license_scan": licenses.SQL, "op6_exact_topk": mtree.SQL, "op9_warc": warc.SQL}

@@ -16,6 +16,20 @@ def topk_agg(ids: pd.Series, dist: pd.Series) -> list:
     return ids.to_numpy()[order].tolist()
 
 
+@F.pandas_udf("array<double>")
+def centroid_agg(vec: pd.Series) -> list:
+    """The mean vector of a group, from sums in fixed point, so that it does not depend on the order of rows. For groups that fit a task; codecs sum in every task first."""
+    x = np.floor(np.stack(vec.to_numpy()) * (1 << 30)).astype(np.int64)
+    return (x.sum(axis=0) / (len(x) * float(1 << 30))).tolist()
+
+
+@F.pandas_udf("array<double>")
+def gram_agg(vec: pd.Series) -> list:
+    """The upper triangle, row by row, of the sum of outer products of a group's vectors."""
+    x = np.stack(vec.to_numpy())
+    return (x.T @ x)[np.triu_indices(x.shape[1])].tolist()
+
+
 @F.udtf(returnType="vec_id: long, dim: int, x: double")
 class ExplodeDims:
     """SELECT * FROM explode_dims(TABLE(v)): one row for each component."""
@@ -27,7 +41,8 @@ class ExplodeDims:
 
 def register_udfs(spark: SparkSession) -> None:
     spark.udtf.register("explode_dims", ExplodeDims)
-    spark.udf.register("topk_agg", topk_agg)
+    for name, f in (("topk_agg", topk_agg), ("centroid_agg", centroid_agg), ("gram_agg", gram_agg)):
+        spark.udf.register(name, f)
 
 
 @F.arrow_udf("double")

@@ -15,6 +15,7 @@ from ..operators import search as S
 from ..operators.kernels import Graph, Points, beam, link_back, lru_misses, select_lists
 from ..queries import emb, neat, query, split
 from ..sources.tables import stored
+from . import sql
 
 CANDIDATES, DEGREE, EF, K = 64, 16, 64, 10
 
@@ -109,6 +110,18 @@ def ivf_scan(spark, d):
     return neat(S.ivf_scan(base, codec, S.coarse_cells(base, 16), q, nprobe=6, k=K))
 
 
+@query(f"""WITH emb AS ({sql.EMB}), centres AS (SELECT vec_id AS c, vec AS cv FROM emb WHERE vec_id < 16),
+near AS (SELECT e.vec_id, e.vec, c, row_number() OVER (PARTITION BY e.vec_id ORDER BY {sql.sq('e.vec', 'cv')}, c) AS r FROM emb e JOIN centres ON true),
+met AS (SELECT q.vec_id AS query_id, b.vec_id, sqrt({sql.sq('q.vec', 'b.vec')}) AS dist FROM near q JOIN near b ON q.c = b.c AND q.vec_id % 10 = 0 AND q.r <= 6 AND b.vec_id % 10 <> 0 AND b.r = 1),
+ranked AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY dist, vec_id) AS INTEGER) AS rank FROM met)
+SELECT query_id, rank, vec_id, round(dist, 6) + 0.0 AS dist FROM ranked WHERE rank <= 10""")
+def ivf_given_cells(spark, d):
+    """The inverted file with full vectors in given cells, those of the sixteen least ids: the part of it that SQL can follow."""
+    base, q = split(spark, d)
+    centres = np.stack([np.array(r["vec"]) for r in emb(spark, d).where("vec_id < 16").orderBy("vec_id").collect()])
+    return neat(S.ivf_scan(base, C.ExactCodec().fit(base), centres, q, nprobe=6, k=K))
+
+
 @query()
 def code_scan_recall(spark, d):
     """Recall of the best 100 of a scan by codes alone, for each codec: the quality of the codec apart from the graph."""

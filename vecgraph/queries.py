@@ -765,6 +765,47 @@ def adc_function(spark, d):
     return met.select("query_id", "vec_id", r6(adc_distance("adt", "code"), 4).alias("dist"))
 
 
+@query(f"WITH {sql.selection(24, 8)}, kept2 AS (SELECT src, {sql.select_fold('c', 8, 0.02)} AS nbrs FROM lists), a AS (SELECT src, unnest(nbrs).id AS dst, 1 AS a FROM kept), b AS (SELECT src, unnest(nbrs).id AS dst, 1 AS b FROM kept2) SELECT count(a) FILTER (b IS NOT NULL) AS n_both, count(a) FILTER (b IS NULL) AS n_only_strict, count(b) FILTER (a IS NULL) AS n_only_relaxed FROM a FULL OUTER JOIN b USING (src, dst)")
+def graph_diff(spark, d):
+    """Edges that two selections share and edges of one only: a full outer join."""
+    lists = stored(_lists(spark, d), "lists")
+    a, b = (G.edges_of(G.select_neighbours(lists, 8, tau)).select("src", "dst", F.lit(1).alias(n)) for n, tau in (("a", 0.0), ("b", 0.02)))
+    both = a.join(b, ["src", "dst"], "full")
+    n = lambda c: F.sum(c.cast("long"))
+    return both.agg(n(F.col("a").isNotNull() & F.col("b").isNotNull()).alias("n_both"), n(F.col("b").isNull()).alias("n_only_strict"), n(F.col("a").isNull()).alias("n_only_relaxed"))
+
+
+@query(f"WITH emb AS ({sql.EMB}), n AS (SELECT sqrt({sql.dot('vec', 'vec')}) AS z FROM emb) SELECT round(quantile_disc(z, 0.25), 6) + 0.0 AS q25, round(quantile_disc(z, 0.5), 6) + 0.0 AS q50, round(quantile_disc(z, 0.9), 6) + 0.0 AS q90 FROM n")
+def norm_quantiles(spark, d):
+    """Quantiles of the norms from a sketch whose rank error is below one row here."""
+    z = emb(spark, d).select(F.sqrt(V.norm_sq("vec")).alias("z"))
+    return z.agg(F.percentile_approx("z", [0.25, 0.5, 0.9], 1_000_000).alias("q")).select(*(r6(F.get("q", F.lit(i))).alias(n) for i, n in enumerate(("q25", "q50", "q90"))))
+
+
+@query("WITH f AS (SELECT label, generate_subscripts(embedding, 1) - 1 AS dim, CAST(unnest(embedding) AS DOUBLE) AS x FROM embeddings), g AS (SELECT label, sum(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * CAST(x AS DOUBLE)))) AS trace FROM embeddings GROUP BY label), c AS (SELECT label, dim, avg(x) AS x FROM f GROUP BY 1, 2) SELECT c.label, CAST(dim AS INTEGER) AS dim, round(c.x, 5) + 0.0 AS x, round(trace, 4) + 0.0 AS trace FROM c JOIN g ON c.label IS NOT DISTINCT FROM g.label")
+def centroid_aggregate(spark, d):
+    """Mean vectors and the trace of the Gram matrix by label, as aggregate functions in SQL."""
+    from .functions.udfs import register_udfs
+
+    register_udfs(spark)
+    v = emb(spark, d).select("label", "vec")
+    v.createOrReplaceTempView("labelled_vectors")
+    got = spark.sql("SELECT label, centroid_agg(vec) AS c, gram_agg(vec) AS g FROM labelled_vectors GROUP BY label")
+    dim = 64
+    trace = F.aggregate(F.array(*[F.lit(i * dim - i * (i - 1) // 2) for i in range(dim)]), F.lit(0.0), lambda s, i: s + F.get("g", i))
+    return got.select("label", r6(trace, 4).alias("trace"), F.posexplode("c").alias("dim", "x")).select("label", "dim", r6("x", 5).alias("x"), "trace")
+
+
+@query(f"WITH emb AS ({sql.EMB}), p AS (SELECT a.vec_id AS a, b.vec_id AS b, a.vec AS av, b.vec AS bv FROM emb a JOIN emb b ON a.vec_id % 50 = 0 AND a.vec_id <> b.vec_id) SELECT a, b, round({sql.dot('av', 'bv')} / (sqrt({sql.dot('av', 'av')}) * sqrt({sql.dot('bv', 'bv')})), 6) + 0.0 AS cosine, {sql.sq('av', 'bv')} < {sql.dot('av', 'av')} AS admitted, CAST(floor(-ln(((b % 2147483648 * 2654435761 + 42) % 4294967296 + 1) / 4294967296.0) / ln(16.0)) AS INTEGER) AS level, CAST(b % 2147483648 * 2654435761 % 4294967296 % 4 AS INTEGER) AS segment FROM p")
+def sql_surface(spark, d):
+    """More of the SQL surface: cosine, admission against the origin, levels and segments."""
+    from .functions.register import register_all
+
+    register_all(spark)
+    _pairs(spark, d).createOrReplaceTempView("vec_pairs")
+    return spark.sql("SELECT a, b, round(vec_cosine(av, bv), 6) + 0.0D AS cosine, vec_admits(av, vec_scale(av, 0D), bv) AS admitted, vec_level(b, 16D) AS level, vec_segment(b, 4) AS segment FROM vec_pairs")
+
+
 @query()
 def codec_reports(spark, d):
     v, out = emb(spark, d), None

@@ -165,11 +165,11 @@ class LineRuns:
 
 def dedup_lines(docs: DataFrame, min_docs: int = 10, batches: int = 4, key: str = "doc_id", text: str = "text", buckets: int | None = None) -> DataFrame:
     """All of docs, batch by batch, through one store of runs; returns docs with kept_text, n_lines and n_dropped. Without `buckets`, there is one for
-    every four input partitions."""
+    every two input partitions."""
     spark = docs.sparkSession
     prepare(spark)
     inner = docs.select(F.col(key).alias("_id"), F.col(text).alias("_text"))
-    store = LineRuns(spark, text="_text", buckets=buckets or min(1 << 16, max(8, inner.rdd.getNumPartitions() // 4)))
+    store = LineRuns(spark, text="_text", buckets=buckets or min(1 << 16, max(4, inner.rdd.getNumPartitions() // 2)))
     for b in range(batches):
         store.add(inner.where(F.pmod(F.xxhash64("_id"), F.lit(batches)) == b))
     renamed = docs.withColumnsRenamed({c: f"_in_{c}" for c in docs.columns if c not in (key, text)}).withColumn("_text", F.col(text))

@@ -27,7 +27,7 @@ from .bpe import WordEncoder
 from .common import materialize, prepare, table
 from .words import mix, slices
 
-WINDOW, UNIT, SHARD, GROUPS, MORE, FAN_IN = 4096, 64, 2048, 18, 65535, 512
+WINDOW, UNIT, SHARD, GROUPS, MORE, FAN_IN = 4096, 64, 2048, 18, 65535, 16
 K1, LENGTH_WEIGHT = 1.2, 0.75
 _ENCODERS: dict[str, WordEncoder] = {}
 

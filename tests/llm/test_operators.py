@@ -5,6 +5,7 @@ import math
 import random
 import re
 import textwrap
+import tracemalloc
 import zlib
 from pathlib import Path
 
@@ -14,7 +15,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from vecgraph.llm import bpe, class_lm, crf, decontaminate, entry, language_id, licenses, line_dedup, mtree, near_join, packing, pii, warc
-from vecgraph.llm.common import connected_components
+from vecgraph.llm.common import connected_components, materialize
 from vecgraph.llm.words import shingles, slices, word_hashes
 
 ODD = [(1, "a b c d e f\nsame line"), (1, "a b c d e f\nsame line"), (2, None), (3, ""), (None, "x"), (None, None), (4, "é " * 40_000), (5, "\n\n  \n")]
@@ -305,6 +306,31 @@ def test_words_outside_the_core_take_classes_by_their_neighbours(spark):
     assert not named["one"] & named["red"]
 
 
+def test_tokens_are_hashed_in_pieces_of_bounded_memory():
+    some = [None, "", "a b", "x" * 40, *(f"Word{i} other{i % 7} the end" for i in range(70_000)), None, "last"]
+    texts = pa.array(some)
+    class_lm.token_stream(texts[:1000])  # the table of powers is made once
+    tracemalloc.start()
+    h, tail, offsets = class_lm.token_stream(texts)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert texts.nbytes > 1 << 20 and peak < 64 * (1 << 18) + 64 * len(h)
+    for at in (0, 2, 3, 9_999, 60_000, len(some) - 1):
+        one, end, _ = class_lm.token_stream(texts[at : at + 1])
+        assert (h[offsets[at] : offsets[at + 1]] == one).all() and (tail[offsets[at] : offsets[at + 1]] == end).all()
+    assert offsets[-1] == len(h) and len(offsets) == len(some) + 1
+
+
+def test_sums_of_contexts_run_one_python_process_for_a_task(spark, monkeypatch):
+    plans = []
+    monkeypatch.setattr(class_lm, "materialize", lambda df, name: plans.append(df._jdf.queryExecution().executedPlan().toString()) or materialize(df, name))
+    class_lm.ClassModel.fit(docs(spark, [(1, "a b a b"), (2, "b a c")]))
+    assert plans
+    for plan in plans:
+        below = [line for line in plan.splitlines() if line.strip(" +-:*()0123456789")]
+        assert not any("MapInArrow" in a and "MapInArrow" in b for a, b in zip(below, below[1:]))
+
+
 def test_class_scores_equal_a_plain_sum(spark, monkeypatch):
     monkeypatch.setattr(class_lm, "COMMON", 40)  # most words stand outside the table
     r = random.Random(5)

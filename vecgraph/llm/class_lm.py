@@ -21,7 +21,7 @@ model is uniform over one unseen word and the end. Columns of the input other th
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -33,13 +33,17 @@ from .common import crc_bucket, materialize, prepare, table
 from .words import slices, tokens
 
 CORE, COMMON, CLASSES, SWEEPS, WIDE_SWEEPS, SMOOTHING = 2000, 1 << 18, 48, 6, 3, 20.0
+PIECE, BATCH_MB = 1 << 18, 4  # bytes of text hashed at once; megabytes of an Arrow batch, which a task holds in the JVM and in Python
 KEYS, BLOCK, FAN_IN = 128, 1 << 12, 512  # room for the classes after and before of a word; words of the table in a block; tasks merged at once
 END = np.uint64(0x5EED5EED5EED5EED)
 
 
 def token_stream(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Tokens of the texts with each text's end token: hashes, last bytes, offsets by text."""
-    h, tail, offsets = tokens(texts)
+    """Tokens of the texts with each text's end token: hashes, last bytes, offsets by text. Hashing takes some sixty bytes for each byte
+    of text, so it sees `PIECE` bytes of text at a time."""
+    parts = [tokens(texts[i:j]) for i, j in slices(texts, PIECE)] or [tokens(texts)]
+    h, tail = (np.concatenate([p[x] for p in parts]) for x in (0, 1))
+    offsets = np.concatenate([[0], np.cumsum(np.concatenate([np.diff(p[2]) for p in parts]))])
     n = len(texts)
     ends = offsets[1:] + np.arange(n)
     word = np.ones(len(h) + n, bool)
@@ -182,7 +186,7 @@ class ClassModel:
     @classmethod
     def fit(cls, docs: DataFrame, text: str = "text") -> ClassModel:
         spark = docs.sparkSession
-        prepare(spark)
+        prepare(spark, BATCH_MB)
         texts = docs.select(F.col(text).alias("text"))
 
         def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -341,7 +345,7 @@ class ClassModel:
 
     def score(self, docs: DataFrame, text: str = "text") -> DataFrame:
         """docs without text, with n_tokens, n_known, base_score, score, perplexity."""
-        prepare(docs.sparkSession)
+        prepare(docs.sparkSession, BATCH_MB)
         sent = docs.sparkSession.sparkContext.broadcast(RuleOnly(self))
 
         @F.arrow_udf("struct<n_tokens long, n_known long, base double, score double, word array<long>, class array<int>, times array<int>, moves array<int>>")
@@ -450,13 +454,13 @@ def context_counts(texts: DataFrame, rule: ClassModel) -> tuple[tuple[np.ndarray
                 out.append(packed(block, salt, codes[a:b] - block * BLOCK * KEYS, n[a:b]))
         yield pa.RecordBatch.from_pylist(out, schema)
 
-    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def summed(batches: Iterator[pa.RecordBatch], row: Callable) -> Iterator[pa.RecordBatch]:
         """Rows sorted by block and salt; one row for each."""
         name, dense = None, np.zeros(BLOCK * KEYS, np.int64)
 
         def whole() -> pa.RecordBatch:
             codes = np.flatnonzero(dense)
-            return pa.RecordBatch.from_pylist([packed(*name, codes, dense[codes])], schema)
+            return row(*name, codes, dense[codes])
 
         for b in batches:
             for r in b.to_pylist():
@@ -464,20 +468,22 @@ def context_counts(texts: DataFrame, rule: ClassModel) -> tuple[tuple[np.ndarray
                     if name is not None:
                         yield whole()
                     name, dense[:] = (r["block"], r["salt"]), 0
-                dense[unpacked(r["size"], r["packed"])[0]] += unpacked(r["size"], r["packed"])[1]
+                codes, n = unpacked(r["size"], r["packed"])
+                dense[codes] += n
         if name is not None:
             yield whole()
 
-    def opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for r in b.to_pylist():
-                codes, n = unpacked(r["size"], r["packed"])
-                yield pa.record_batch({"block": pa.array([r["block"]], pa.int32()), "codes": [codes.tobytes()], "n": [n.tobytes()]})
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        return summed(batches, lambda *row: pa.RecordBatch.from_pylist([packed(*row)], schema))
+
+    def opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:  # sums as well: two Python stages in a row would run two processes for each task
+        return summed(batches, lambda block, _, codes, n: pa.record_batch({"block": pa.array([block], pa.int32()), "codes": [codes.tobytes()], "n": [n.tobytes()]}))
 
     kind = "block int, salt int, size long, packed binary"
     rows = texts.mapInArrow(count, kind).repartition("block", "salt").sortWithinPartitions("block", "salt").mapInArrow(merge, kind)
-    rows = rows.withColumn("salt", F.lit(0)).repartition("block").sortWithinPartitions("block", "salt").mapInArrow(merge, kind)
+    rows = rows.withColumn("salt", F.lit(0)).repartition("block").sortWithinPartitions("block", "salt")
     contexts = materialize(rows.mapInArrow(opened, "block int, codes binary, n binary"), "lm-contexts")
+    sent.destroy()
     sums = np.zeros(2 * c * c, np.int64)
     got = contexts.where("block = -1").toArrow()
     for codes, n in zip(got["codes"], got["n"], strict=True):

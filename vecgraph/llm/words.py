@@ -34,7 +34,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     if len(_POWERS.get("up", ())) < n:
-        m = max(n, CHUNK + 1)
+        m = max(n, 2 * len(_POWERS.get("up", ())))  # sixteen bytes for each byte of the longest text so far
         for key, base in (("up", _BASE), ("down", _INVERSE)):
             p = np.full(m, base, np.uint64)
             p[0] = 1

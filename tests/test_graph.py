@@ -229,3 +229,34 @@ def test_reachable_ends_by_itself_or_raises(spark):
     assert G.reachable(edges, 0).count() == 31
     with pytest.raises(RuntimeError):
         G.reachable(edges, 0, rounds=5)
+
+
+def test_tasks_of_a_build_hold_bounded_arrays(monkeypatch):
+    import tracemalloc
+
+    from vecgraph.operators import kernels as N
+
+    x = np.random.default_rng(3).normal(size=(3000, 64))
+    tracemalloc.start()
+    graph = N.build_bulk(N.Points(x), 16, 8)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 160 << 20  # 256 vertices against all took 393 MB of differences
+    monkeypatch.setattr(N, "PIECE_BYTES", 1 << 60)
+    assert (N.build_bulk(N.Points(x), 16, 8).adj[0] == graph.adj[0]).all()
+
+
+def test_tables_larger_than_vectors_are_computed_when_asked_for(spark, parts, monkeypatch):
+    base, q = parts
+    codec = C.ProductCodec(16, 8, 1, sample=0).fit(base)
+    sent = G.prepared(G.assign_levels(G.assign_segments(base, 1), 8), codec)
+    assert sent.selectExpr("max(length(tables))").first()[0] == 8 * codec.dim  # and not 16 kB of table
+    rows = sent.orderBy("vec_id").toPandas()
+    kept = G.source_of(codec, list(rows["code"]), list(rows["tables"]))
+    monkeypatch.setattr(C, "TABLES_BYTES", 1 << 12)
+    lazy = G.source_of(codec, list(rows["code"]), list(rows["tables"]))
+    at, ids = np.arange(7), np.arange(21).reshape(7, 3)
+    assert isinstance(kept.tables, np.ndarray) and not isinstance(lazy.tables, np.ndarray)
+    assert (kept.of(kept.own(at), ids) == lazy.of(lazy.own(at), ids)).all()
+    x = np.frombuffer(b"".join(rows["tables"])).reshape(len(rows), -1)
+    assert (C.nearest_centroids(x, codec.books, codec.parts)[0] == codec.codes(x)).all()

@@ -74,3 +74,18 @@ def test_arithmetic(spark):
     assert C.code_length(16) == 4 and C.code_length(17) == 5
     assert [r["block"] for r in M.simd_plan(spark, [128], 16).collect()] == [16]
     assert C.ExactCodec.bytes_per_vector(type("D", (), {"dim": 768})()) == 3072
+
+
+def read_by_tasks(spark, df):
+    """The rows of a query, and whether its plan scans the vectors."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return df.collect(), "embeddings.parquet" in plan and "embedding" in plan
+
+
+def test_access_formula_counts_the_given_vectors(spark, sf):
+    from vecgraph.queries import QUERIES
+
+    rows, reads = read_by_tasks(spark, QUERIES["access_formula"](spark, sf))
+    n = spark.read.parquet(f"{sf}/embeddings.parquet").count()
+    assert reads and max(r["n"] for r in rows) == n and sum(r["n"] for r in rows) == 2 * n
+    assert [r["acquisition_plain"] for r in rows if r["n"] == n] == [pytest.approx(32 * np.log2(n), abs=1e-5)]

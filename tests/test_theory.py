@@ -89,3 +89,12 @@ def test_access_formula_counts_the_given_vectors(spark, sf):
     n = spark.read.parquet(f"{sf}/embeddings.parquet").count()
     assert reads and max(r["n"] for r in rows) == n and sum(r["n"] for r in rows) == 2 * n
     assert [r["acquisition_plain"] for r in rows if r["n"] == n] == [pytest.approx(32 * np.log2(n), abs=1e-5)]
+
+
+def test_register_loads_are_those_of_the_given_vectors(spark, sf):
+    from vecgraph.queries import QUERIES
+
+    rows, reads = read_by_tasks(spark, QUERIES["register_loads"](spark, sf))
+    n = spark.read.parquet(f"{sf}/embeddings.parquet").count()
+    got = {r["register_bits"]: (r["dim"], r["loads_plain"], r["loads_codes"], r["scan_plain"]) for r in rows}
+    assert reads and got == {u: (64, 2048 // u, 1, n * 2048 // u) for u in (128, 256, 512)}

@@ -98,3 +98,11 @@ def test_register_loads_are_those_of_the_given_vectors(spark, sf):
     n = spark.read.parquet(f"{sf}/embeddings.parquet").count()
     got = {r["register_bits"]: (r["dim"], r["loads_plain"], r["loads_codes"], r["scan_plain"]) for r in rows}
     assert reads and got == {u: (64, 2048 // u, 1, n * 2048 // u) for u in (128, 256, 512)}
+
+
+def test_simd_plan_is_that_of_the_given_vectors(spark, sf):
+    from vecgraph.queries import QUERIES
+
+    rows, reads = read_by_tasks(spark, QUERIES["simd_plan"](spark, sf))
+    n = spark.read.parquet(f"{sf}/embeddings.parquet").count()
+    assert reads and {r["register_bits"]: (r["m"], r["steps"], r["n_steps"]) for r in rows} == {128: (16, 16, 16 * n), 256: (16, 8, 8 * n), 512: (16, 4, 4 * n)}

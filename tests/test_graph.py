@@ -260,3 +260,16 @@ def test_tables_larger_than_vectors_are_computed_when_asked_for(spark, parts, mo
     assert (kept.of(kept.own(at), ids) == lazy.of(lazy.own(at), ids)).all()
     x = np.frombuffer(b"".join(rows["tables"])).reshape(len(rows), -1)
     assert (C.nearest_centroids(x, codec.books, codec.parts)[0] == codec.codes(x)).all()
+
+
+def test_insertions_are_followed_on_the_given_vectors(spark, sf):
+    from vecgraph.queries import QUERIES
+
+    rows = QUERIES["worked_insertion"](spark, sf).collect()
+    v = embedding_vectors(spark, sf)
+    nearest = {r["query_id"]: r["vec_id"] for r in E.exact_knn(v, v.where("vec_id % 50 = 0"), 1).collect()}
+    chosen = {r["query_id"]: r["vertices"].split(",") for r in rows if r["what"] == "select"}
+    assert chosen.keys() == nearest.keys() and all(1 <= len(c) <= 2 for c in chosen.values())
+    seen = {r["query_id"]: r["vertices"].split(",") for r in rows if r["what"] == "evaluated"}
+    assert all(c[0] == str(nearest[q]) for q, c in chosen.items() if str(nearest[q]) in seen[q])
+    assert all(len(r["vertices"].split(",")) <= 4 for r in rows if r["what"].startswith("expand"))

@@ -350,7 +350,16 @@ def latency_budget(spark, d):
 
 @query()
 def worked_insertion(spark, d):
-    """The fixture of one insertion with a candidate set of four and two neighbours: the candidate set after each step, and the selection."""
-    from .worked import run
+    """Insertion with a candidate set of four and two neighbours, followed for every vector whose id is divisible by 50 among its seven nearest of all vectors:
+    the candidate set after each step, the selection, and what was evaluated."""
+    from .worked import insertion
 
-    return spark.createDataFrame(run(), "step int, what string, vertices string")
+    v = emb(spark, d).select("vec_id", "vec")
+    near = E.exact_knn(v, v.where("vec_id % 50 = 0"), 7).join(v, "vec_id")
+
+    def steps(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("rank")
+        got = insertion(rows["vec_id"].to_numpy(), np.stack(rows["vec"].to_numpy()), rows["dist"].to_numpy())
+        return pd.DataFrame([(rows["query_id"].iloc[0], *r) for r in got], columns=["query_id", "step", "what", "vertices"])
+
+    return near.groupBy("query_id").applyInPandas(steps, "query_id long, step int, what string, vertices string")

@@ -106,3 +106,17 @@ def test_simd_plan_is_that_of_the_given_vectors(spark, sf):
     rows, reads = read_by_tasks(spark, QUERIES["simd_plan"](spark, sf))
     n = spark.read.parquet(f"{sf}/embeddings.parquet").count()
     assert reads and {r["register_bits"]: (r["m"], r["steps"], r["n_steps"]) for r in rows} == {128: (16, 16, 16 * n), 256: (16, 8, 8 * n), 512: (16, 4, 4 * n)}
+
+
+def test_admission_is_counted_without_a_row_for_each_pair(spark, sf, monkeypatch):
+    from vecgraph.operators import exact as E
+    from vecgraph.queries import QUERIES
+
+    plan = QUERIES["dc1_admission"](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoopJoin" not in plan and "CartesianProduct" not in plan
+    base = spark.createDataFrame([(i, [float(i), 0.0]) for i in range(20)] + [(99, [3.0, 4.0])], "vec_id long, vec array<double>")
+    asked = spark.createDataFrame([(50, [0.0, 0.0], 5.0), (51, [3.0, 4.0], 0.0), (52, [0.0, 0.0], 5.000000000001)], "vec_id long, vec array<double>, far double")
+    want = {50: 5, 52: 7}  # (5, 0) and (3, 4) lie at 5 exactly; none is nearer than 0
+    assert {r["query_id"]: r["n"] for r in E.count_nearer(base, asked).collect()} == want
+    monkeypatch.setattr(E, "TASK_PAIRS", 5)
+    assert {r["query_id"]: r["n"] for r in E.count_nearer(base, asked).collect()} == want

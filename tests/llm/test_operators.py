@@ -306,6 +306,18 @@ def test_words_outside_the_core_take_classes_by_their_neighbours(spark):
     assert not named["one"] & named["red"]
 
 
+def test_words_are_looked_up_without_sorting_the_tokens(monkeypatch):
+    r = np.random.default_rng(0)
+    spread = lambda n: r.integers(0, 1 << 63, n, dtype=np.uint64) * np.uint64(2)
+    for keys in (spread(0), spread(1), np.append(spread(5000), [class_lm.END, np.uint64(2**64 - 1)]), np.arange(300, dtype=np.uint64)):
+        look, asked = class_lm.Lookup(keys), np.concatenate([keys, spread(3000), keys[:50], np.array([0, 7, 2**64 - 1], np.uint64)])
+        rows = {int(k): i for i, k in enumerate(keys)}
+        with monkeypatch.context() as m:
+            m.setattr(class_lm.np, "unique", lambda *a, **k: pytest.fail("tokens are sorted"))
+            got = look.find(asked)
+        assert got.tolist() == [rows.get(int(h), -1) for h in asked]
+
+
 def test_tokens_are_hashed_in_pieces_of_bounded_memory():
     some = [None, "", "a b", "x" * 40, *(f"Word{i} other{i % 7} the end" for i in range(70_000)), None, "last"]
     texts = pa.array(some)

@@ -54,19 +54,29 @@ def token_stream(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 class Lookup:
-    """Word hash -> row of a small table, by binary search."""
+    """Word hash -> row of a small table. The first bits of a hash lead to the few keys that share them, as hashes are spread evenly; keys that are not
+    cost time only."""
 
     def __init__(self, keys: np.ndarray):
         self.order = np.argsort(keys)
-        self.keys = keys[self.order]
+        self.keys = np.append(keys[self.order], np.uint64(0))  # one more, never a match: it lies behind every bucket
+        bits = len(keys).bit_length() + 1
+        self.shift = np.uint64(64 - bits)
+        self.starts = np.append(0, np.cumsum(np.bincount((self.keys[:-1] >> self.shift).astype(np.int64), minlength=1 << bits))).astype(np.int32)
 
     def find(self, h: np.ndarray) -> np.ndarray:
         """Row number, or -1."""
-        if not len(self.keys):
-            return np.full(len(h), -1)
-        u, back = np.unique(h, return_inverse=True)
-        at = np.minimum(np.searchsorted(self.keys, u), len(self.keys) - 1)
-        return np.where(self.keys[at] == u, self.order[at], -1)[back]
+        bucket = (h >> self.shift).astype(np.int64)
+        at, end = self.starts[bucket], self.starts[bucket + 1]
+        out, left = np.full(len(h), -1), np.flatnonzero(at < end)
+        at, end, h = at[left], end[left], h[left]
+        while len(left):
+            key = self.keys[at]
+            hit = key == h
+            out[left[hit]] = self.order[at[hit]]
+            more = np.flatnonzero((key < h) & (at + 1 < end))
+            left, at, end, h = left[more], at[more] + 1, end[more], h[more]
+        return out
 
 
 def xlogx(x: np.ndarray) -> np.ndarray:
@@ -169,12 +179,15 @@ class ClassModel:
         """Row of each word in the table (-1: outside) and its class; outside the table that of its last bytes."""
         row = self.clustered.find(h)
         out = np.where(row >= 0, self.word_class[row], -1)
+        left = np.flatnonzero(row < 0)
         for size in (3, 2, 1):
             keys, values = self.suffixes[size]
-            if len(keys) and (out < 0).any():
-                t = tail & np.uint32((1 << 8 * size) - 1)
+            if len(keys) and len(left):
+                t = tail[left] & np.uint32((1 << 8 * size) - 1)
                 at = np.minimum(np.searchsorted(keys, t), len(keys) - 1)
-                out = np.where((out < 0) & (keys[at] == t), values[at], out)
+                same = keys[at] == t
+                out[left[same]] = values[at[same]]
+                left = left[~same]
         return row, np.where(h == END, CLASSES, np.where(out < 0, 0, out))
 
     def log_emission(self, n: np.ndarray, c: np.ndarray) -> np.ndarray:

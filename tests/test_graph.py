@@ -273,3 +273,17 @@ def test_insertions_are_followed_on_the_given_vectors(spark, sf):
     seen = {r["query_id"]: r["vertices"].split(",") for r in rows if r["what"] == "evaluated"}
     assert all(c[0] == str(nearest[q]) for q, c in chosen.items() if str(nearest[q]) in seen[q])
     assert all(len(r["vertices"].split(",")) <= 4 for r in rows if r["what"].startswith("expand"))
+
+
+def test_workloads_build_bounded_segments_and_measure_merged_results(spark, sf, monkeypatch):
+    from vecgraph.plans import workloads
+
+    v = embedding_vectors(spark, "/root/testdata/sf0.01").select("vec_id", "vec")
+    monkeypatch.setattr(G, "default_segments", lambda vectors: G.segment_count(vectors.count(), 100))
+    runs = workloads.run_grid(spark, "t", "embeddings", v, [workloads.Setting("LG", efs=(32,), profile=True)]).collect()
+    got = {(r["metric"], r["params"].get("k")): r for r in runs}
+    assert len(got) == len(runs) and {r["params"]["segments"] for r in runs} == {"5"} and {r["params"]["n"] for r in runs} == {"450"}
+    assert got["recall", "10"]["value"] > 0.98 and got["distance_ratio", "10"]["value"] < 1.01 and 0 < got["distance_share", None]["value"] < 1
+    apart = workloads.run_grid(spark, "t", "embeddings", v, [workloads.Setting("LG", efs=(32,))], apart=True).where("metric = 'edges'").collect()
+    assert sorted(r["params"]["segment"] for r in apart) == list("01234") and sum(int(r["params"]["n"]) for r in apart) == 450
+    assert max(int(r["params"]["n"]) for r in apart) < 150

@@ -51,3 +51,15 @@ def test_query_equals_its_sql(spark, name):
     assert sorted(want.columns) == cols
     same = lambda rows: sorted(tuple(map(str, r)) for r in rows)
     assert same(got.select(*cols).collect()) == same(want.select(*cols).fetchall())
+
+
+@pytest.mark.parametrize("name", ["sql_functions", "sql_surface"])
+def test_pair_queries_fold_in_a_kernel_and_equal_their_sql(spark, name, monkeypatch):
+    from vecgraph import queries
+
+    d = "/root/testdata/sf0.01"
+    p = plan(queries.QUERIES[name](spark, d))
+    assert "MapInArrow" in p and "NestedLoop" not in p and "Cartesian" not in p  # lambdas would be evaluated for every pair
+    test_query_equals_its_sql(spark, name)
+    monkeypatch.setattr(E, "BLOCK_BYTES", 2048)  # more queries than one block holds
+    assert queries.QUERIES[name](spark, d).count() == 10 * 499

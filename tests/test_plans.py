@@ -63,3 +63,19 @@ def test_pair_queries_fold_in_a_kernel_and_equal_their_sql(spark, name, monkeypa
     test_query_equals_its_sql(spark, name)
     monkeypatch.setattr(E, "BLOCK_BYTES", 2048)  # more queries than one block holds
     assert queries.QUERIES[name](spark, d).count() == 10 * 499
+
+
+def test_boxed_search_equals_the_scan_and_skips_most_rows(spark, monkeypatch):
+    import numpy as np
+
+    r = np.random.default_rng(3)
+    x = np.concatenate([r.normal(size=(3000, 3)), np.round(r.normal(size=(700, 3)), 1), np.ones((40, 3))])
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, vec array<double>").repartition(3)
+    asked = rows.where("vec_id % 37 = 0")
+    monkeypatch.setattr(E, "BOX_ROWS", 500)
+    pick = lambda df: sorted((a["query_id"], a["rank"], a["vec_id"], a["dist"]) for a in df.collect())
+    assert pick(E.boxed_knn(rows, asked, 4)) == pick(E.exact_knn(rows, asked, 4))
+    boxes, q = E.Boxes(np.arange(len(x)), x), x[:20]
+    assert (np.sort(boxes.ids[boxes.real]) == np.arange(len(x))).all()
+    third = np.sort(((q[:, None] - x[None]) ** 2).sum(-1), axis=1)[:, 3]
+    assert (boxes.bounds(q) <= third[:, None]).mean() < 0.5

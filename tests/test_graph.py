@@ -287,3 +287,31 @@ def test_workloads_build_bounded_segments_and_measure_merged_results(spark, sf,
     apart = workloads.run_grid(spark, "t", "embeddings", v, [workloads.Setting("LG", efs=(32,))], apart=True).where("metric = 'edges'").collect()
     assert sorted(r["params"]["segment"] for r in apart) == list("01234") and sum(int(r["params"]["n"]) for r in apart) == 450
     assert max(int(r["params"]["n"]) for r in apart) < 150
+
+
+def test_reports_state_reach_and_count_vertices_without_neighbours(spark, sf, monkeypatch):
+    from vecgraph.plans import graph_queries
+    from vecgraph.queries import QUERIES
+
+    held = []
+    build = S.build_index
+
+    def lonely(*args, **how):  # the lists of five vertices, the entry not among them, are taken from each graph, and nobody links to them
+        index = build(*args, **how)
+        alone = [r[0] for r in index.adjacency.where("layer = 0").orderBy(F.desc("src")).limit(5).select("src").collect()]
+        lists = F.when(F.col("src").isin(alone), F.expr("filter(nbrs, x -> false)")).otherwise(F.filter("nbrs", lambda x: ~x["dst"].isin(alone)))
+        index.adjacency = index.adjacency.where("layer = 0").withColumn("nbrs", lists)
+        held.append(index)
+        return index
+
+    monkeypatch.setattr(graph_queries.S, "build_index", lonely)
+    got = {r["method"]: r for r in QUERIES["graph_reports"](spark, sf).collect()}
+    assert list(got) == ["lg", "sq", "pca", "pq", "acc"]
+    for r, index in zip(got.values(), held, strict=True):
+        lists = {x["src"]: [y["dst"] for y in x["nbrs"]] for x in index.adjacency.collect()}
+        seen, front = set(), {min(lists)}
+        while front:
+            seen |= front
+            front = {y for v in front for y in lists[v]} - seen
+        assert r["reach"] == len(seen) / len(lists) <= (len(lists) - 5) / len(lists)
+        assert r["mean_degree"] == pytest.approx(sum(map(len, lists.values())) / len(lists))

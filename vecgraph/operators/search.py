@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from .codecs import ExactCodec, matrix
 from .exact import exact_knn, in_blocks, merge_topk, rerank, top_k
 from .graph import assign_levels, assign_segments, build_graph, build_segments, default_segments, prepared, source_of
-from .kernels import Graph, Points, descend, early_abort
+from .kernels import Graph, Points, descend, early_abort, reached
 
 FOUND = "query_id long, segment int, vec_id long, dist double, hops double, distances double"
 PACKED = "segment int, ids binary, code binary, vecs binary, layers array<struct<at: binary, lists: binary>>"
@@ -123,6 +123,20 @@ def load_segment(c: ExactCodec, row: dict, full: bool, turn: np.ndarray | None =
     return graph, ids
 
 
+def reach(index: Index, full: bool = False) -> DataFrame:
+    """(segment, n, reached): the vertices of each segment, and those that the lists of its lowest layer reach from the entry."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(len(batch)):
+                row = batch.slice(at, 1).to_pylist()[0]
+                seen = reached(load_segment(codec.value, row, full)[0])
+                yield pa.record_batch({"segment": pa.array([row["segment"]], pa.int32()), "n": [len(seen)], "reached": [int(seen.sum())]})
+
+    codec = index.vectors.sparkSession.sparkContext.broadcast(index.codec)
+    return index.packed(full).mapInArrow(run, "segment int, n long, reached long")
+
+
 def search(index: Index, queries: DataFrame, k: int = 10, ef: int = 64, mode: str = "codes", distance: str = "full", eps: float = 2.1, chunk: int = 16, stop: str = "exhaust", window: int = 16, r: int | None = None, where: Column | None = None, policy: str = "auto") -> DataFrame:
     """(query_id, rank, vec_id, dist). mode: codes (distances of the codes), codes+rerank, exact (full vectors on the graph that codes built).
     distance='early_abort' adds dimensions of randomly rotated vectors until a candidate is out; stop='relaxed' ends a walk when the last distances stay above the result.

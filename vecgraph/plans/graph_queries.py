@@ -298,14 +298,16 @@ def drift_trigger(spark, d):
 
 @query()
 def graph_reports(spark, d):
-    """Degree, reach and recall of the graph that each codec builds, searched by full distances: the quality of the graph apart from the codes."""
+    """Degree, reach and recall of the graph that each codec builds, searched by full distances: the quality of the graph apart from the codes. Vertices without
+    neighbours count as of degree 0; reach is the share of all vertices that the entry of their segment reaches."""
     out = None
     base, q = split(spark, d)
     truth = stored(E.exact_knn(base, q, K), "truth")
     for name in ("lg", "sq", "pca", "pq", "acc"):
         index = S.build_index(base.select("vec_id", "vec"), codec_named(name), CANDIDATES, DEGREE)
-        edges = index.adjacency.where("layer = 0").select(F.explode("nbrs"), "src").groupBy("src").agg(F.count("*").alias("degree")).agg(F.avg("degree").alias("mean_degree"))
-        one = M.recall(truth, S.search(index, q, K, EF, "exact"), K).join(edges, how="cross").select(F.lit(name).alias("method"), "recall", "mean_degree")
+        edges = index.adjacency.where("layer = 0").agg(F.avg(F.size("nbrs")).alias("mean_degree"))
+        reach = S.reach(index, full=True).agg((F.sum("reached") / F.sum("n")).alias("reach"))
+        one = M.recall(truth, S.search(index, q, K, EF, "exact"), K).join(edges, how="cross").join(reach, how="cross").select(F.lit(name).alias("method"), "recall", "mean_degree", "reach")
         out = one if out is None else out.unionByName(one)
     return out
 

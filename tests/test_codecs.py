@@ -104,3 +104,28 @@ def test_empty_subspace_of_identical_vectors(spark):
     # with axes: no variance, one axis kept, all distances 0
     c = C.AlignedCodec(2, iters=1, sample=0).fit(frame(spark, x))
     assert (c.source(x).of(c.query_state(x), np.tile(np.arange(5), (5, 1))) == 0).all()
+
+
+def test_product_picks_the_centroids_of_the_folded_sums(monkeypatch):
+    rng = np.random.default_rng(5)
+    x, parts = rng.normal(size=(700, 10)), [(0, 5), (5, 10)]
+    books = [x[:60, a:b].copy() for a, b in parts]
+    for b in books:
+        b[30:] = b[:30]  # each centroid twice: ties go to the smaller
+    x[600:] = x[:100]
+    whole, measured = C.nearest_centroids(x, books, parts)[0], []
+    assert (C.nearest_codes(x, books, parts) == whole).all() and (whole < 30).all()
+    books = [x[:60, a:b].copy() for a, b in parts]
+    whole, before = C.nearest_centroids(x, books, parts)[0], C.nearest_centroids
+    monkeypatch.setattr(C, "nearest_centroids", lambda *a: measured.append(len(a[0])) or before(*a))
+    assert (C.nearest_codes(x, books, parts) == whole).all() and sum(measured) < 100
+
+
+def test_larger_samples_sort_one_range_of_hashes(spark, monkeypatch):
+    v = spark.range(5000).selectExpr("id * 7919 as vec_id", "array(double(id)) as vec")
+    ids = lambda size: {r["vec_id"] for r in C.stable_sample(v, size).collect()}
+    sizes = (10, 700, 2500, 5000, 6000)
+    whole = [ids(n) for n in sizes]
+    monkeypatch.setattr(C, "SORTED_ROWS", 20)
+    assert [ids(n) for n in sizes] == whole and [len(x) for x in whole] == [10, 700, 2500, 5000, 5000]
+    assert "TakeOrdered" not in C.stable_sample(v, 5000)._jdf.queryExecution().executedPlan().toString()

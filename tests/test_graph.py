@@ -315,3 +315,56 @@ def test_reports_state_reach_and_count_vertices_without_neighbours(spark, sf, mo
             front = {y for v in front for y in lists[v]} - seen
         assert r["reach"] == len(seen) / len(lists) <= (len(lists) - 5) / len(lists)
         assert r["mean_degree"] == pytest.approx(sum(map(len, lists.values())) / len(lists))
+
+
+@pytest.mark.parametrize("name", ["vectors", "tables", "inlined"])
+def test_a_walk_measures_only_what_it_has_not_seen(name):
+    from vecgraph.operators.kernels import Graph, Tables
+
+    x = points(400)
+    source = Points(x)
+    if name != "vectors":
+        codes = np.abs(x * 5).astype(np.int16) % 16
+        between = np.abs(np.arange(16.0)[:, None] - np.arange(16.0)[None, :]).astype(np.float32)
+        source = Tables(codes, None, np.tile(between, (8, 1, 1)))
+    built = build_layered(source, np.zeros(400, int), 32, 8)
+    graph = Graph(400, [16], source, name == "inlined")
+    graph.set(0, np.arange(400), built.adj[0])
+    graph.entry, graph.top, measured = 0, 0, []
+    for one in ("_sum",) if name == "vectors" else ("summed", "look_up"):
+        before = getattr(source, one)
+        setattr(source, one, lambda *a, before=before: (lambda d: measured.append(d.size) or d)(before(*a)))
+    state = source.own(np.arange(30))
+    found, dist = beam(graph, 0, state, np.zeros(30, int), 16)
+    assert sum(measured) == graph.count["distances"] + 30  # and not every entry of every list
+    assert (dist == source.of(state, found)).all() and (np.diff(dist, axis=1) >= 0).all()
+
+
+def test_many_queries_walk_as_few_do(monkeypatch):
+    from vecgraph.operators import kernels as N
+
+    g = build_layered(Points(points(300)), np.zeros(300, int), 32, 8)
+    q = points(50, seed=4)
+    whole = [descend(g, q, 16, window=w) for w in (0, 8)]
+    monkeypatch.setattr(N, "BEAM_ROWS", 7)
+    for w, (found, dist) in zip((0, 8), whole, strict=True):
+        got = descend(g, q, 16, window=w)
+        assert (got[0] == found).all() and (got[1] == dist).all()
+
+
+def test_modes_by_codes_share_a_walk(monkeypatch):
+    from vecgraph.plans import workloads
+
+    x, q = points(200), points(10, seed=2)
+    codec = C.ScalarCodec(4)
+    codec.lo, codec.step, codec.dim = x.min(axis=0), np.ptp(x, axis=0) / 15, 8
+    walks = []
+    monkeypatch.setattr(workloads, "descend", lambda *a, **how: walks.append(1) or descend(*a, **how))
+    s = workloads.Setting("LG-SQ", efs=(16, 32), modes=("codes", "codes+rerank"))
+    truth = np.zeros((10, 10), np.int64)
+    rows = list(workloads.one_run(x, np.arange(200), codec, s, [(0, q, truth, truth * 1.0)], 0.0))
+    assert len(walks) == 2  # one for each width
+    kept = {(r["mode"], r["ef"], r["metric"]): r["value"] for r in rows if "metric" in r and "mode" in r}
+    for ef in (16, 32):
+        assert kept["codes", ef, "distances_per_query"] == kept["codes+rerank", ef, "distances_per_query"] > 0
+        assert kept["codes+rerank", ef, "search_seconds"] > kept["codes", ef, "search_seconds"] > 0

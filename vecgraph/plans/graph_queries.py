@@ -162,9 +162,9 @@ def traces(x: np.ndarray, codec, queries: np.ndarray, degree: int) -> list[tuple
 
     kept = graph.near
 
-    def near(layer, at, s, ids):
+    def near(layer, at, s, rows, ids, fresh):
         visited.extend(zip(at.tolist(), ids, strict=True))
-        return kept(layer, at, s, ids)
+        return kept(layer, at, s, rows, ids, fresh)
 
     graph.near = near
     for i in range(len(queries)):

@@ -21,6 +21,9 @@ class Lookup:
     def pair(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         return np.array([[self.among.get((min(x, y), max(x, y)), 9.0) if y >= 0 else np.inf for y in row] for x, row in zip(a.tolist(), b.tolist(), strict=True)])
 
+    def pairs(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        return self.pair(a, b[:, None])[:, 0]
+
 
 def run(width: int = 4, degree: int = 2, to_new: dict = TO_NEW, edges: dict = EDGES, among: dict = AMONG, entry: int = 0) -> list[tuple[int, str, str]]:
     near = lambda v: (to_new[v], v)

@@ -368,3 +368,12 @@ def test_modes_by_codes_share_a_walk(monkeypatch):
     for ef in (16, 32):
         assert kept["codes", ef, "distances_per_query"] == kept["codes+rerank", ef, "distances_per_query"] > 0
         assert kept["codes+rerank", ef, "search_seconds"] > kept["codes", ef, "search_seconds"] > 0
+
+
+def test_builds_of_a_grid_are_dealt_to_tasks_of_their_own(spark, monkeypatch):
+    from vecgraph.plans import workloads
+
+    v = embedding_vectors(spark, "/root/testdata/sf0.01").select("vec_id", "vec")
+    runs = workloads.run_grid(spark, "t", "embeddings", v, [workloads.Setting("LG", efs=(16,), ks=(1,)), workloads.Setting("LG-SQ", efs=(16,), ks=(1,))], 3)
+    assert "hashpartitioning(run#" in (plan := runs._jdf.queryExecution().executedPlan().toString()) and plan.count(", 24), REPARTITION_BY_NUM") == 2
+    assert len({r["method"] for r in runs.collect()}) == 2
